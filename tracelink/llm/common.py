@@ -73,23 +73,22 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-_POWERS: dict[str, np.ndarray] = {}
+_STEP = 4096
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """First n powers of the base and of its inverse modulo 2**64."""
-    have = _POWERS.get("p")
-    if have is None or len(have) < n:
-        size = 1 << max(20, (n - 1).bit_length())
-        for key, base in (("p", _BASE), ("q", _BASE_INVERSE)):
-            out = np.empty(size, dtype=np.uint64)
-            out[0], filled = 1, 1
-            while filled < size:
-                step = np.uint64(pow(base, filled, 1 << 64))
-                out[filled : 2 * filled] = out[:filled] * step
-                filled *= 2
-            _POWERS[key] = out
-    return _POWERS["p"][:n], _POWERS["q"][:n]
+def _power_table(base: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers 0..4095 of a base modulo 2**64, and powers of its 4096th power."""
+    low, high = np.empty(_STEP, dtype=np.uint64), np.empty(1 << 16, dtype=np.uint64)
+    for out, b in ((low, base), (high, pow(base, _STEP, 1 << 64))):
+        out[0], filled = 1, 1
+        while filled < len(out):
+            out[filled : 2 * filled] = out[:filled] * np.uint64(pow(b, filled, 1 << 64))
+            filled *= 2
+    return low, high
+
+
+_LOW, _HIGH = _power_table(_BASE)
+_LOW_INVERSE, _HIGH_INVERSE = _power_table(_BASE_INVERSE)
 
 
 class Words:
@@ -99,8 +98,18 @@ class Words:
     """
 
     def __init__(self, texts: Sequence[bytes], lower: bool = False, hashes: bool = True):
-        raw = b" ".join(texts) + b" "
-        self.raw = raw.lower() if lower else raw
+        lengths = np.fromiter((len(t) for t in texts), dtype=np.int64, count=len(texts))
+        self._find((b" ".join(texts) + b" ").lower() if lower else b" ".join(texts) + b" ", lengths, hashes)
+
+    @classmethod
+    def of_joined(cls, raw: bytes, lengths: np.ndarray) -> Words:
+        """Words of texts that were joined by one blank each, given their byte lengths."""
+        words = cls.__new__(cls)
+        words._find(raw + b" ", lengths, True)
+        return words
+
+    def _find(self, raw: bytes, lengths: np.ndarray, hashes: bool) -> None:
+        self.raw = raw
         buf = np.frombuffer(self.raw, dtype=np.uint8)
         space = _SPACE_TABLE[buf]
         before = np.empty_like(space)
@@ -108,13 +117,15 @@ class Words:
         before[1:] = space[:-1]
         self.start = np.flatnonzero(before & ~space)
         self.end = np.flatnonzero(space & ~before)
-        lengths = np.fromiter((len(t) + 1 for t in texts), dtype=np.int64, count=len(texts))
-        self.first = np.searchsorted(self.start, np.concatenate([[0], np.cumsum(lengths)]))
+        self.first = np.searchsorted(self.start, np.concatenate([[0], np.cumsum(lengths + 1)]))
         if hashes:
-            p, q = _powers(len(buf) + 1)
+            blocks = -(-len(buf) // _STEP)
+            powers = (_HIGH[:blocks, None] * _LOW[None, :]).ravel()[: len(buf)]
+            powers *= buf
             run = np.zeros(len(buf) + 1, dtype=np.uint64)
-            np.cumsum(buf.astype(np.uint64) * p[: len(buf)], out=run[1:])
-            self.hash = mix64((run[self.end] - run[self.start]) * q[self.start] + (self.end - self.start).astype(np.uint64))
+            np.cumsum(powers, out=run[1:])
+            back = _HIGH_INVERSE[self.start // _STEP] * _LOW_INVERSE[self.start % _STEP]
+            self.hash = mix64((run[self.end] - run[self.start]) * back + (self.end - self.start).astype(np.uint64))
 
     def __len__(self) -> int:
         return len(self.start)
@@ -125,8 +136,7 @@ def run_hash(h: np.ndarray, width: int, seed: int) -> np.ndarray:
     n = len(h) - width + 1
     if n <= 0:
         return np.zeros(0, dtype=np.uint64)
-    out = np.zeros(n, dtype=np.uint64)
+    out = np.full(n, seed, dtype=np.uint64)
     for i in range(width):
-        factor = np.uint64((pow(_BASE, 3 * i + 1, 1 << 64) * (2 * seed + 1)) & _MASK)
-        out = out + mix64(h[i : i + n] + np.uint64(i)) * factor if width <= 5 else out + h[i : i + n] * factor
-    return mix64(out + np.uint64(seed))
+        out += h[i : i + n] * np.uint64((pow(_BASE, 3 * i + 1, 1 << 64) * (2 * seed + 1)) & _MASK)
+    return mix64(out)

@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
-from . import gif, poisson_mix, shards, url_rules
+from . import fingerprints, gif, poisson_mix, shards, url_rules, windows
 
 QUERIES = {
     "op1_gif_media": gif.op1_gif_media,
+    "op5_fingerprints": fingerprints.op5_fingerprints,
     "op6_poisson_mix": poisson_mix.op6_poisson_mix,
+    "op8_windows": windows.op8_windows,
     "op9_shards": shards.op9_shards,
     "op10_url_filter": url_rules.op10_url_filter,
 }
 
 ORACLES = {
     "op6_poisson_mix": poisson_mix.OP6_SQL,
+    "op8_windows": windows.OP8_SQL,
     "op10_url_filter": url_rules.OP10_SQL,
 }
