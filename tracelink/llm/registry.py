@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import fingerprints, gif, poisson_mix, shards, url_rules, windows
+from . import fingerprints, gif, near_dups, poisson_mix, shards, url_rules, windows
 
 QUERIES = {
     "op1_gif_media": gif.op1_gif_media,
     "op5_fingerprints": fingerprints.op5_fingerprints,
     "op6_poisson_mix": poisson_mix.op6_poisson_mix,
+    "op7_near_dups": near_dups.op7_near_dups,
     "op8_windows": windows.op8_windows,
     "op9_shards": shards.op9_shards,
     "op10_url_filter": url_rules.op10_url_filter,
@@ -15,6 +16,7 @@ QUERIES = {
 
 ORACLES = {
     "op6_poisson_mix": poisson_mix.OP6_SQL,
+    "op7_near_dups": near_dups.OP7_SQL,
     "op8_windows": windows.OP8_SQL,
     "op10_url_filter": url_rules.OP10_SQL,
 }
