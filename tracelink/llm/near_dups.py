@@ -18,7 +18,7 @@ from math import comb
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Words, in_chunks, materialise, mix64, run_hash, table
@@ -206,6 +206,23 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
+def deduplicated(docs: DataFrame, text: str = "text", percent: int = 80) -> DataFrame:
+    """One document of each group of near duplicates: the one with the smallest doc_id, with all its columns.
+
+    Of rows that repeat a kept doc_id one stays. Rows without doc_id, and texts without words, all stay.
+    """
+    kept = near_dups(docs, text, percent).where("kept and doc_id is not null").groupBy(F.col("doc_id").alias("k_id")).agg(F.count(F.lit(1)).alias("k_rows"))
+    kept = materialise(kept, "kept")
+    out = docs.join(kept.select("k_id"), F.col("doc_id").cast("long") == F.col("k_id"), "left_semi")
+    often = kept.where("k_rows > 1")
+    if not often.isEmpty():
+        again = F.col("doc_id").cast("long") == F.col("k_id")
+        one = Window.partitionBy("doc_id").orderBy(F.xxhash64(F.col(f"`{text}`")))
+        first = out.join(often.select("k_id"), again, "left_semi").withColumn("__n", F.row_number().over(one)).where("__n = 1").drop("__n")
+        out = out.join(often.select("k_id"), again, "left_anti").union(first)
+    return out.union(docs.where("doc_id is null"))
+
+
 def brute_force(docs: list[tuple[int, str | None]], percent: int, size: int = SHINGLE_WORDS) -> dict[int, tuple[int, int]]:
     """Reference for tests: doc_id -> set size, component."""
     sets = {i: shingle_set(t, size) for i, t in docs}

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from . import fingerprints, gif, near_dups, poisson_mix, shards, url_rules, windows
+from . import fingerprints, gif, language_crf, near_dups, pieces, poisson_mix, shards, toxicity, url_rules, windows
 
 QUERIES = {
     "op1_gif_media": gif.op1_gif_media,
+    "op2_pieces": pieces.op2_pieces,
+    "op3_toxicity": toxicity.op3_toxicity,
+    "op4_language_crf": language_crf.op4_language_crf,
     "op5_fingerprints": fingerprints.op5_fingerprints,
     "op6_poisson_mix": poisson_mix.op6_poisson_mix,
     "op7_near_dups": near_dups.op7_near_dups,
