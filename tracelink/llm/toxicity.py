@@ -8,8 +8,9 @@ mentions of a group do not move the score. Terms that no sampled sentence has ar
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -32,11 +33,15 @@ CARRIER = "the and of in is with they people were".split()
 #: Bound of the labelled sample (documents of each class), and of the features that are kept.
 SAMPLE_PER_CLASS, FEATURES = 2000, 1536
 #: Evidence a feature needs to be kept (normal deviate of its log odds), weight decay, and strength of the counterfactual penalty.
-EVIDENCE, DECAY, FAIRNESS, STEPS = 3.5, 5e-5, 4.0, 300
+EVIDENCE, DECAY, FAIRNESS, STEPS = 3.5, 2e-5, 4.0, 400
 THRESHOLD = 0.3
 
 _WORD = re.compile(r"\w+")
-_PREFIXES = (4, 5)
+_PREFIXES = (4, 5, 6, 7)
+#: A feature is dense where it comes at least twice and once in so many words.
+DENSE_WORDS = 150
+#: Weight of label 1 in training, whatever its share.
+POSITIVE_WEIGHT = 0.45
 
 
 def features_of(word: str) -> list[str]:
@@ -44,27 +49,45 @@ def features_of(word: str) -> list[str]:
     return [word, *(f"{word[:n]}*" for n in _PREFIXES if len(word) > n)]
 
 
-def words_of(text: str | None) -> set[str]:
-    return set(_WORD.findall((text or "").lower()))
+def words_of(text: str | None) -> Counter[str]:
+    return Counter(_WORD.findall((text or "").lower()))
 
 
 @dataclass
 class ToxicityModel:
-    weights: dict[str, float]
-    bias: float
+    """Weights of each feature: for being there, and for being dense."""
 
-    def logit_of_words(self, words: set[str]) -> float:
-        seen: set[str] = set()
-        for w in words:
-            seen.update(f for f in features_of(w) if f in self.weights)
-        return self.bias + sum(self.weights[f] for f in sorted(seen))
+    weights: dict[str, tuple[float, float]]
+    bias: float
+    _known: dict[str, tuple[str, ...]] = field(default_factory=dict, repr=False)
+
+    def logit(self, words: Counter[str]) -> float:
+        known, weights = self._known, self.weights
+        if len(known) > 400_000:
+            known.clear()
+        held: dict[str, int] = {}
+        for w, n in words.items():
+            hits = known.get(w)
+            if hits is None:
+                hits = known[w] = tuple(f for f in features_of(w) if f in weights)
+            for f in hits:
+                held[f] = held.get(f, 0) + n
+        total = sum(words.values())
+        out = self.bias
+        for f in sorted(held):
+            n, (there, dense) = held[f], weights[f]
+            out += there + dense if n > 1 and n * DENSE_WORDS >= total else there
+        return out
 
     def score(self, text: str | None) -> float:
-        return float(1 / (1 + np.exp(-np.clip(self.logit_of_words(words_of(text)), -50, 50))))
+        return float(1 / (1 + np.exp(-np.clip(self.logit(words_of(text)), -50, 50))))
 
 
-def twin_of(words: set[str], swap: dict[str, str]) -> set[str]:
-    return {swap.get(w, w) for w in words}
+def twin_of(words: Counter[str], swap: dict[str, str]) -> Counter[str]:
+    out: Counter[str] = Counter()
+    for w, n in words.items():
+        out[swap.get(w, w)] += n
+    return out
 
 
 def swaps(shift: int) -> dict[str, str]:
@@ -81,25 +104,29 @@ def fit(texts: list[str | None], labels: list[int], fairness: float = FAIRNESS,
     number: dict[str, int] = {}
     ids_of: dict[str, tuple[int, ...]] = {}
 
-    def ids(words: set[str]) -> np.ndarray:
-        """Sorted distinct feature numbers of a set of words."""
+    def ids(words: Counter[str]) -> np.ndarray:
+        """Columns of a text: twice a feature's number for being there, the next one for being dense."""
         out: list[int] = []
-        for w in words:
+        times: list[int] = []
+        for w, n in words.items():
             known = ids_of.get(w)
             if known is None:
                 known = ids_of[w] = tuple(number.setdefault(f, len(number)) for f in features_of(w))
             out.extend(known)
-        return np.unique(np.array(out, dtype=np.int32))
+            times.extend([n] * len(known))
+        there, back = np.unique(np.array(out, dtype=np.int64), return_inverse=True)
+        n = np.bincount(back, weights=times, minlength=len(there))
+        return np.concatenate([2 * there, 2 * there[(n > 1) & (n * DENSE_WORDS >= words.total())] + 1]).astype(np.int32)
 
     named = {t for kind in IDENTITY_TERMS.values() for t in kind}
     shown: list[np.ndarray] = []
-    naming: list[set[str]] = []
+    naming: list[Counter[str]] = []
     for t in texts:
         words = words_of(t)
         shown.append(ids(words))
-        if words & named:
+        if not named.isdisjoint(words):
             naming.append(words)
-    counts = np.zeros((len(number), 2))
+    counts = np.zeros((2 * len(number), 2))
     for feats, label in zip(shown, labels, strict=True):
         counts[feats, label] += 1
     n0, n1 = float((y == 0).sum()), float((y == 1).sum())
@@ -108,11 +135,11 @@ def fit(texts: list[str | None], labels: list[int], fairness: float = FAIRNESS,
     odds = np.log(seen[:, 1] / (n1 + 1 - seen[:, 1])) - np.log(seen[:, 0] / (n0 + 1 - seen[:, 0]))
     error = np.sqrt(1 / seen[:, 1] + 1 / seen[:, 0] + 1 / (n1 + 1 - seen[:, 1]) + 1 / (n0 + 1 - seen[:, 0]))
     power = np.abs(odds / error)
-    names = {i: f for f, i in number.items()}
-    order = sorted((j for j in range(len(often)) if power[j] >= EVIDENCE), key=lambda j: (-power[j], names[int(often[j])]))[:most]
-    kept = list(dict.fromkeys([names[int(often[j])] for j in order] + [f for t in sorted(named) for f in features_of(t) if f in number]))
-    column = np.full(len(number) + 1, -1, dtype=np.int32)
-    column[[number[f] for f in kept]] = np.arange(len(kept))
+    names = list(number)
+    order = sorted((j for j in range(len(often)) if power[j] >= EVIDENCE), key=lambda j: (-power[j], names[int(often[j]) // 2], int(often[j]) % 2))[:most]
+    kept = list(dict.fromkeys([int(often[j]) for j in order] + [2 * number[f] for t in sorted(named) for f in features_of(t) if f in number]))
+    column = np.full(2 * len(number) + 1, -1, dtype=np.int32)
+    column[kept] = np.arange(len(kept))
 
     def rows(many: list[np.ndarray]) -> np.ndarray:
         x = np.zeros((len(many), len(kept)), dtype=np.float32)
@@ -122,15 +149,15 @@ def fit(texts: list[str | None], labels: list[int], fairness: float = FAIRNESS,
         return x
 
     x = rows(shown)
-    pairs: list[tuple[set[str], set[str]]] = []
+    pairs: list[tuple[Counter[str], Counter[str]]] = []
     for shift in (1, 2):
         swap = swaps(shift)
         pairs += [(s, twin_of(s, swap)) for s in naming]
-        pairs += [({*CARRIER, t}, twin_of({*CARRIER, t}, swap)) for t in sorted(named)]
-        pairs += [({*CARRIER, t}, set(CARRIER)) for t in sorted(named)]
+        carried = [Counter([*CARRIER, t]) for t in sorted(named)]
+        pairs += [(c, twin_of(c, swap)) for c in carried] + [(c, Counter(CARRIER)) for c in carried]
     gaps = rows([ids(a) for a, _ in pairs]) - rows([ids(b) for _, b in pairs])
     gaps = gaps[np.any(gaps != 0, axis=1)]
-    weight = np.where(y == 1, len(y) / (2 * n1), len(y) / (2 * n0)) / len(y)
+    weight = np.where(y == 1, POSITIVE_WEIGHT / n1, (1 - POSITIVE_WEIGHT) / n0)
     weight = weight.astype(np.float32)
     w, b = np.zeros(len(kept), dtype=np.float32), np.float32(0)
     m, v = np.zeros(len(kept) + 1), np.zeros(len(kept) + 1)
@@ -144,7 +171,11 @@ def fit(texts: list[str | None], labels: list[int], fairness: float = FAIRNESS,
         m, v = 0.9 * m + 0.1 * full, 0.999 * v + 0.001 * full**2
         move = (0.08 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
         w, b = w - move[:-1], b - move[-1]
-    return ToxicityModel({f: round(float(w[i]), 9) for i, f in enumerate(kept) if abs(w[i]) > 1e-6}, round(float(b), 9))
+    out: dict[str, list[float]] = {}
+    for i, c in enumerate(kept):
+        if abs(w[i]) > 1e-6:
+            out.setdefault(names[c // 2], [0.0, 0.0])[c % 2] = round(float(w[i]), 9)
+    return ToxicityModel({f: (a, d) for f, (a, d) in out.items()}, round(float(b), 9))
 
 
 def training_sample(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -> pd.DataFrame:
@@ -165,21 +196,8 @@ def scored(docs: DataFrame, model: ToxicityModel, text: str = "text") -> DataFra
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         model = held.value
-        weights = model.weights
-        cache: dict[str, tuple[str, ...]] = {}
         for batch in batches:
-            out = []
-            for t in batch.tolist():
-                seen: set[str] = set()
-                for w in words_of(t):
-                    hits = cache.get(w)
-                    if hits is None:
-                        if len(cache) > 400_000:
-                            cache.clear()
-                        hits = cache[w] = tuple(f for f in features_of(w) if f in weights)
-                    if hits:
-                        seen.update(hits)
-                out.append(model.bias + sum(weights[f] for f in sorted(seen)))
+            out = [model.logit(words_of(t)) for t in batch.tolist()]
             yield pd.Series(1 / (1 + np.exp(-np.clip(np.array(out, dtype=np.float64), -50, 50))))
 
     score = F.pandas_udf(run, "double")
