@@ -1 +1 @@
-
+"""Column functions for sparse vectors, histograms and boxes."""

@@ -1 +1 @@
-
+"""Operators over traces, signatures and neighbour lists."""

@@ -1 +1 @@
-
+"""Traces derived from the given tables, readers and writers."""
