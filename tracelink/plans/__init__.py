@@ -1 +1 @@
-
+"""Workloads, their SQL twins, and the linking pipeline."""
