@@ -1 +1 @@
-
+"""Structured Streaming over traces."""
