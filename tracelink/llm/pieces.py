@@ -12,16 +12,18 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import table
+from .common import in_chunks, table
 
 #: The mark that stands for a blank in pieces (fixed value), and what an uncovered character costs below the worst piece.
 MARK, UNKNOWN_COST = "▁", 10.0
-#: Segments a worker keeps.
-CACHE_SEGMENTS = 400_000
+#: Segments a worker keeps; bytes of text or ids that are coded before a batch goes out.
+CACHE_SEGMENTS, SLICE = 150_000, 2 << 20
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
@@ -112,7 +114,7 @@ class PieceModel:
                 spelled.append(b"")
             else:
                 pieces.append((text, float(sp.get_score(i)), i))
-                spelled.append(text.replace(MARK, "\ue000").encode())
+                spelled.append(text.replace(MARK, " ").encode())
         return cls(pieces, byte_ids, spelled)
 
     def _prepare(self) -> tuple:
@@ -162,33 +164,43 @@ class PieceModel:
         return (raw[1:] if raw[:1] == b" " else raw).decode("utf-8", "replace")
 
 
-def _both(docs: DataFrame, model: PieceModel):
-    held = docs.sparkSession.sparkContext.broadcast(model)  # the vocabulary: its size does not depend on the data
+def _slices(batch: pa.RecordBatch, sizes: list[int]) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch of about SLICE bytes or ids (one row at least), without copying."""
+    for part in in_chunks(sizes, sizes, SLICE):
+        yield batch.slice(part.start, part.stop - part.start)
 
-    def encode(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        model = held.value
-        for batch in batches:
-            yield pd.Series([model.encode(t) for t in batch.tolist()], dtype=object)
 
-    def decode(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+def encoded(docs: DataFrame, model: PieceModel, text: str = "text") -> DataFrame:
+    """Add ``pieces`` (ids) and ``n_pieces`` to every row; own columns of these names are replaced. Null and empty texts have no pieces."""
+    held = docs.sparkSession.sparkContext.broadcast(model)  # the vocabulary: its size does not depend on the data
+    docs = docs.drop("pieces", "n_pieces")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = held.value
         for batch in batches:
-            yield pd.Series([None if ids is None else model.decode(ids.tolist()) for ids in batch.tolist()], dtype=object)
+            for rows in _slices(batch, pc.binary_length(batch.column(text)).fill_null(0).to_pylist()):
+                ids = [model.encode(t) for t in rows.column(text).to_pylist()]
+                ends = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids) if ids else np.zeros(0, dtype=np.int32)))
+                yield pa.RecordBatch.from_arrays([*rows.columns, lists], names=[*rows.schema.names, "pieces"])
 
-    return F.pandas_udf(encode, "array<int>"), F.pandas_udf(decode, "string")
-
-
-def encoded(docs: DataFrame, model: PieceModel, text: str = "text") -> DataFrame:
-    """Add ``pieces`` (ids) and ``n_pieces`` to every row; own columns of these names are replaced. Null and empty texts have no pieces."""
-    encode, _ = _both(docs, model)
-    out = docs.drop("pieces", "n_pieces").withColumn("pieces", encode(F.col(f"`{text}`").cast("string")))
-    return out.withColumn("n_pieces", F.size("pieces").cast("long"))
+    schema = T.StructType([*docs.schema.fields, T.StructField("pieces", T.ArrayType(T.IntegerType()))])
+    return docs.mapInArrow(run, schema).withColumn("n_pieces", F.size("pieces").cast("long"))
 
 
 def decoded(df: DataFrame, model: PieceModel, pieces: str = "pieces") -> DataFrame:
     """Add ``decoded``: the text of the ids; null for null."""
-    _, decode = _both(df, model)
-    return df.drop("decoded").withColumn("decoded", decode(F.col(f"`{pieces}`")))
+    held = df.sparkSession.sparkContext.broadcast(model)
+    df = df.drop("decoded")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = held.value
+        for batch in batches:
+            for rows in _slices(batch, pc.list_value_length(batch.column(pieces)).fill_null(0).to_pylist()):
+                texts = [None if ids is None else model.decode(ids) for ids in rows.column(pieces).to_pylist()]
+                yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(texts, type=pa.string())], names=[*rows.schema.names, "decoded"])
+
+    return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("decoded", T.StringType())]))
 
 
 def op2_pieces(spark, sf_dir: str, model_path: str = DEFAULT_MODEL) -> DataFrame:
