@@ -21,7 +21,7 @@ from .common import Words, in_chunks, mix64, run_hash, shuffle_width, table
 
 WINDOW, MINIMISER_WORDS = 13, 3
 #: Bytes of text a task looks at together, and of packed text aimed at for a bucket.
-CHUNK_BYTES, BUCKET_BYTES = 3 << 20, 6 << 20
+CHUNK_BYTES, BUCKET_BYTES = 2 << 20, 4 << 20
 #: Packed text a byte of input, about: a super-k-mer repeats the twelve words it shares with the next one.
 PACKING = 3
 LAST = np.iinfo(np.int64).max
@@ -81,7 +81,18 @@ def _spans(at: np.ndarray, breaks: np.ndarray, width: int) -> tuple[np.ndarray,
     return np.concatenate([[0], cut + 1]), np.append(cut, len(at) - 1)
 
 
-PACKED = "bucket int, ids binary, keys binary, a binary, b binary, body binary"
+PACKED = "bucket int, n int, meta binary, body binary"
+
+
+def _pack_meta(ids: np.ndarray, keys: np.ndarray, a: np.ndarray, b: np.ndarray) -> bytes:
+    """Ids (as differences), text keys, word places and lengths of the entries of a block, compressed together."""
+    return zstandard.ZstdCompressor(level=1).compress(np.diff(ids, prepend=0).tobytes() + keys.tobytes() + a.astype(np.int32).tobytes() + b.astype(np.int32).tobytes())
+
+
+def _unpack_meta(meta: bytes, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    raw = zstandard.ZstdDecompressor().decompress(meta)
+    wide, narrow = np.frombuffer(raw[: 16 * n], dtype=np.int64), np.frombuffer(raw[16 * n :], dtype=np.int32)
+    return np.cumsum(wide[:n]), wide[n:], narrow[:n], narrow[n:]
 
 
 def _packer(buckets: int, width: int):
@@ -96,7 +107,7 @@ def _packer(buckets: int, width: int):
         if known.any():
             first, last = _spans(at[known], np.diff(text[known], prepend=text[known][:1]) != 0, width)
             t = text[known][first]
-            yield {"bucket": int(mix64(np.array([ids[0]], dtype=np.int64).view(np.uint64))[0] % np.uint64(buckets)), "ids": ids[t].tobytes(), "keys": keys[t].tobytes(), "a": (at[known][first] - words.first[t]).astype(np.int32).tobytes(), "b": (at[known][last] + width - words.first[t]).astype(np.int32).tobytes(), "body": None}
+            yield {"bucket": int(mix64(np.array([ids[0]], dtype=np.int64).view(np.uint64))[0] % np.uint64(buckets)), "n": len(t), "meta": _pack_meta(ids[t], keys[t], at[known][first] - words.first[t], at[known][last] + width - words.first[t]), "body": None}
         send, text = at[~known], text[~known]
         if not len(send):
             return
@@ -109,11 +120,11 @@ def _packer(buckets: int, width: int):
         begin, stop = words.start[send[first]], words.end[send[last] + width - 1]
         raw, t = words.raw, text[first]
         pieces = [raw[i:j] for i, j in zip(begin.tolist(), stop.tolist(), strict=True)]
-        a, b = (send[first] - words.first[t]).astype(np.int32), (stop - begin).astype(np.int32)
+        a, b = send[first] - words.first[t], stop - begin
         heads = np.flatnonzero(np.diff(bucket, prepend=-1))
         press = zstandard.ZstdCompressor(level=1)
         for i, j in zip(heads.tolist(), [*heads[1:].tolist(), len(bucket)], strict=True):
-            yield {"bucket": int(bucket[i]), "ids": ids[t[i:j]].tobytes(), "keys": keys[t[i:j]].tobytes(), "a": a[i:j].tobytes(), "b": b[i:j].tobytes(), "body": press.compress(b" ".join(pieces[i:j]))}
+            yield {"bucket": int(bucket[i]), "n": j - i, "meta": _pack_meta(ids[t[i:j]], keys[t[i:j]], a[i:j], b[i:j]), "body": press.compress(b" ".join(pieces[i:j]))}
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def held() -> Iterator[tuple[np.ndarray, np.ndarray, list[bytes]]]:
@@ -133,7 +144,7 @@ def _packer(buckets: int, width: int):
 
         for part in held():
             if rows := list(chunk(*part)):
-                yield pd.DataFrame(rows, columns=["bucket", "ids", "keys", "a", "b", "body"])
+                yield pd.DataFrame(rows, columns=["bucket", "n", "meta", "body"])
 
     return run
 
@@ -141,10 +152,13 @@ def _packer(buckets: int, width: int):
 def _unpacker(width: int):
     def run(group: pd.DataFrame) -> pd.DataFrame:
         ready, packed = group[group["body"].isna()], group[group["body"].notna()]
-        array = lambda df, c, kind: np.frombuffer(b"".join(df[c]), dtype=kind)
-        out = [(array(ready, "ids", np.int64), array(ready, "keys", np.int64), array(ready, "a", np.int32), array(ready, "b", np.int32))]
+        def entries(df: pd.DataFrame) -> list[np.ndarray]:
+            parts = [_unpack_meta(m, n) for m, n in zip(df["meta"], df["n"], strict=True)]
+            return [np.concatenate(x) for x in zip(*parts, strict=True)]
+
+        out = [tuple(entries(ready))] if len(ready) else []
         if len(packed):
-            ids, keys, a, lengths = (array(packed, c, k) for c, k in (("ids", np.int64), ("keys", np.int64), ("a", np.int32), ("b", np.int32)))
+            ids, keys, a, lengths = entries(packed)
             loose = zstandard.ZstdDecompressor()
             words = Words.of_joined(b" ".join(loose.decompress(x) for x in packed["body"]), lengths)
             at, piece = _window_starts(words, width)
@@ -157,24 +171,30 @@ def _unpacker(width: int):
                 p = piece[first]
                 base = a[p] - words.first[p]
                 out.append((ids[p], keys[p], (at[first] + base).astype(np.int32), (at[last] + width + base).astype(np.int32)))
-        ids, keys, a, b = (np.concatenate(x) for x in zip(*out, strict=True))
+        ids, keys, a, b = (np.concatenate(x) for x in zip(*out, strict=True)) if out else ([], [], [], [])
         return pd.DataFrame({"id": ids, "key": keys, "a": a, "b": b})
 
     return run
 
 
-def _keyed(docs: DataFrame, text: str) -> DataFrame:
+def _keyed(docs: DataFrame, text: str, apart: bool) -> DataFrame:
+    """Add ``__text``, ``__id`` (null last) and ``__key``, which tells rows of equal id apart (0 where ids are unique)."""
     body = F.coalesce(F.col(f"`{text}`").cast("string"), F.lit(""))
-    return docs.withColumn("__text", body).withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST)))).withColumn("__key", F.xxhash64(body))
+    key = F.xxhash64(body) if apart else F.lit(0).cast("long")
+    return docs.withColumn("__text", body).withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST)))).withColumn("__key", key)
+
+
+def _repeats_ids(docs: DataFrame) -> bool:
+    return not docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty()
 
 
-def repeated_spans(docs: DataFrame, text: str = "text", width: int = WINDOW) -> DataFrame:
+def repeated_spans(docs: DataFrame, text: str = "text", width: int = WINDOW, apart: bool = True) -> DataFrame:
     """``id, key, a, b``: word ranges [a, b) of documents, covered by windows that a document with a smaller id also has.
 
-    ``key`` is the text's hash (documents that share an id are told apart by it); a null doc_id is larger than any other.
+    ``key`` is the text's hash where ``apart`` (documents that share an id are told apart by it), else 0; a null doc_id is larger than any other.
     """
     spark = docs.sparkSession
-    keyed = _keyed(docs, text)
+    keyed = _keyed(docs, text, apart)
     size = keyed.agg(F.sum(F.octet_length("__text"))).first()[0] or 0
     buckets = int(min(1 << 30, max(4 * shuffle_width(spark), PACKING * size // BUCKET_BYTES)))
     packed = keyed.select(F.col("__id").alias("id"), F.col("__key").alias("key"), F.col("__text").alias("text")).mapInPandas(_packer(buckets, width), PACKED)
@@ -188,8 +208,9 @@ def drop_repeats(docs: DataFrame, text: str = "text", width: int = WINDOW) -> Da
     columns of these names are replaced). Windows are judged on the input. Null texts become empty; every row stays, repeated rows too;
     rows of equal doc_id do not count as smaller than each other; an empty table gives no rows.
     """
-    spans = repeated_spans(docs, text, width).groupBy(F.col("id").alias("s_id"), F.col("key").alias("s_key")).agg(F.collect_list(F.struct("a", "b")).alias("s_spans"))
-    keyed = _keyed(docs.drop("n_words", "n_removed"), text)
+    apart = _repeats_ids(docs)
+    spans = repeated_spans(docs, text, width, apart).groupBy(F.col("id").alias("s_id"), F.col("key").alias("s_key")).agg(F.collect_list(F.struct("a", "b")).alias("s_spans"))
+    keyed = _keyed(docs.drop("n_words", "n_removed"), text, apart)
     joined = keyed.join(spans, (F.col("__id") == F.col("s_id")) & (F.col("__key") == F.col("s_key")), "left").drop("s_id", "s_key", "__id", "__key")
     others = [c for c in docs.columns if c not in (text, "n_words", "n_removed")]
     shaped = joined.select(F.col("__text").alias("text"), F.col("s_spans.a").alias("a"), F.col("s_spans.b").alias("b"), F.struct(*[F.col(f"`{c}`") for c in others]).alias("row"))
