@@ -6,8 +6,8 @@ documented chance, so only the rarest K - T + 1 pairs of each signature need pos
 Collisions are counted over whole signatures, pairs below T are dropped, the others are confirmed on the full sets of the texts.
 
 No posting list is expanded into all its pairs. First every member meets two pivots of its list: a verified star joins most of a group.
-Then only members that are still in different components of one list meet, which loses no link, since links inside a component change
-nothing.
+Then members of lists that still hold several components are searched exactly across components, by prefixes of their full sets; links
+inside a component change nothing, so none is lost.
 """
 
 from __future__ import annotations
@@ -156,6 +156,45 @@ def _postings(classes: DataFrame, k: int, need: int) -> DataFrame:
     return lists.select(F.explode(F.slice("ts", F.lit(1), F.col("room"))).alias("p"), "node", "n", "weight").select("p.token", "node", "n", "weight")
 
 
+def _hasher(size: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = [(t or "").encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
+            for part in in_chunks(texts, list(map(len, texts)), CHUNK_BYTES):
+                hashes, text = _shingles(Words(texts[part], lower=True), size)
+                n = part.stop - part.start
+                sets = [np.unique(x).view(np.int64) for x in np.split(hashes, np.cumsum(np.bincount(text, minlength=n))[:-1])]
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int32)), pa.array(np.concatenate(sets)))
+                yield pa.RecordBatch.from_arrays([batch.column(i).slice(part.start, n) for i in (0, 1)] + [lists], names=["node", "c", "hs"])
+
+    return run
+
+
+def _pairs_across(unsettled: DataFrame, texts: DataFrame, percent: int, size: int) -> DataFrame:
+    """``a, b``: pairs of nodes in different components that may be linked, found exactly.
+
+    Works on the full sets of the nodes whose posting lists hold several components. Of two sets that alike, the smaller one shares one of
+    its rarest ``n - 2p/(100+p) n + 1`` shingles with the rarest ``n - p/100 n + 1`` of the larger one. Shingles that no other node has use
+    up that prefix and bound the intersection, so copies with many edits of their own are posted nowhere and meet nobody.
+    """
+    rows = unsettled.join(texts, F.col("node") == F.col("t_id")).select("node", "c", "t_text")
+    sets = materialise(rows.mapInArrow(_hasher(size), "node long, c long, hs array<long>"), "sets")
+    held = sets.select("node", "c", F.size("hs").cast("long").alias("n"), F.explode("hs").alias("h"))
+    shared = held.groupBy(F.col("h").alias("x")).agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    # a text's shingles: as many as it has words
+    lists = held.join(shared, F.col("h") == F.col("x")).groupBy("node", "c", "n").agg(F.sort_array(F.collect_list(F.struct("df", "h"))).alias("ts"))
+    alone = F.col("n") - F.size("ts")
+    lists = lists.withColumn("most", F.size("ts").cast("long"))
+    room_small = (F.col("n") - F.ceil(2 * percent * F.col("n") / (100 + percent)) + 1 - alone).cast("int")
+    room_large = (F.col("n") - F.ceil(percent * F.col("n") / 100) + 1 - alone).cast("int")
+    lists = materialise(lists.withColumn("small", F.slice("ts.h", F.lit(1), F.greatest(F.lit(0), room_small))).withColumn("large", F.slice("ts.h", F.lit(1), F.greatest(F.lit(0), room_large))).drop("ts").where(F.size("large") > 0), "prefixes")
+    x, y = (lists.select(F.explode(side).alias("h"), *[F.col(k).alias(f"{k}_{v}") for k in ("node", "c", "n", "most")]) for side, v in (("small", "x"), ("large", "y")))
+    both = F.least("most_x", "most_y")
+    order = (F.col("n_x") < F.col("n_y")) | ((F.col("n_x") == F.col("n_y")) & (F.col("node_x") < F.col("node_y")))
+    may = order & (F.col("c_x") != F.col("c_y")) & (100 * both >= percent * (F.col("n_x") + F.col("n_y") - both))
+    return x.join(y, "h").where(may).select(F.least("node_x", "node_y").alias("a"), F.greatest("node_x", "node_y").alias("b")).distinct()
+
+
 def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int = SHINGLE_WORDS, k: int = COORDINATES, miss: float = MISS) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for every row of ``docs``.
 
@@ -192,13 +231,10 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     tried = materialise(star.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct(), "pairs")
     links = materialise(confirmed(tried), "links")
     labels = materialise(components(links), "components")
-    placed = posted.join(labels.select(F.col("node").alias("l_node"), "component"), F.col("node") == F.col("l_node"), "left").select("token", "node", "n", F.coalesce("component", "node").alias("c"))
-    open_lists = placed.groupBy("token", "c").agg(F.count(F.lit(1)).alias("held")).groupBy(F.col("token").alias("t")).agg(F.max(F.struct("held", "c")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    rest = materialise(placed.join(open_lists, F.col("token") == F.col("t")).select("token", "node", "n", "c", (F.col("c") == F.col("main.c")).alias("inside")), "open")
-    x, y = (rest.select("token", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "c", "inside")]) for s in "xy")
-    near = (100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")) & (F.col("c_x") != F.col("c_y")) & (F.col("inside_y") | (F.col("node_x") < F.col("node_y")))
-    more = x.where(~F.col("inside_x")).join(y, "token").where(near).select(F.least("node_x", "node_y").alias("a"), F.greatest("node_x", "node_y").alias("b")).distinct()
-    more = materialise(confirmed(more.join(tried, ["a", "b"], "left_anti")), "links")
+    placed = posted.join(labels.select(F.col("node").alias("l_node"), "component"), F.col("node") == F.col("l_node"), "left").select("token", "node", F.coalesce("component", "node").alias("c"))
+    split = placed.groupBy("token").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("token")
+    unsettled = materialise(placed.join(split, "token", "left_semi").groupBy("node").agg(F.min("c").alias("c")), "open")
+    more = materialise(confirmed(_pairs_across(unsettled, texts, percent, size).join(tried, ["a", "b"], "left_anti")), "links")
     if not more.isEmpty():
         labels = materialise(components(links.union(more)), "components")
     final = labels.select(F.col("node").alias("l_node"), F.col("component").alias("l_component"))
