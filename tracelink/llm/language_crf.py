@@ -216,7 +216,8 @@ def identified(docs: DataFrame, model: LanguageModel, text: str = "text") -> Dat
                     preds[part.start + i], scores[part.start + i] = model.languages[b], min(1.0, m)
             yield pd.DataFrame({"lang": preds, "score": scores})
 
-    guess = F.pandas_udf(run, "lang string, score double")
+    # declared nondeterministic so that a filter on the result is not pushed below it, which would run it twice
+    guess = F.pandas_udf(run, "lang string, score double").asNondeterministic()
     out = docs.drop("lang_pred", "lang_score").withColumn("__guess", guess(F.col(f"`{text}`").cast("string")))
     return out.withColumn("lang_pred", F.col("__guess.lang")).withColumn("lang_score", F.col("__guess.score")).drop("__guess")
 
