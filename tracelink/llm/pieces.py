@@ -23,7 +23,7 @@ from .common import in_chunks, table
 #: The mark that stands for a blank in pieces (fixed value), and what an uncovered character costs below the worst piece.
 MARK, UNKNOWN_COST = "▁", 10.0
 #: Segments a worker keeps; bytes of text or ids that are coded before a batch goes out.
-CACHE_SEGMENTS, SLICE = 150_000, 2 << 20
+CACHE_SEGMENTS, SLICE = 300_000, 2 << 20
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
@@ -62,28 +62,35 @@ class Automaton:
             own = (self.piece[at],) if self.piece[at] is not None else ()
             self.ends[at] = own + self.ends[self.link[at]] if self.link[at] else own
 
-    def best(self, text: str, single: frozenset[str], unknown: float) -> list[tuple[int, int]]:
+    def best(self, text: str, unknown: float) -> list[tuple[int, int]]:
         """Best segmentation as (length, id); id -1 is one uncovered character. Ties go to the piece that begins first."""
-        n = len(text)
-        score = [0.0] + [float("-inf")] * n
-        back: list[tuple[int, int]] = [(0, 0)] * (n + 1)
+        score = [0.0]
+        back: list[tuple[int, float, int]] = [(0, 0.0, 0)]
+        none = (1, unknown, -1)
         at, step, fail, ends = 0, self.next, self.fail, self.ends
         for i, c in enumerate(text, 1):
-            while at and c not in step[at]:
+            to = step[at].get(c)
+            while to is None and at:
                 at = fail[at]
-            at = step[at].get(c, 0)
-            top, how = float("-inf"), (1, -1)
-            for length, gain, number in ends[at]:
-                s = score[i - length] + gain
+                to = step[at].get(c)
+            at = to or 0
+            here = ends[at]
+            top, how = float("-inf"), none
+            for piece in here:
+                s = score[i - piece[0]] + piece[1]
                 if s > top:
-                    top, how = s, (length, number)
-            if c not in single and score[i - 1] + unknown > top:
-                top, how = score[i - 1] + unknown, (1, -1)
-            score[i], back[i] = top, how
-        out, i = [], n
+                    top, how = s, piece
+            if not here or here[-1][0] != 1:  # no piece is this character alone
+                s = score[i - 1] + unknown
+                if s > top:
+                    top, how = s, none
+            score.append(top)
+            back.append(how)
+        out, i = [], len(text)
         while i:
-            out.append(back[i])
-            i -= back[i][0]
+            length, _, number = back[i]
+            out.append((length, number))
+            i -= length
         return out[::-1]
 
 
@@ -95,7 +102,7 @@ class PieceModel:
     byte_ids: list[int]
     spelled: list[bytes]
     _ready: tuple | None = field(default=None, repr=False)
-    _cache: dict[str, array] = field(default_factory=dict, repr=False)
+    _cache: dict[str, bytes] = field(default_factory=dict, repr=False)
 
     @classmethod
     def load(cls, path: str) -> PieceModel:
@@ -120,22 +127,21 @@ class PieceModel:
     def _prepare(self) -> tuple:
         if self._ready is None:
             covered = {c for p, _, _ in self.pieces for c in p}
-            single = frozenset(p for p, _, _ in self.pieces if len(p) == 1)
             unknown = min(s for _, s, _ in self.pieces) - UNKNOWN_COST
             alone = "".join(c for c in "\n\t\r" if c not in covered)
             if any(re.search(f"[^{MARK}]{MARK}", p) for p, _, _ in self.pieces):
                 segments = re.compile(r"(?s).+")  # pieces cross blanks: nothing may be cut
             else:
                 segments = re.compile(f" *[^ {re.escape(alone)}]+| +" + (f"|[{re.escape(alone)}]" if alone else ""))
-            self._ready = Automaton(self.pieces), single, unknown, segments
+            self._ready = Automaton(self.pieces), unknown, segments
         return self._ready
 
     def _segment(self, text: str) -> array:
-        machine, single, unknown, _ = self._prepare()
+        machine, unknown, _ = self._prepare()
         out, at = array("i"), 0
         # a literal mark is no blank: it is spelled in bytes, so that decoding is exact
         shown = text.replace(MARK, "\ue000").replace(" ", MARK) if MARK in text else text.replace(" ", MARK)
-        for length, number in machine.best(shown, single, unknown):
+        for length, number in machine.best(shown, unknown):
             if number >= 0:
                 out.append(number)
             else:
@@ -147,17 +153,17 @@ class PieceModel:
         """Piece ids of the blank-prefixed text; none for an empty or null one."""
         if not text:
             return np.zeros(0, dtype=np.int32)
-        segments, cache, out = self._prepare()[3], self._cache, array("i")
+        cache = self._cache
+        segments = self._prepare()[2].findall(" " + text)
+        fresh = set(segments).difference(cache)
+        long = {}
+        for s in fresh:
+            (cache if len(s) <= 64 else long)[s] = self._segment(s).tobytes()
+        look = cache.__getitem__ if not long else lambda s: long[s] if s in long else cache[s]
+        out = np.frombuffer(b"".join(map(look, segments)), dtype=np.int32)
         if len(cache) > CACHE_SEGMENTS:
             cache.clear()
-        for s in segments.findall(" " + text):
-            ids = cache.get(s)
-            if ids is None:
-                ids = self._segment(s)
-                if len(s) <= 64:
-                    cache[s] = ids
-            out += ids
-        return np.frombuffer(out, dtype=np.int32)
+        return out
 
     def decode(self, ids) -> str:
         raw = b"".join(map(self.spelled.__getitem__, ids))
