@@ -24,8 +24,13 @@ from .common import in_chunks, table
 MARK, UNKNOWN_COST = "▁", 10.0
 #: Segments a worker keeps; bytes of text or ids that are coded before a batch goes out.
 CACHE_SEGMENTS, SLICE = 300_000, 2 << 20
+#: Transitions over failure links that a worker keeps as direct ones.
+KEPT_STEPS = 500_000
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
+#: Below every score; (length, id) of an uncovered character.
+LOWEST, NO_PIECE = float("-inf"), (1, -1)
+
 
 class Automaton:
     """Aho-Corasick automaton with output links over (piece, score, id)."""
@@ -56,44 +61,80 @@ class Automaton:
                 queue.append(to)
             back = self.fail[at]
             self.link[at] = back if self.piece[back] is not None else self.link[back]
-        #: all pieces that end in a state, longest first, as found by walking the output links
-        self.ends: list[tuple[tuple[int, float, int], ...]] = [()] * n
-        for at in queue:
-            own = (self.piece[at],) if self.piece[at] is not None else ()
+        #: transitions over failure links that may still be kept (a bound of memory, not of results)
+        self.room = KEPT_STEPS
+        self.queue, self.unknown = queue, None
+
+    def _cover(self, unknown: float) -> None:
+        """Fix what an uncovered character costs."""
+        self.unknown = unknown
+        #: all pieces that end in a state, longest first, as found by walking the output links: place of their begin from the end of the
+        #: scores, own score, (length, id); where no piece is the last character alone, that as an uncovered one comes last
+        self.ends: list[tuple[tuple[int, float, tuple[int, int]], ...]] = [()] * len(self.next)
+        for at in self.queue:
+            own = ()
+            if self.piece[at] is not None:
+                length, score, number = self.piece[at]
+                own = ((-length, score, (length, number)),)
             self.ends[at] = own + self.ends[self.link[at]] if self.link[at] else own
+        none = ((-1, unknown, NO_PIECE),)
+        self.ends = [e if e and e[-1][0] == -1 else e + none for e in self.ends]
+
+    def _hop(self, at: int, c: str) -> int:
+        """State after ``c`` by the failure links; kept as a direct transition while there is room."""
+        came, to = at, None
+        while to is None and at:
+            at = self.fail[at]
+            to = self.next[at].get(c)
+        to = to or 0
+        if self.room:
+            self.room -= 1
+            self.next[came][c] = to
+        return to
 
     def best(self, text: str, unknown: float) -> list[tuple[int, int]]:
         """Best segmentation as (length, id); id -1 is one uncovered character. Ties go to the piece that begins first."""
-        score = [0.0]
-        back: list[tuple[int, float, int]] = [(0, 0.0, 0)]
-        none = (1, unknown, -1)
-        at, step, fail, ends = 0, self.next, self.fail, self.ends
-        for i, c in enumerate(text, 1):
-            to = step[at].get(c)
-            while to is None and at:
-                at = fail[at]
-                to = step[at].get(c)
-            at = to or 0
-            here = ends[at]
-            top, how = float("-inf"), none
-            for piece in here:
-                s = score[i - piece[0]] + piece[1]
+        if unknown != self.unknown:
+            self._cover(unknown)
+        score, back, at = [0.0], [NO_PIECE], 0
+        step, ends, put, keep = self.next, self.ends, score.append, back.append
+        for c in text:
+            try:
+                at = step[at][c]
+            except KeyError:
+                at = self._hop(at, c)
+            top = LOWEST
+            for before, own, piece in ends[at]:
+                s = score[before] + own
                 if s > top:
                     top, how = s, piece
-            if not here or here[-1][0] != 1:  # no piece is this character alone
-                s = score[i - 1] + unknown
-                if s > top:
-                    top, how = s, none
-            score.append(top)
-            back.append(how)
+            put(top)
+            keep(how)
         out, i = [], len(text)
         while i:
-            length, _, number = back[i]
+            length, number = back[i]
             out.append((length, number))
             i -= length
         return out[::-1]
 
 
+class _Words(dict):
+    """Ids, as bytes, of words that follow one blank; looks up what is missing in ``model``."""
+
+    def __init__(self, model: PieceModel):
+        self.model = model
+
+    def __missing__(self, word: str) -> bytes:
+        parts = self.model._prepare()[1].findall(" " + word)
+        if len(parts) == 1:
+            ids = self.model._segment(parts[0]).tobytes()
+            if len(word) < 64:
+                self[word] = ids
+            return ids
+        # line ends stand alone; what follows them has no blank before it
+        return b"".join([self[p[1:]] if p[0] == " " and len(p) > 1 else self.model._bare(p) for p in parts])
+
+
 @dataclass
 class PieceModel:
     """Pieces of a vocabulary with their scores; byte pieces spell what no piece covers."""
@@ -102,7 +143,8 @@ class PieceModel:
     byte_ids: list[int]
     spelled: list[bytes]
     _ready: tuple | None = field(default=None, repr=False)
-    _cache: dict[str, bytes] = field(default_factory=dict, repr=False)
+    _cache: _Words | None = field(default=None, repr=False)
+    _bares: dict[str, bytes] = field(default_factory=dict, repr=False)
 
     @classmethod
     def load(cls, path: str) -> PieceModel:
@@ -129,15 +171,17 @@ class PieceModel:
             covered = {c for p, _, _ in self.pieces for c in p}
             unknown = min(s for _, s, _ in self.pieces) - UNKNOWN_COST
             alone = "".join(c for c in "\n\t\r" if c not in covered)
-            if any(re.search(f"[^{MARK}]{MARK}", p) for p, _, _ in self.pieces):
+            crossed = any(re.search(f"[^{MARK}]{MARK}", p) for p, _, _ in self.pieces)
+            if crossed:
                 segments = re.compile(r"(?s).+")  # pieces cross blanks: nothing may be cut
             else:
                 segments = re.compile(f" *[^ {re.escape(alone)}]+| +" + (f"|[{re.escape(alone)}]" if alone else ""))
-            self._ready = Automaton(self.pieces), unknown, segments
+            self._ready = Automaton(self.pieces), segments, not crossed, unknown
+            self._cache = _Words(self)
         return self._ready
 
     def _segment(self, text: str) -> array:
-        machine, unknown, _ = self._prepare()
+        machine, _, _, unknown = self._prepare()
         out, at = array("i"), 0
         # a literal mark is no blank: it is spelled in bytes, so that decoding is exact
         shown = text.replace(MARK, "\ue000").replace(" ", MARK) if MARK in text else text.replace(" ", MARK)
@@ -149,21 +193,30 @@ class PieceModel:
             at += length
         return out
 
+    def _bare(self, text: str) -> bytes:
+        """Ids of a segment that no blank begins."""
+        ids = self._bares.get(text)
+        if ids is None:
+            ids = self._segment(text).tobytes()
+            if len(text) < 64:
+                if len(self._bares) > CACHE_SEGMENTS // 4:
+                    self._bares.clear()
+                self._bares[text] = ids
+        return ids
+
     def encode(self, text: str | None) -> np.ndarray:
         """Piece ids of the blank-prefixed text; none for an empty or null one."""
         if not text:
             return np.zeros(0, dtype=np.int32)
+        _, segments, by_blank, _ = self._prepare()
         cache = self._cache
-        segments = self._prepare()[2].findall(" " + text)
-        fresh = set(segments).difference(cache)
-        long = {}
-        for s in fresh:
-            (cache if len(s) <= 64 else long)[s] = self._segment(s).tobytes()
-        look = cache.__getitem__ if not long else lambda s: long[s] if s in long else cache[s]
-        out = np.frombuffer(b"".join(map(look, segments)), dtype=np.int32)
+        if by_blank and "  " not in text and text[0] != " " and text[-1] != " ":
+            ids = b"".join(map(cache.__getitem__, text.split(" ")))  # one blank before each word
+        else:
+            ids = b"".join([cache[s[1:]] if by_blank and s[0] == " " and s[1:2] not in ("", " ") else self._bare(s) for s in segments.findall(" " + text)])
         if len(cache) > CACHE_SEGMENTS:
             cache.clear()
-        return out
+        return np.frombuffer(ids, dtype=np.int32)
 
     def decode(self, ids) -> str:
         raw = b"".join(map(self.spelled.__getitem__, ids))
@@ -195,7 +248,7 @@ def encoded(docs: DataFrame, model: PieceModel, text: str = "text") -> DataFrame
 
 
 def decoded(df: DataFrame, model: PieceModel, pieces: str = "pieces") -> DataFrame:
-    """Add ``decoded``: the text of the ids; null for null."""
+    """Add ``decoded``: the text of the ids; null for null; null ids in a list are passed over."""
     held = df.sparkSession.sparkContext.broadcast(model)
     df = df.drop("decoded")
 
@@ -203,7 +256,13 @@ def decoded(df: DataFrame, model: PieceModel, pieces: str = "pieces") -> DataFra
         model = held.value
         for batch in batches:
             for rows in _slices(batch, pc.list_value_length(batch.column(pieces)).fill_null(0).to_pylist()):
-                texts = [None if ids is None else model.decode(ids) for ids in rows.column(pieces).to_pylist()]
+                lists = rows.column(pieces)
+                flat = lists.flatten()
+                if flat.null_count:
+                    texts = [None if ids is None else model.decode(i for i in ids if i is not None) for ids in lists.to_pylist()]
+                else:
+                    flat, ends = flat.to_numpy(), np.cumsum(pc.list_value_length(lists).fill_null(0).to_numpy(zero_copy_only=False)).tolist()
+                    texts = [model.decode(flat[a:b].tolist()) if there else None for a, b, there in zip([0, *ends], ends, lists.is_valid().to_pylist(), strict=False)]
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(texts, type=pa.string())], names=[*rows.schema.names, "decoded"])
 
     return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("decoded", T.StringType())]))
