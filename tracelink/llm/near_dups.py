@@ -54,7 +54,7 @@ def _shingles(words: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _signer(size: int, k: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("sig", pa.list_(pa.int64()))])
+    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("sig", pa.list_(pa.int32()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -80,7 +80,7 @@ def _signer(size: int, k: int):
                         sig[:, i] = np.minimum.reduceat((h ^ _SEEDS[i]) * _FACTORS[i], heads)
                 ends = np.zeros(n + 1, dtype=np.int32)
                 ends[1:] = np.cumsum(np.where(held > 0, k, 0))
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(sig.ravel().view(np.int64)))
+                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array((sig.ravel() >> np.uint64(32)).astype(np.uint32).view(np.int32)))
                 ids = batch.column(0).slice(part.start, n)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(held.astype(np.int64)), pa.array(sums[0].view(np.int64)), pa.array(sums[1].view(np.int64)), lists], schema=schema)
 
@@ -88,9 +88,9 @@ def _signer(size: int, k: int):
 
 
 def signatures(docs: DataFrame, text: str = "text", size: int = SHINGLE_WORDS, k: int = COORDINATES) -> DataFrame:
-    """``doc_id, n_shingles, s1, s2, sig``: set size, 128-bit digest of the set and its MinHash signature (empty without words)."""
+    """``doc_id, n_shingles, s1, s2, sig``: set size, 128-bit digest of the set and its MinHash signature (upper halves of 64-bit minima; empty without words)."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(f"`{text}`").cast("string").alias("text"))
-    return rows.mapInArrow(_signer(size, k), "doc_id long, n_shingles long, s1 long, s2 long, sig array<long>")
+    return rows.mapInArrow(_signer(size, k), "doc_id long, n_shingles long, s1 long, s2 long, sig array<int>")
 
 
 def shingle_set(text: str | None, size: int = SHINGLE_WORDS) -> set[tuple[bytes, ...]]:
@@ -188,10 +188,11 @@ def _pairs_across(unsettled: DataFrame, texts: DataFrame, percent: int, size: in
     room_small = (F.col("n") - F.ceil(2 * percent * F.col("n") / (100 + percent)) + 1 - alone).cast("int")
     room_large = (F.col("n") - F.ceil(percent * F.col("n") / 100) + 1 - alone).cast("int")
     lists = materialise(lists.withColumn("small", F.slice("ts.h", F.lit(1), F.greatest(F.lit(0), room_small))).withColumn("large", F.slice("ts.h", F.lit(1), F.greatest(F.lit(0), room_large))).drop("ts").where(F.size("large") > 0), "prefixes")
-    x, y = (lists.select(F.explode(side).alias("h"), *[F.col(k).alias(f"{k}_{v}") for k in ("node", "c", "n", "most")]) for side, v in (("small", "x"), ("large", "y")))
-    both = F.least("most_x", "most_y")
+    x, y = (lists.select(F.posexplode(side).alias(f"at_{v}", "h"), *[F.col(k).alias(f"{k}_{v}") for k in ("node", "c", "n", "most")]) for side, v in (("small", "x"), ("large", "y")))
     order = (F.col("n_x") < F.col("n_y")) | ((F.col("n_x") == F.col("n_y")) & (F.col("node_x") < F.col("node_y")))
-    may = order & (F.col("c_x") != F.col("c_y")) & (100 * both >= percent * (F.col("n_x") + F.col("n_y") - both))
+    # all sets have one order of shingles: before a pair's first common one there is none, so all are in what is left from there on
+    left = F.least(F.col("most_x") - F.col("at_x"), F.col("most_y") - F.col("at_y"))
+    may = order & (F.col("c_x") != F.col("c_y")) & (100 * left >= percent * (F.col("n_x") + F.col("n_y") - left))
     return x.join(y, "h").where(may).select(F.least("node_x", "node_y").alias("a"), F.greatest("node_x", "node_y").alias("b")).distinct()
 
 
