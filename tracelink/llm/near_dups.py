@@ -12,6 +12,7 @@ inside a component change nothing, so none is lost.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from math import comb
 
@@ -25,6 +26,8 @@ from .common import Words, in_chunks, materialise, mix64, run_hash, table
 
 SHINGLE_WORDS, COORDINATES, MISS = 5, 32, 1e-6
 CHUNK_BYTES = 3 << 20
+#: Bits of the filter on ids (8 MB at any size of the input), and of one block of it.
+FILTER_BITS, BLOCK_BITS = 1 << 26, 1 << 16
 _SEEDS = mix64(np.arange(1, 4097, dtype=np.uint64))
 _FACTORS = mix64(np.arange(5001, 9097, dtype=np.uint64)) | np.uint64(1)
 
@@ -196,6 +199,36 @@ def _pairs_across(unsettled: DataFrame, texts: DataFrame, percent: int, size: in
     return x.join(y, "h").where(may).select(F.least("node_x", "node_y").alias("a"), F.greatest("node_x", "node_y").alias("b")).distinct()
 
 
+def _sieved(texts: DataFrame, ids: DataFrame) -> DataFrame:
+    """``t_id, t_text`` of rows that a hash filter of fixed size takes for one of ``ids(p_node)``: all of those, and a few others.
+
+    It only spares the following exact join most rows' shuffle; its share of wrong passes is at most the ids per bit.
+    """
+
+    def place(c: str):
+        return F.pmod(F.xxhash64(c), F.lit(FILTER_BITS))
+
+    def pack(rows: pd.DataFrame) -> pd.DataFrame:
+        bits = np.zeros(BLOCK_BITS, dtype=bool)
+        bits[rows["at"].to_numpy()] = True
+        return pd.DataFrame({"block": rows["block"].iloc[:1], "packed": [zlib.compress(np.packbits(bits).tobytes(), 1)]})
+
+    blocks = ids.select(place("p_node").alias("p")).distinct().select(F.floor(F.col("p") / BLOCK_BITS).alias("block"), (F.col("p") % BLOCK_BITS).alias("at"))
+    whole = np.zeros(FILTER_BITS // 8, dtype=np.uint8)
+    size = BLOCK_BITS // 8
+    for block, packed in blocks.groupBy("block").applyInPandas(pack, "block long, packed binary").collect():  # FILTER_BITS / BLOCK_BITS rows at most
+        whole[block * size : (block + 1) * size] = np.frombuffer(zlib.decompress(packed), dtype=np.uint8)
+    held = texts.sparkSession.sparkContext.broadcast(whole)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = batch.column(2).to_numpy()
+            kept = batch.filter(pa.array((held.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1))
+            yield kept.select(["t_id", "t_text"])
+
+    return texts.where("t_id is not null").withColumn("at", place("t_id")).mapInArrow(run, "t_id long, t_text string")
+
+
 def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int = SHINGLE_WORDS, k: int = COORDINATES, miss: float = MISS) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for every row of ``docs``.
 
@@ -216,7 +249,7 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     posted = materialise(_postings(leaders, k, need), "postings")
     in_reach = posted.select(F.col("node").alias("p_node")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("t_id"), F.col(f"`{text}`").cast("string").alias("t_text"))
-    texts = materialise(texts.join(in_reach, F.col("t_id") == F.col("p_node"), "left_semi").distinct(), "texts")
+    texts = materialise(_sieved(texts, in_reach).join(in_reach, F.col("t_id") == F.col("p_node"), "left_semi").distinct(), "texts")
     sigs = materialise(leaders.join(in_reach, F.col("doc_id") == F.col("p_node"), "left_semi").select(F.col("doc_id").alias("g_id"), "sig"), "sigs")
 
     def confirmed(pairs: DataFrame) -> DataFrame:
