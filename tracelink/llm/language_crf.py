@@ -24,7 +24,7 @@ SAMPLE_DOCS = 600
 #: Hashed feature columns, lexicon words kept for a language, passes over the sample, learning rate, weight decay.
 COLUMNS, LEXICON, PASSES, RATE, DECAY = 1 << 15, 4000, 5, 0.1, 1e-4
 #: Texts of about this many bytes go through forward-backward together; word scores held by a worker.
-GROUP_BYTES, CACHE_WORDS = 6 << 20, 300_000
+GROUP_BYTES, CACHE_WORDS = 3 << 20, 200_000
 UNKNOWN = "und"
 
 _WORD = re.compile(r"[^\W\d_]+")
