@@ -53,6 +53,22 @@ def test_query_equals_its_sql_twin(spark, name):
     assert got == want
 
 
+@pytest.mark.parametrize("name", ["rel_join_inner_whole", "rel_join_left_whole", "rel_join_right_whole", "rel_join_full_whole", "p_snap_whole"])
+def test_whole_tables_equal_their_sql_twin(spark, name):
+    test_query_equals_its_sql_twin(spark, name)
+    if name.startswith("rel"):
+        df = workloads.QUERIES[name](spark, SF)
+        assert df.where("o_orderkey is not null").count() == S.read(spark, SF, "orders").count()
+        want = 0 if "inner" in name else S.read(spark, SF, "customer").count()
+        assert not want or df.select("c_custkey").distinct().count() == want
+    else:
+        points = S.raw(S.read(spark, SF, "events")).select("oid", "t", "x", "y").distinct()
+        place = {r["pid"]: (r["x"], r["y"]) for r in S.locations(S.habit(S.read(spark, SF, "events"))).collect()}
+        near = {(p["oid"], p["t"], p["x"], p["y"]): min(((p["x"] - x) ** 2 + (p["y"] - y) ** 2, i) for i, (x, y) in place.items()) for p in points.collect()}
+        got = {(r["oid"], r["t"], r["x"], r["y"]): r["pid"] for r in workloads.QUERIES[name](spark, SF).collect()}
+        assert got == {k: i for k, (d2, i) in near.items() if d2 <= 16}
+
+
 def test_registry_is_complete():
     assert {relational, streams} and len(workloads.QUERIES) > 200 and set(workloads.ORACLES) <= set(workloads.QUERIES)
 

@@ -77,14 +77,17 @@ add("p_min_points", lambda s, d: P.min_points(habit(s, d), 68).groupBy("oid").ag
     f"WITH {Q.HABIT} SELECT oid, count(*) AS points FROM habit GROUP BY oid HAVING count(*) >= 68")
 
 
-def _snap(s: SparkSession, d: str) -> DataFrame:
-    anchors = S.locations(habit(s, d).where(F.col("pid") % 7 == 0))
+def _snap(s: SparkSession, d: str, whole: bool = False) -> DataFrame:
+    anchors = S.locations(habit(s, d) if whole else habit(s, d).where(F.col("pid") % 7 == 0))
     return P.snap(S.raw(S.read(s, d, "events")).select("oid", "t", "x", "y"), anchors, 4.0).select("oid", "t", "x", "y", "pid", F.round("d2", 6).alias("d2"))
 
 
 add("p_snap", _snap, f"""WITH {Q.HABIT}, {Q.RAW}, a AS (SELECT pid, min(x) AS ax, min(y) AS ay FROM habit WHERE pid % 7 = 0 GROUP BY pid),
     c AS (SELECT DISTINCT r.oid, r.t, r.x, r.y, a.pid, (x - ax) ** 2 + (y - ay) ** 2 AS d2 FROM raw r JOIN a ON abs(x - ax) <= 4 AND abs(y - ay) <= 4)
     SELECT oid, t, x, y, pid, round(d2, 6) AS d2 FROM (SELECT *, row_number() OVER (PARTITION BY oid, t, x, y ORDER BY d2, pid) AS r FROM c WHERE d2 <= 16) WHERE r = 1""")
+add("p_snap_whole", lambda s, d: _snap(s, d, True), f"""WITH {Q.HABIT}, {Q.RAW}, a AS (SELECT pid, min(x) AS ax, min(y) AS ay FROM habit GROUP BY pid),
+    c AS (SELECT DISTINCT r.oid, r.t, r.x, r.y, a.pid, (x - ax) ** 2 + (y - ay) ** 2 AS d2 FROM raw r JOIN a ON abs(x - ax) <= 4 AND abs(y - ay) <= 4)
+    SELECT oid, t, x, y, pid, round(d2, 6) AS d2 FROM (SELECT *, row_number() OVER (PARTITION BY oid, t, x, y ORDER BY d2, pid) AS r FROM c WHERE d2 <= 16) WHERE r = 1""")
 GRID = "least({0} - 1, greatest(0, floor(x / (100.0 / {0}))::BIGINT)) * {0} + least({0} - 1, greatest(0, floor(y / (100.0 / {0}))::BIGINT))"
 for r in (10, 100):
     add(f"p_grid_{r}", lambda s, d, r=r: P.to_grid(habit(s, d), r).groupBy("pid").agg(F.count(F.lit(1)).alias("points")),
