@@ -204,6 +204,17 @@ def test_dense_indices_agree(spark):
         assert rows(spaces.knn(vectors, 3, kind), "qid", "oid", "rnk") == want
 
 
+def test_dense_indices_take_the_smallest_ids_among_copies(spark):
+    random.seed(5)
+    one = [random.gauss(0, 1) for _ in range(6)]
+    near = [one[0] * (1 + 1e-5), *one[1:]]  # rounds to the same similarity, a little way off
+    data = [(i, one) for i in range(60, 10, -1)] + [(i, near) for i in range(10)] + [(i, [random.gauss(0, 1) for _ in range(6)]) for i in range(400, 100, -1)]
+    vectors = spark.createDataFrame(data, "vec_id long, embedding array<double>").coalesce(1)
+    want = rows(L.dense_knn(vectors, 3), "qid", "oid", "rnk")
+    for kind in ("kdtree", "rtree", "hbtree"):
+        assert rows(spaces.knn(vectors, 3, kind), "qid", "oid", "rnk") == want
+
+
 def greedy(edges):
     taken_q, taken_d, out = set(), set(), set()
     for q, o, _ in sorted(edges, key=lambda e: (-e[2], e[0], e[1])):

@@ -104,6 +104,7 @@ def knn(vectors: DataFrame, k: int, kind: str = "kdtree", id_column: str = "vec_
     def search(queries: pd.DataFrame, cell: pd.DataFrame) -> pd.DataFrame:
         if not len(queries) or not len(cell):
             return pd.DataFrame(columns=["qid", "oid", "sim"])
+        cell = cell.sort_values("i")  # the stable sort below leaves ties in order of id, as top_k ranks them
         a, b = np.stack(queries["v"].to_numpy()), np.stack(cell["x"].to_numpy())
         sim = a @ b.T
         ids = cell["i"].to_numpy()
@@ -114,7 +115,8 @@ def knn(vectors: DataFrame, k: int, kind: str = "kdtree", id_column: str = "vec_
 
     stored = held.select(F.col("cell").alias("c"), F.col("id").alias("i"), F.col("v").alias("x"))
     home = held.groupBy("cell").cogroup(stored.groupBy("c")).applyInPandas(lambda a, b: search(a, b), pairs)
-    radius = top_k(home, k).where(F.col("rnk") == k).select(F.col("qid").alias("id"), F.sqrt(F.greatest(F.lit(0.0), 2 - 2 * F.col("sim"))).alias("radius"))
+    # similarities that round alike are ties, so the ball takes in all that could round to the k-th one
+    radius = top_k(home, k).where(F.col("rnk") == k).select(F.col("qid").alias("id"), F.sqrt(F.greatest(F.lit(0.0), 2 - 2 * (F.col("sim") - 2e-9))).alias("radius"))
 
     def others(v: pd.Series, cell: pd.Series, radius: pd.Series) -> pd.Series:
         names, low, high = box.value
