@@ -237,6 +237,23 @@ def test_stable_matching(spark, seed):
     assert set(rows(refine.stable_match(df.repartition(7), leftover="none"), "qid", "oid")) == matched
 
 
+def test_stable_matching_of_ties_takes_few_rounds(spark, monkeypatch):
+    written = []
+    monkeypatch.setattr(refine, "materialise", lambda df, name, f=refine.materialise: written.append(name) or f(df, name))
+    block = [(q, o, 0.5) for q in range(30) for o in range(100, 125)]
+    open_block = [(q, o, 0.5) for q in range(40, 44) for o in range(140, 144)] + [(50, 140, 0.9), (51, 141, 0.5), (51, 160, 0.7), (52, 160, 0.8)]
+    edges = block + open_block
+    got = refine.stable_match(spark.createDataFrame(edges, "qid long, oid long, sim double").repartition(5), leftover="none")
+    assert set(rows(got, "qid", "oid")) == greedy(edges) and got.count() == len(greedy(edges))
+    assert len(written) < 20
+
+
+def test_stable_matching_of_a_long_chain_is_whole(spark):
+    edges = [(i // 2, (i + 1) // 2, 1 - i * 1e-5) for i in range(2100)]
+    got = refine.stable_match(spark.createDataFrame(edges, "qid long, oid long, sim double"), leftover="none")
+    assert set(rows(got, "qid", "oid")) == greedy(edges)
+
+
 def test_contested_partner_and_exhausted_list():
     own = [(1, 10, 0.9), (1, 11, 0.2), (2, 10, 0.8), (2, 11, 0.7), (3, 10, 0.5)]
     other = [(10, 1, 0.9), (10, 2, 0.8), (10, 3, 0.5), (11, 2, 0.7), (11, 1, 0.2)]

@@ -9,6 +9,9 @@ from pyspark.sql import functions as F
 from ..session import materialise
 from .linking import top_k, verify
 
+#: Rounds of a stable matching before a rest of few edges is matched in one task, and that many edges.
+SOON, FEW = 16, 2_000_000
+
 
 def rerank(knn: DataFrame, q_long: DataFrame, d_long: DataFrame) -> DataFrame:
     """Reorder each query's neighbours by longer signatures; only listed pairs are scored, a pair without common features scores 0."""
@@ -24,20 +27,64 @@ def _mutual(edges: DataFrame) -> DataFrame:
     return ranked.where("rq = 1 and rd = 1").select("qid", "oid", "sim")
 
 
-def stable_match(edges: DataFrame, knn: DataFrame | None = None, leftover: str = "top1", most_rounds: int = 1000) -> DataFrame:
+def _tied_blocks(edges: DataFrame) -> DataFrame:
+    """Edges of the matching in blocks of ties: queries and candidates whose best edges are all those between them, equal in similarity.
+
+    Taking such a block's edges by (qid, oid) gives its i-th query its i-th candidate. A block is known by the sets of ends its members
+    see (count and two hash sums). Every end seen must be a member, so an end whose best is elsewhere leaves the block to ``_mutual``.
+    """
+    best = edges.withColumn("s", F.round("sim", 9))
+    best = best.withColumn("bq", F.max("s").over(Window.partitionBy("qid"))).withColumn("bd", F.max("s").over(Window.partitionBy("oid")))
+
+    def seen(end: str, other: str, top: str, x: str) -> DataFrame:
+        hashes = [F.sum(F.xxhash64(F.lit(i), other).cast("decimal(38,0)")).alias(f"h{i}{x}") for i in (1, 2)]
+        return best.where(F.col("s") == F.col(top)).groupBy(end).agg(F.count(F.lit(1)).alias(f"n{x}"), *hashes)
+
+    tied = best.where("s = bq and s = bd").join(seen("qid", "oid", "bq", "q"), "qid").join(seen("oid", "qid", "bd", "d"), "oid")
+    block = ["s", "nq", "h1q", "h2q", "nd", "h1d", "h2d"]
+    qs, ds = (tied.groupBy(*block, end).agg(F.count(F.lit(1)).alias("met")) for end in ("qid", "oid"))
+    sizes = (x.groupBy(*block).agg(F.count(F.lit(1)).alias(f"c{e}"), F.min("met").alias(f"m{e}")) for x, e in ((qs, "q"), (ds, "d")))
+    whole = next(sizes).join(next(sizes), block).where("cq = nd and cd = nq and mq = nq and md = nd").select(*block)
+    placed = (x.join(whole, block, "left_semi").withColumn("i", F.row_number().over(Window.partitionBy(*block).orderBy(end))).drop("met") for x, end in ((qs, "qid"), (ds, "oid")))
+    pairs = next(placed).join(next(placed), [*block, "i"]).select("qid", "oid")
+    return tied.join(pairs, ["qid", "oid"], "left_semi").select("qid", "oid", "sim")
+
+
+def _in_order(edges: pd.DataFrame) -> pd.DataFrame:
+    """The matching of a bounded number of edges, one after another in their order."""
+    edges = edges.sort_values(["s", "qid", "oid"], ascending=[False, True, True])
+    free_q, free_d, rows = set(edges["qid"]), set(edges["oid"]), []
+    for i, (q, o) in enumerate(zip(edges["qid"], edges["oid"], strict=True)):
+        if q in free_q and o in free_d:
+            free_q.remove(q)
+            free_d.remove(o)
+            rows.append(i)
+    return edges.iloc[rows][["qid", "oid", "sim"]]
+
+
+def stable_match(edges: DataFrame, knn: DataFrame | None = None, leftover: str = "top1") -> DataFrame:
     """``qid, oid, sim, stage``: the stable matching of ``edges(qid, oid, sim)``.
 
     Both sides rank by the same similarity, so edges that are best for both ends are in the one stable matching; taking them, removing
-    their ends and going on gives all of it. A round costs one action (whether edges are left). Queries without partner get their first
-    neighbour of ``knn`` (stage 'leftover') unless ``leftover`` is 'none'.
+    their ends and going on until no edge is left gives all of it. Blocks of ties go at once. A falling chain gives one pair a round, so
+    after ``SOON`` rounds a rest of ``FEW`` edges at most is matched in one task; a larger rest takes more rounds, however many. Queries
+    without partner get their first neighbour of ``knn`` (stage 'leftover') unless ``leftover`` is 'none'.
     """
     rest = materialise(edges.select("qid", "oid", "sim"), "edges")
-    taken = None
-    for _ in range(most_rounds):
-        if rest.isEmpty():
-            break
-        now = materialise(_mutual(rest), "matched")
+    taken, rounds = None, 0
+    while not rest.isEmpty():
+        last = rounds >= SOON and rest.count() <= FEW
+        if last:
+            now = rest.withColumn("s", F.round("sim", 9)).groupBy(F.lit(1).alias("one")).applyInPandas(_in_order, rest.schema)
+        else:
+            now = _mutual(rest) if rounds % 4 else _mutual(rest).union(_tied_blocks(rest)).distinct()
+        now = materialise(now, "matched")
         taken = now if taken is None else taken.union(now)
+        if last:
+            break
+        rounds += 1
+        if rounds % SOON == 0:  # one table instead of a plan that grows with the rounds
+            taken = materialise(taken, "matched")
         rest = materialise(rest.join(now.select("qid"), "qid", "left_anti").join(now.select("oid"), "oid", "left_anti").select("qid", "oid", "sim"), "edges")
     matched = (taken if taken is not None else rest).withColumn("stage", F.lit("matched"))
     if leftover == "none":
