@@ -444,3 +444,10 @@ def test_pipeline_stages(spark, nothing):
     for _, stage in corpus_pipeline.STAGES:
         empty = stage(spark, empty, SF)
         assert empty.isEmpty()
+
+
+def test_deduplicated_keeps_distinct_texts_of_one_id(spark):
+    a, b, c = ("".join(f"{w}{i} " for i in range(40)) for w in ("red", "green", "blue"))
+    docs = spark.createDataFrame([(1, a), (5, b), (5, c), (5, c), (7, b), (3, a), (3, "one text of its own kind here"), (9, ""), (9, "")], "doc_id long, text string")
+    got = sorted(tuple(r) for r in near_dups.deduplicated(docs).collect())
+    assert got == sorted([(1, a), (5, b), (5, c), (3, "one text of its own kind here"), (9, ""), (9, "")])

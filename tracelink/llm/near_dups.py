@@ -19,7 +19,7 @@ from math import comb
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Words, in_chunks, materialise, mix64, run_hash, table
@@ -279,17 +279,19 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
 def deduplicated(docs: DataFrame, text: str = "text", percent: int = 80) -> DataFrame:
     """One document of each group of near duplicates: the one with the smallest doc_id, with all its columns.
 
-    Of rows that repeat a kept doc_id one stays. Rows without doc_id, and texts without words, all stay.
+    Where ids repeat, every row is a document of its own: rows of one id are dropped only as near duplicates, and of those with the
+    smallest id the one of the smallest text hash stays. Rows without doc_id, and texts without words, all stay.
     """
-    kept = near_dups(docs, text, percent).where("kept and doc_id is not null").groupBy(F.col("doc_id").alias("k_id")).agg(F.count(F.lit(1)).alias("k_rows"))
-    kept = materialise(kept, "kept")
-    out = docs.join(kept.select("k_id"), F.col("doc_id").cast("long") == F.col("k_id"), "left_semi")
-    often = kept.where("k_rows > 1")
-    if not often.isEmpty():
-        again = F.col("doc_id").cast("long") == F.col("k_id")
-        one = Window.partitionBy("doc_id").orderBy(F.xxhash64(F.col(f"`{text}`")))
-        first = out.join(often.select("k_id"), again, "left_semi").withColumn("__n", F.row_number().over(one)).where("__n = 1").drop("__n")
-        out = out.join(often.select("k_id"), again, "left_anti").union(first)
+    identified = docs.where("doc_id is not null")
+    if identified.groupBy(F.col("doc_id").cast("long").alias("id")).count().where("count > 1").isEmpty():
+        kept = near_dups(identified, text, percent).where("kept").select(F.col("doc_id").alias("k_id"))
+        out = identified.join(materialise(kept, "kept"), F.col("doc_id").cast("long") == F.col("k_id"), "left_semi")
+        return out.union(docs.where("doc_id is null"))
+    rows = materialise(identified.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    found = near_dups(rows.select(F.col("__row").alias("doc_id"), text), text, percent).select(F.col("doc_id").alias("__row"), "component_id")
+    place = F.struct(F.col("doc_id").cast("long"), F.xxhash64(F.col(f"`{text}`")), "__row")
+    first = rows.select("__row", place.alias("place")).join(found, "__row").groupBy("component_id").agg(F.min("place").alias("least")).select(F.col("least.__row").alias("k_row"))
+    out = rows.join(materialise(first, "kept"), F.col("__row") == F.col("k_row"), "left_semi").drop("__row")
     return out.union(docs.where("doc_id is null"))
 
 
