@@ -69,6 +69,12 @@ def test_whole_tables_equal_their_sql_twin(spark, name):
         assert got == {k: i for k, (d2, i) in near.items() if d2 <= 16}
 
 
+@pytest.mark.parametrize("name", ["w_days_both_2", "w_tree_m3_k1"])
+def test_registered_members_equal_their_sql_twin(spark, name):
+    assert {f"w_days_{x}_{n}" for x in ("query", "both") for n in range(1, 16)} | {f"w_tree_m{m}_k{k}" for m in (3, 5, 10) for k in range(1, 6)} <= set(workloads.QUERIES)
+    test_query_equals_its_sql_twin(spark, name)
+
+
 def test_registry_is_complete():
     assert {relational, streams} and len(workloads.QUERIES) > 200 and set(workloads.ORACLES) <= set(workloads.QUERIES)
 

@@ -120,7 +120,7 @@ def limited(n: int, both: bool) -> str:
     split AS (SELECT f.* FROM full_split f JOIN lim ON f.side = lim.side AND {Q.DAY} = dy)"""
 
 
-for n in (1, 3, 5, 7, 10, 15):
+for n in range(1, 16):
     for label, both in (("query", False), ("both", True)):
         add(f"w_days_{label}_{n}", lambda s, d, n=n, both=both: accuracy(split(s, d), link(P.limit_days(split(s, d), n, ["Q", "D"] if both else ["Q"]), 3)),
             f"WITH {Q.HABIT}, {limited(n, both)}, {Q.sig('split', 'sg', 3)}, {Q.knn('sg', 5)} {Q.acc('knn', 'full_split')}")
@@ -277,7 +277,8 @@ add("w_link_tree_spatial", lambda s, d: shown(_tree(s, d, criterion="spatial")),
 add("w_link_tree_no_mbr", lambda s, d: shown(_tree(s, d, mbr=False)), KNN3 + SHOWN + "knn")
 add("w_link_rtree", lambda s, d: shown(_tree(s, d, criterion="spatial", bound=False)), KNN3 + SHOWN + "knn")
 for m in (3, 5, 10):
-    add(f"w_tree_m{m}_k3", lambda s, d, m=m: shown(_tree(s, d, m, 3)), f"WITH {Q.BASE}, {Q.sig('split', 'sg', m)}, {Q.knn('sg', 3)} {SHOWN} knn")
+    for k in KS:
+        add(f"w_tree_m{m}_k{k}", lambda s, d, m=m, k=k: shown(_tree(s, d, m, k)), f"WITH {Q.BASE}, {Q.sig('split', 'sg', m)}, {Q.knn('sg', k)} {SHOWN} knn")
 
 
 def _local(s: SparkSession, d: str) -> DataFrame:
