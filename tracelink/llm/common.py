@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
 from collections.abc import Iterator, Sequence
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: ASCII white space that separates words; every other byte belongs to a word.
@@ -51,6 +53,33 @@ def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
 
+def give_back() -> None:
+    """Return memory that a Python worker no longer needs to the system: workers are used again by later stages and would go on holding it."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def drawn(rows: DataFrame, by: str, key: str, bound: int, seed: int) -> DataFrame:
+    """At most ``bound`` rows ``key, by, rank``: distinct keys drawn by hash, dealt in turn to the values of ``by`` (not null).
+
+    The rarest value gets as many keys as the most frequent one, as far as it has them; of more than ``bound`` values the most frequent
+    stay. A key that comes many times counts once. Only hashes below a bound that follows from approximate counts are sorted, so the
+    sorted rows are a small multiple of ``bound`` at any size.
+    """
+    rows = rows.where(F.col(by).isNotNull()).select(F.col(key).alias(key), F.col(by).alias(by), F.xxhash64(key, by, F.lit(seed)).alias("__h"))
+    classes = rows.groupBy(F.col(by).alias("__by")).agg(F.approx_count_distinct("__h").alias("__n"))
+    classes = classes.orderBy(F.desc("__n"), "__by").limit(bound)
+    near = rows.join(F.broadcast(classes), F.col(by) == F.col("__by"))  # at most ``bound`` classes
+    unit = F.col("__h").bitwiseAND(F.lit((1 << 52) - 1)).cast("double") / F.lit(float(1 << 52))
+    near = near.where(unit * F.col("__n") < F.lit(2.0 * bound + 100)).select(key, by, "__h").distinct()
+    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy(by).orderBy("__h", key))).where(F.col("rank") <= bound)
+    return ranked.orderBy("rank", "__h", by).limit(bound).select(key, by, "rank")
+
+
 def held_out(doc_id: Column) -> Column:
     """Fold rule of the learned operators: remainder 2 of crc32(doc_id as text) by 4."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))

@@ -14,30 +14,36 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out, in_chunks, table
+from .common import drawn, give_back, held_out, in_chunks, table
 
-#: Bound of the training sample: documents drawn by hash, whole texts.
+#: Bound of the training sample: documents drawn by hash, whole texts, dealt to the languages in turn.
 SAMPLE_DOCS = 600
 #: Hashed feature columns, lexicon words kept for a language, passes over the sample, learning rate, weight decay.
 COLUMNS, LEXICON, PASSES, RATE, DECAY = 1 << 15, 4000, 5, 0.1, 1e-4
-#: Texts of about this many bytes go through forward-backward together; word scores held by a worker.
-GROUP_BYTES, CACHE_WORDS = 3 << 20, 200_000
+#: Texts of about this many bytes go through forward-backward together; word scores held by a worker; words scored at once.
+GROUP_BYTES, CACHE_WORDS, WORDS_AT_ONCE = 1 << 20, 100_000, 8192
+#: Code-switched texts made for training, as a share of the sample, and words of each of their parts at most.
+SWITCHED, SWITCHED_WORDS = 0.5, 12
+#: A longer run of letters (scripts without blanks) is several words of this many letters.
+LONGEST_WORD = 64
 UNKNOWN = "und"
 
-_WORD = re.compile(r"[^\W\d_]+")
+_WORD = re.compile(r"[^\W\d_]{1,%d}" % LONGEST_WORD)
 
 
 def words_of(text: str | None) -> list[str]:
-    """Lower-cased runs of letters."""
+    """Lower-cased runs of letters, none left out; a run of over LONGEST_WORD letters is cut into several words."""
     return _WORD.findall((text or "").lower())
 
 
 def _grams(word: str) -> list[str]:
     """Beginnings (^), endings ($) and inner n-grams."""
-    n = min(len(word), 64)
+    n = len(word)
     affixes = [x for i in range(1, min(n, 4) + 1) for x in ("^" + word[:i], word[-i:] + "$")]
     return affixes + [word[i : i + 2] for i in range(n - 1)] + [word[i : i + 3] for i in range(n - 2)]
 
@@ -76,16 +82,17 @@ class LanguageModel:
         if len(cache) > CACHE_WORDS:
             cache.clear()
         fresh = list(set(words).difference(cache))
-        if fresh:
-            flat, heads = self.columns(fresh)
-            need = len(cache) + len(fresh)
+        for i in range(0, len(fresh), WORDS_AT_ONCE):
+            part = fresh[i : i + WORDS_AT_ONCE]
+            flat, heads = self.columns(part)
+            need = len(cache) + len(part)
             if self._rows is None or need > len(self._rows):
-                rows = np.zeros((2 * need, len(self.languages)), dtype=np.float32)
+                rows = np.zeros((need + need // 2, len(self.languages)), dtype=np.float32)
                 if self._rows is not None:
                     rows[: len(cache)] = self._rows[: len(cache)]
                 self._rows = rows
             self._rows[len(cache) : need] = np.add.reduceat(self.weights[flat], heads)
-            cache.update(zip(fresh, range(len(cache), need), strict=True))
+            cache.update(zip(part, range(len(cache), need), strict=True))
         return self._rows[np.fromiter(map(cache.__getitem__, words), dtype=np.int64, count=len(words))]
 
 
@@ -129,8 +136,27 @@ def forward_backward(scores: np.ndarray, lengths: np.ndarray, step: np.ndarray,
     return out, pairs
 
 
+def _switched(coded: list[np.ndarray], truths: list[np.ndarray], n: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """Word numbers and labels of ``n`` texts that are joined from two to four runs of words of sampled texts."""
+    rng, words, labels = np.random.default_rng(9), [], []
+    for _ in range(n):
+        a, b = [], []
+        for i in rng.integers(0, len(coded), rng.integers(2, 5)).tolist():
+            size = int(rng.integers(1, SWITCHED_WORDS + 1))
+            at = int(rng.integers(0, max(1, len(coded[i]) - size + 1)))
+            a.append(coded[i][at : at + size])
+            b.append(truths[i][at : at + size])
+        words.append(np.concatenate(a))
+        labels.append(np.concatenate(b))
+    return words, labels
+
+
 def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> LanguageModel:
-    """Train on a bounded list of labelled texts; every word of a text carries the text's label."""
+    """Train on a bounded list of labelled texts.
+
+    Every word of a text carries the text's label. Code-switched texts are made beside them by joining runs of words of several languages,
+    so that transitions between languages are learned from positive examples too.
+    """
     languages = sorted(set(labels))
     index = {x: i for i, x in enumerate(languages)}
     k = len(languages)
@@ -141,10 +167,12 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
         return model
     number: dict[str, int] = {}
     coded = [np.fromiter((number.setdefault(w, len(number)) for w in split[i]), dtype=np.int64) for i in pick]
-    gold = np.array([index[labels[i]] for i in pick])
+    truths = [np.full(len(c), index[labels[i]]) for c, i in zip(coded, pick, strict=True)]
     seen = np.zeros((len(number), k))
-    for ids, y in zip(coded, gold, strict=True):
-        np.add.at(seen[:, y], ids, 1)
+    for ids, y in zip(coded, truths, strict=True):
+        np.add.at(seen, (ids, y), 1)
+    mixed = _switched(coded, truths, int(SWITCHED * len(coded)))
+    coded, truths = coded + mixed[0], truths + mixed[1]
     names = list(number)
     share = seen / np.maximum(seen.sum(axis=1, keepdims=True), 1)
     for y in range(k):
@@ -155,13 +183,13 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
     squares = {"w": np.full((COLUMNS + k, k), 1e-8), "s": np.full((k, k), 1e-8), "b": np.full(k, 1e-8)}
     deal = np.random.default_rng(5).permutation(len(coded))
     for _ in range(passes):
-        for part in np.array_split(deal, max(1, len(deal) // 64)):
+        for part in np.array_split(deal, max(1, len(deal) // 96)):
             lengths = np.array([len(coded[i]) for i in part])
             ids = np.concatenate([coded[i] for i in part])
             used, back = np.unique(ids, return_inverse=True)
             word_scores = np.add.reduceat(model.weights[flat], heads)[used]
             gamma, pairs = forward_backward(word_scores[back], lengths, model.step, model.start)
-            truth = np.repeat(gold[part], lengths)
+            truth = np.concatenate([truths[i] for i in part])
             wrong = -gamma
             wrong[np.arange(len(truth)), truth] += 1
             by_word = np.zeros((len(names), k))
@@ -170,10 +198,12 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
             g = np.zeros((COLUMNS + k, k))
             for y in range(k):
                 g[:, y] = np.bincount(flat, weights=by_word[owner, y], minlength=COLUMNS + k)
-            stays = np.zeros((k, k))
-            np.add.at(stays, (gold[part], gold[part]), lengths - 1)
-            begin = np.bincount(gold[part], minlength=k) - gamma[np.cumsum(lengths) - lengths].sum(axis=0)
-            for key, grad, target in (("w", g, model.weights), ("s", stays - pairs, model.step), ("b", begin, model.start)):
+            heads_at = np.cumsum(lengths) - lengths
+            inside = np.setdiff1d(np.arange(len(truth)), heads_at)
+            steps = np.zeros((k, k))
+            np.add.at(steps, (truth[inside - 1], truth[inside]), 1)
+            begin = np.bincount(truth[heads_at], minlength=k) - gamma[heads_at].sum(axis=0)
+            for key, grad, target in (("w", g, model.weights), ("s", steps - pairs, model.step), ("b", begin, model.start)):
                 grad = grad / lengths.sum() - DECAY * target
                 squares[key] += grad**2
                 target += (RATE * grad / np.sqrt(squares[key])).astype(np.float32)
@@ -182,44 +212,72 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
 
 
 def training_sample(docs: DataFrame, bound: int = SAMPLE_DOCS) -> pd.DataFrame:
-    """At most ``bound`` documents with a language outside the held-out fold, drawn by hash of the id: ``text, lang``."""
-    usable = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "lang")
-    chosen = usable.orderBy(F.xxhash64("doc_id", F.lit(31)), "doc_id").limit(bound).select(F.col("doc_id").alias("c_id")).distinct()
-    rows = docs.where(F.col("lang").isNotNull()).select("doc_id", "text", "lang").join(F.broadcast(chosen), F.col("doc_id").eqNullSafe(F.col("c_id"))).select("doc_id", "text", "lang").toPandas()
-    return rows.sort_values(["doc_id", "lang"], kind="stable").reset_index(drop=True)
+    """At most ``bound`` rows ``doc_id, text, lang`` with a language, outside the held-out fold, drawn by hash and dealt to the languages in turn.
+
+    Of rows that share an id (null ids too) and a language, only the one of the smallest text hash is learned from.
+    """
+    usable = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id")))
+    chosen = drawn(usable.select("doc_id", "lang"), "lang", "doc_id", bound, 31).select(F.col("doc_id").alias("c_id"), F.col("lang").alias("c_lang"))
+    # ``bound`` rows at most
+    rows = usable.select("doc_id", "text", "lang").join(F.broadcast(chosen), F.col("doc_id").eqNullSafe(F.col("c_id")) & (F.col("lang") == F.col("c_lang")))
+    text = F.struct(F.xxhash64("text").alias("h"), F.col("text"))
+    rows = rows.groupBy("doc_id", "lang").agg(F.min(text).alias("t")).select("doc_id", F.col("t.text").alias("text"), "lang").toPandas()
+    return rows.sort_values(["lang", "doc_id"], kind="stable").reset_index(drop=True)
+
+
+GUESS = pa.struct([("lang", pa.string()), ("score", pa.float64()), ("n_words", pa.int64()), ("n_switches", pa.int64())])
 
 
 def identified(docs: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:
-    """Add ``lang_pred`` and ``lang_score`` to every row (own columns of these names are replaced).
+    """Add ``lang_pred``, ``lang_score``, ``lang_words`` and ``lang_switches`` to every row (own columns of these names are replaced).
 
     ``lang_pred`` is ``und`` with score 0 where the text is null or has no letter, or where nothing could be learned; otherwise the language
-    with the largest mean marginal over the text's words, ties to the first in order of name; the score is that mean.
+    with the largest mean marginal over the text's words, ties to the first in order of name; the score is that mean. ``lang_words`` counts
+    words, ``lang_switches`` the places where the likeliest label of a word differs from that of the word before. Equal texts get equal
+    values wherever they stand, repeated rows stay, an empty table gives no rows, and texts of any length are read to their end.
     """
     held = docs.sparkSession.sparkContext.broadcast(model)  # COLUMNS x languages weights and LEXICON words a language
 
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    def guess(texts: list[str]) -> list[tuple]:
         model = held.value
+        split = [words_of(t) for t in texts]
+        out = [(UNKNOWN, 0.0, len(w), 0) for w in split]
+        pick = [i for i, w in enumerate(split) if w]
+        if not pick or not model.languages:
+            return out
+        lengths = np.array([len(split[i]) for i in pick])
+        e = model.emissions([w for i in pick for w in split[i]])
+        gamma, _ = forward_backward(e, lengths, model.step, model.start)
+        heads = np.cumsum(lengths) - lengths
+        mean = np.add.reduceat(gamma, heads) / lengths[:, None]
+        label = gamma.argmax(axis=1)
+        change = np.diff(label, prepend=label[:1]) != 0
+        change[heads] = False
+        turns = np.add.reduceat(change.astype(np.int64), heads)
+        for i, b, m, n, c in zip(pick, mean.argmax(axis=1).tolist(), mean.max(axis=1).tolist(), lengths.tolist(), turns.tolist(), strict=True):
+            out[i] = model.languages[b], min(1.0, m), n, c
+        return out
+
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for batch in batches:
-            texts = batch.tolist()
-            preds, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
-            for part in in_chunks(texts, [len(t or "") for t in texts], GROUP_BYTES):
-                split = [words_of(t) for t in texts[part]]
-                pick = [i for i, w in enumerate(split) if w]
-                if not pick or not model.languages:
-                    continue
-                lengths = np.array([len(split[i]) for i in pick])
-                e = model.emissions([w for i in pick for w in split[i]])
-                gamma, _ = forward_backward(e, lengths, model.step, model.start)
-                mean = np.add.reduceat(gamma, np.cumsum(lengths) - lengths) / lengths[:, None]
-                best = mean.argmax(axis=1)
-                for i, b, m in zip(pick, best.tolist(), mean.max(axis=1).tolist(), strict=True):
-                    preds[part.start + i], scores[part.start + i] = model.languages[b], min(1.0, m)
-            yield pd.DataFrame({"lang": preds, "score": scores})
+            sizes = pc.binary_length(batch).fill_null(0).to_numpy(zero_copy_only=False)
+            # texts of like length go together: forward-backward takes as many steps as a group's longest text has words
+            order = np.argsort(sizes, kind="stable")
+            found: list[tuple] = [None] * len(batch)
+            for part in in_chunks(order, sizes[order].tolist(), GROUP_BYTES):
+                rows = order[part]
+                for i, g in zip(rows.tolist(), guess(batch.take(pa.array(rows)).to_pylist()), strict=True):
+                    found[i] = g
+            columns = list(zip(*found, strict=True)) or [()] * len(GUESS)
+            yield pa.StructArray.from_arrays([pa.array(c, type=f.type) for c, f in zip(columns, GUESS, strict=True)], fields=list(GUESS))
+        give_back()
 
     # declared nondeterministic so that a filter on the result is not pushed below it, which would run it twice
-    guess = F.pandas_udf(run, "lang string, score double").asNondeterministic()
-    out = docs.drop("lang_pred", "lang_score").withColumn("__guess", guess(F.col(f"`{text}`").cast("string")))
-    return out.withColumn("lang_pred", F.col("__guess.lang")).withColumn("lang_score", F.col("__guess.score")).drop("__guess")
+    guessed = F.arrow_udf(run, "lang string, score double, n_words long, n_switches long", F.ArrowUDFType.SCALAR_ITER).asNondeterministic()
+    own = {"lang_pred": "lang", "lang_score": "score", "lang_words": "n_words", "lang_switches": "n_switches"}
+    kept = [F.col(f"`{c}`") for c in docs.columns if c not in own]
+    rows = docs.select(F.struct(*kept).alias("row"), guessed(F.col(f"`{text}`").cast("string")).alias("guess"))
+    return rows.select("row.*", *[F.col("guess")[f].alias(c) for c, f in own.items()])
 
 
 def word_languages(docs: DataFrame, model: LanguageModel) -> DataFrame:
@@ -247,4 +305,5 @@ def train(docs: DataFrame) -> LanguageModel:
 def op4_language_crf(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     out = identified(docs.select("doc_id", "text"), train(docs))
-    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", F.col("lang_score").alias("score"))
+    shown = F.col("lang_pred"), F.col("lang_score").alias("score"), F.col("lang_words").alias("n_words"), F.col("lang_switches").alias("n_switches")
+    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), *shown)

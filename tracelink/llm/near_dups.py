@@ -19,13 +19,14 @@ from math import comb
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, in_chunks, materialise, mix64, run_hash, table
+from .common import Words, give_back, in_chunks, materialise, mix64, run_hash, table
 
 SHINGLE_WORDS, COORDINATES, MISS = 5, 32, 1e-6
-CHUNK_BYTES = 3 << 20
+CHUNK_BYTES = 2 << 20
 #: Bits of the filter on ids (8 MB at any size of the input), and of one block of it.
 FILTER_BITS, BLOCK_BITS = 1 << 26, 1 << 16
 _SEEDS = mix64(np.arange(1, 4097, dtype=np.uint64))
@@ -56,14 +57,18 @@ def _shingles(words: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
     return out, text
 
 
+def _raw(texts: pa.Array, part: slice) -> list[bytes]:
+    """UTF-8 of some texts, null as empty; only this part of the batch is copied."""
+    return [t or b"" for t in texts.slice(part.start, part.stop - part.start).cast(pa.binary()).to_pylist()]
+
+
 def _signer(size: int, k: int):
     schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("sig", pa.list_(pa.int32()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [(t or "").encode("utf-8", "surrogatepass") for t in batch.column(1).to_pylist()]
-            for part in in_chunks(texts, list(map(len, texts)), CHUNK_BYTES):
-                words = Words(texts[part], lower=True)
+            for part in in_chunks(batch, pc.binary_length(batch.column(1)).fill_null(0).to_pylist(), CHUNK_BYTES):
+                words = Words(_raw(batch.column(1), part), lower=True)
                 hashes, text = _shingles(words, size)
                 n = part.stop - part.start
                 order = np.lexsort((hashes, text))
@@ -86,6 +91,7 @@ def _signer(size: int, k: int):
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array((sig.ravel() >> np.uint64(32)).astype(np.uint32).view(np.int32)))
                 ids = batch.column(0).slice(part.start, n)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(held.astype(np.int64)), pa.array(sums[0].view(np.int64)), pa.array(sums[1].view(np.int64)), lists], schema=schema)
+        give_back()
 
     return run
 
@@ -162,9 +168,8 @@ def _postings(classes: DataFrame, k: int, need: int) -> DataFrame:
 def _hasher(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [(t or "").encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
-            for part in in_chunks(texts, list(map(len, texts)), CHUNK_BYTES):
-                hashes, text = _shingles(Words(texts[part], lower=True), size)
+            for part in in_chunks(batch, pc.binary_length(batch.column(2)).fill_null(0).to_pylist(), CHUNK_BYTES):
+                hashes, text = _shingles(Words(_raw(batch.column(2), part), lower=True), size)
                 n = part.stop - part.start
                 sets = [np.unique(x).view(np.int64) for x in np.split(hashes, np.cumsum(np.bincount(text, minlength=n))[:-1])]
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int32)), pa.array(np.concatenate(sets)))

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import in_chunks, table
+from .common import give_back, in_chunks, table
 
 #: The mark that stands for a blank in pieces (fixed value), and what an uncovered character costs below the worst piece.
 MARK, UNKNOWN_COST = "▁", 10.0
@@ -242,6 +242,7 @@ def encoded(docs: DataFrame, model: PieceModel, text: str = "text") -> DataFrame
                 ends = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids) if ids else np.zeros(0, dtype=np.int32)))
                 yield pa.RecordBatch.from_arrays([*rows.columns, lists], names=[*rows.schema.names, "pieces"])
+        give_back()
 
     schema = T.StructType([*docs.schema.fields, T.StructField("pieces", T.ArrayType(T.IntegerType()))])
     return docs.mapInArrow(run, schema).withColumn("n_pieces", F.size("pieces").cast("long"))
@@ -264,6 +265,7 @@ def decoded(df: DataFrame, model: PieceModel, pieces: str = "pieces") -> DataFra
                     flat, ends = flat.to_numpy(), np.cumsum(pc.list_value_length(lists).fill_null(0).to_numpy(zero_copy_only=False)).tolist()
                     texts = [model.decode(flat[a:b].tolist()) if there else None for a, b, there in zip([0, *ends], ends, lists.is_valid().to_pylist(), strict=False)]
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(texts, type=pa.string())], names=[*rows.schema.names, "decoded"])
+        give_back()
 
     return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("decoded", T.StringType())]))
 
