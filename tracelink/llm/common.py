@@ -63,6 +63,17 @@ def give_back() -> None:
         pass
 
 
+def unused(df: DataFrame, *names: str) -> tuple[str, ...]:
+    """Helper column names that no column of ``df`` has: underscores are added until they differ."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return tuple(out)
+
+
 def drawn(rows: DataFrame, by: str, key: str, bound: int, seed: int) -> DataFrame:
     """At most ``bound`` rows ``key, by, rank``: distinct keys drawn by hash, dealt in turn to the values of ``by`` (not null).
 

@@ -273,7 +273,7 @@ def identified(docs: DataFrame, model: LanguageModel, text: str = "text") -> Dat
         give_back()
 
     # declared nondeterministic so that a filter on the result is not pushed below it, which would run it twice
-    guessed = F.arrow_udf(run, "lang string, score double, n_words long, n_switches long", F.ArrowUDFType.SCALAR_ITER).asNondeterministic()
+    guessed = F.arrow_udf(run, "lang string, score double, n_words long, n_switches long").asNondeterministic()
     own = {"lang_pred": "lang", "lang_score": "score", "lang_words": "n_words", "lang_switches": "n_switches"}
     kept = [F.col(f"`{c}`") for c in docs.columns if c not in own]
     rows = docs.select(F.struct(*kept).alias("row"), guessed(F.col(f"`{text}`").cast("string")).alias("guess"))
