@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out, table
+from .common import drawn, held_out, table
 
 #: Interchangeable names of groups, by kind, in the languages of the corpus.
 IDENTITY_TERMS = {
@@ -179,19 +179,27 @@ def fit(texts: list[str | None], labels: list[int], fairness: float = FAIRNESS,
 
 
 def training_sample(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -> pd.DataFrame:
-    """At most ``per_class`` labelled documents of each label outside the held-out fold, drawn by hash: ``text, toxic`` in order of id."""
+    """Labelled documents outside the held-out fold, drawn by hash: ``doc_id, text, toxic`` in order of id.
+
+    The rows are at most twice ``per_class``; labels are dealt in turn, and where one label has fewer than ``per_class`` documents the other
+    one still gets ``per_class`` at most. A document labelled both ways counts as toxic; of rows that share an id, only the one of the
+    smallest text hash is learned from; null ids and other labels are passed over.
+    """
     usable = labels.select(F.col("doc_id").alias("l_id"), F.col("toxic").cast("int").alias("toxic")).where(F.col("l_id").isNotNull() & F.col("toxic").isin(0, 1) & ~held_out(F.col("l_id")))
-    order = F.xxhash64("l_id", F.lit(29))
-    picked = [usable.where(F.col("toxic") == c).orderBy(order, "l_id").limit(per_class) for c in (0, 1)]
-    chosen = picked[0].union(picked[1]).dropDuplicates(["l_id"])
+    chosen = drawn(usable, "toxic", "l_id", 2 * per_class, 29).where(F.col("rank") <= per_class).groupBy("l_id").agg(F.max("toxic").alias("toxic"))
     # 2 * per_class ids at most
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("l_id")).select("doc_id", "text", "toxic").toPandas()
-    rows["text"] = rows["text"].fillna("")
-    return rows.sort_values(["doc_id", "text"], kind="stable").reset_index(drop=True)
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("l_id"))
+    text = F.struct(F.xxhash64("text").alias("h"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = rows.groupBy("doc_id", "toxic").agg(F.min(text).alias("t")).select("doc_id", F.col("t.text").alias("text"), "toxic").toPandas()
+    return rows.sort_values("doc_id", kind="stable").reset_index(drop=True)
 
 
 def scored(docs: DataFrame, model: ToxicityModel, text: str = "text") -> DataFrame:
-    """Add ``score`` (0 to 1) and ``predicted`` to every row; a null or empty text gets the score of no evidence. Own columns of these names are replaced."""
+    """Add ``score`` (0 to 1) and ``predicted`` to every row; a null or empty text gets the score of no evidence.
+
+    Own columns of these names are replaced and other columns pass through. Equal texts get equal scores, repeated rows stay, texts are read
+    to their end, and an empty table gives no rows.
+    """
     held = docs.sparkSession.sparkContext.broadcast(model)  # at most FEATURES weights and the identity terms
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
