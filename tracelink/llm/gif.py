@@ -11,7 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import give_back, table
 
 #: Fixed values of the format.
 MAX_BITS, TABLE_LIMIT = 12, 4096
@@ -22,6 +22,10 @@ INTERLACE = [(0, 8), (4, 8), (2, 4), (1, 2)]
 #: Payload layout: rows of 192 samples, at most this many rows a frame, so many hundredths of a second between frames.
 ROW, FRAME_ROWS, FRAME_DELAY = 192, 64, 10
 GREY = np.repeat(np.arange(256, dtype=np.uint8)[:, None], 3, axis=1)
+#: Colours of payload samples: red tells them apart, so that a sample is read back from its pixel's colour.
+COLOURS = np.stack([np.arange(256), np.arange(256) * 7 % 256, 255 - np.arange(256)], axis=1).astype(np.uint8)
+#: Pixels of a canvas or an image at most; files that claim more are taken for broken.
+MOST_PIXELS = 1 << 25
 
 
 class BrokenImage(ValueError):
@@ -96,7 +100,9 @@ def lzw_encode(samples: bytes, bits: int = 8) -> bytes:
 
 
 def lzw_decode(stream: bytes, bits: int, most: int) -> bytes:
-    """Samples of an LZW code stream, ``most`` at most; a stream that ends early gives what it has."""
+    """Samples of an LZW code stream, ``most`` at most; a stream that ends early gives what it has. Codes of no meaning raise BrokenImage."""
+    if not 2 <= bits <= 8:
+        raise BrokenImage("a code size out of range")
     clear, stop = 1 << bits, (1 << bits) + 1
     data = np.frombuffer(stream + b"\0\0\0\0", dtype=np.uint8).astype(np.int64)
     words = data[:-2] | data[1:-1] << 8 | data[2:] << 16
@@ -123,7 +129,9 @@ def lzw_decode(stream: bytes, bits: int, most: int) -> bytes:
             mark = len(parts)
             book = roots.copy()
             grow, put = book.append, parts.append
-            last = book[run[0]] if run[0] < clear else b""
+            if run[0] >= clear:
+                raise BrokenImage("a stream begins with a code beyond the table")
+            last = book[run[0]]
             put(last)
             free = stop + 1
             for code in run[1:]:
@@ -245,6 +253,8 @@ def read_gif(data: bytes) -> Gif:
     if r.take(6) not in (b"GIF87a", b"GIF89a"):
         raise BrokenImage("no GIF signature")
     width, height, packed, background, _ = struct.unpack("<HHBBB", r.take(7))
+    if width * height > MOST_PIXELS:
+        raise BrokenImage("the canvas is too large")
     gif = Gif(width, height, r.palette(packed), background=background)
     delay, disposal, transparent = 0, KEEP, None
     while (kind := r.take(1)) != b";":
@@ -260,8 +270,12 @@ def read_gif(data: bytes) -> Gif:
             left, top, w, h, flags = struct.unpack("<HHHHB", r.take(9))
             local = r.palette(flags)
             bits = r.take(1)[0]
+            if w * h > MOST_PIXELS:
+                raise BrokenImage("an image is too large")
             got = lzw_decode(r.blocks(), bits, w * h)
-            index = np.frombuffer(got.ljust(w * h, b"\0"), dtype=np.uint8).reshape(h, w)
+            if len(got) < w * h:
+                raise BrokenImage("a code stream ends early")
+            index = np.frombuffer(got, dtype=np.uint8).reshape(h, w)
             if flags & 0x40:
                 rows = np.empty_like(index)
                 rows[_row_order(h)] = index
@@ -296,6 +310,15 @@ def composed(gif: Gif) -> Iterator[tuple[np.ndarray, np.ndarray]]:
             canvas[area], cover[area] = before
 
 
+def timed_frames(gif: Gif, levels: int = 2) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """Start and delay in milliseconds, composed pixels of the area an image covers (cut at the canvas), colour histogram of the canvas."""
+    now = 0
+    for p, (canvas, _) in zip(gif.patches, composed(gif), strict=True):
+        h, w = p.index.shape
+        yield now, 10 * p.delay, canvas[p.top : p.top + h, p.left : p.left + w], histogram(canvas, levels)
+        now += 10 * p.delay
+
+
 def histogram(pixels: np.ndarray, levels: int = 2) -> np.ndarray:
     """Colour histogram of RGB pixels (n, 3) with ``levels ** 3`` bins, red slowest."""
     q = (pixels.reshape(-1, 3).astype(np.int32) * levels) >> 8
@@ -311,10 +334,21 @@ def payload_of(text: str | None) -> bytes:
 
 
 def payload_gif(payload: bytes) -> bytes:
-    """A payload (a multiple of 192 bytes) as a grey animation: one sample a byte, 64 rows a frame."""
+    """A payload (a multiple of 192 bytes) as an animation: one sample a byte, 64 rows a frame.
+
+    Samples that equal what the canvas shows already are stored as the transparent index, where no sample has that value (no UTF-8 byte is
+    255). The last image is taken off again after its time.
+    """
     samples = np.frombuffer(payload, dtype=np.uint8).reshape(-1, ROW)
-    patches = [Patch(samples[i : i + FRAME_ROWS], delay=FRAME_DELAY, disposal=LEAVE) for i in range(0, len(samples), FRAME_ROWS)]
-    return write_gif(Gif(ROW, min(FRAME_ROWS, len(samples)), GREY, patches, loops=0))
+    clear = 255 if not (samples == 255).any() else None
+    patches: list[Patch] = []
+    for i in range(0, len(samples), FRAME_ROWS):
+        shown = samples[i : i + FRAME_ROWS]
+        if i and clear is not None:
+            shown = np.where(shown == samples[i - FRAME_ROWS : i - FRAME_ROWS + len(shown)], np.uint8(clear), shown)
+        patches.append(Patch(shown, delay=FRAME_DELAY, disposal=LEAVE, transparent=clear if i else None))
+    patches[-1].disposal = PREVIOUS
+    return write_gif(Gif(ROW, min(FRAME_ROWS, len(samples)), COLOURS, patches, loops=0))
 
 
 #: Bytes of text that go to the codec, or of pixels that come back, in one batch.
@@ -348,6 +382,7 @@ def texts_to_gif(docs: DataFrame, id_column: str = "doc_id", text: str = "text")
                     yield {"doc_id": i, "n_bytes": len((t or "").encode("utf-8", "surrogatepass")), "media": payload_gif(payload)}
 
         yield from _batches(rows(), "media", ["doc_id", "n_bytes", "media"])
+        give_back()
 
     picked = docs.select(F.col(f"`{id_column}`").cast("long").alias("doc_id"), F.col(f"`{text}`").cast("string").alias("text"))
     return picked.mapInPandas(_nullable(run, "doc_id"), "doc_id long, n_bytes long, media binary")
@@ -370,7 +405,8 @@ def gif_frames(media: DataFrame, id_column: str = "doc_id", column: str = "media
     """Timed frames: one row per stored image of each GIF, composed by palette, disposal and transparency.
 
     ``patch`` holds the RGB bytes of the area the image covers after composition, ``histogram`` counts the colours of the whole canvas.
-    Null or broken media give no rows; a GIF without images gives none.
+    Null or broken media (cut off, of odd code sizes, of more than MOST_PIXELS) give no rows; a GIF without images gives none. Repeated rows
+    give their frames again; an empty table gives no rows; the other columns of ``media`` are left out.
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -383,12 +419,9 @@ def gif_frames(media: DataFrame, id_column: str = "doc_id", column: str = "media
                         gif = read_gif(bytes(data))
                     except BrokenImage:
                         continue
-                    now = 0
-                    for n, (p, (canvas, _)) in enumerate(zip(gif.patches, composed(gif), strict=True)):
-                        h, w = p.index.shape
-                        patch = canvas[p.top : p.top + h, p.left : p.left + w].tobytes()
-                        yield {"doc_id": i, "frame": n, "start_ms": now, "delay_ms": 10 * p.delay, "width": w, "height": h, "patch": patch, "histogram": histogram(canvas, levels).tolist()}
-                        now += 10 * p.delay
+                    for n, (start, delay, pixels, colours) in enumerate(timed_frames(gif, levels)):
+                        h, w = pixels.shape[:2]
+                        yield {"doc_id": i, "frame": n, "start_ms": start, "delay_ms": delay, "width": w, "height": h, "patch": pixels.tobytes(), "histogram": colours.tolist()}
 
         yield from _batches(rows(), "patch", ["doc_id", "frame", "start_ms", "delay_ms", "width", "height", "patch", "histogram"])
 
@@ -397,26 +430,30 @@ def gif_frames(media: DataFrame, id_column: str = "doc_id", column: str = "media
 
 
 def gif_payloads(media: DataFrame) -> DataFrame:
-    """``doc_id, n_bytes, media, payload, feature``: samples read back from composed frames and a text of their timing and grey histogram."""
+    """``doc_id, n_bytes, media, payload, feature``: samples read back from the timed frames, and a text of their number, time and colours.
+
+    Null or broken media keep their row with null payload and feature.
+    """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def rows() -> Iterator[dict]:
             for batch in batches:
                 for i, n, data in zip(batch["doc_id"].tolist(), batch["n_bytes"].tolist(), batch["media"].tolist(), strict=True):
-                    gif = read_gif(bytes(data))
-                    parts, bins, time = [], np.zeros(16, dtype=np.int64), 0
-                    for p, (canvas, _) in zip(gif.patches, composed(gif), strict=True):
-                        h, w = p.index.shape
-                        grey = canvas[p.top : p.top + h, p.left : p.left + w, 0]
-                        parts.append(grey.tobytes())
-                        bins += np.bincount(grey.ravel() >> 4, minlength=16)
-                        time += 10 * p.delay
-                    feature = f"frames={len(parts)};ms={time};grey16={','.join(map(str, bins.tolist()))}"
-                    yield {"doc_id": i, "n_bytes": n, "media": bytes(data), "payload": b"".join(parts), "feature": feature}
+                    row = {"doc_id": i, "n_bytes": n, "media": data, "payload": None, "feature": None}
+                    parts, colours, time = [], np.zeros(8, dtype=np.int64), 0
+                    try:
+                        for start, delay, pixels, seen in timed_frames(read_gif(bytes(data or b""))):
+                            parts.append(pixels[:, :, 0].tobytes())
+                            colours += seen
+                            time = start + delay
+                        row |= {"media": bytes(data), "payload": b"".join(parts), "feature": f"frames={len(parts)};ms={time};rgb8={','.join(map(str, colours.tolist()))}"}
+                    except BrokenImage:
+                        pass
+                    yield row
 
         yield from _batches(rows(), "payload", ["doc_id", "n_bytes", "media", "payload", "feature"])
 
-    return media.mapInPandas(_nullable(run, "doc_id"), "doc_id long, n_bytes long, media binary, payload binary, feature string")
+    return media.select("doc_id", "n_bytes", "media").mapInPandas(_nullable(run, "doc_id"), "doc_id long, n_bytes long, media binary, payload binary, feature string")
 
 
 def op1_gif_media(spark, sf_dir: str) -> DataFrame:
