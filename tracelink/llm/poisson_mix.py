@@ -16,7 +16,7 @@ from .common import materialise, table
 STREAM_RATE = 16.0
 #: Steps of the distribution function kept for a stream; beyond them less than 1e-25 of the mass remains at STREAM_RATE.
 CDF_STEPS = 80
-#: Sources up to this many rows are sent to every executor; beyond that the planner joins by shuffle.
+#: So many sources at most are sent to every executor, the largest ones; the others, each of few rows, are joined by shuffle.
 BROADCAST_SOURCES = 100_000
 
 
@@ -57,27 +57,40 @@ def _with_cdf(rates: DataFrame) -> DataFrame:
     return rates.withColumn("cdf", F.aggregate(F.sequence(F.lit(1), F.lit(CDF_STEPS)), start, step)["cdf"])
 
 
-def poisson_mix(docs: DataFrame, weights: dict[str, float] | None = None, temperature: float = 0.5, total: float = 1.0, seed: str = "mix") -> DataFrame:
+def _with_rates(rows: DataFrame, rates: DataFrame, most: int) -> DataFrame:
+    """Join ``rows`` with their source's row without moving the rows of a popular source.
+
+    Up to ``most`` sources are sent to every executor. Of more, the ``most`` largest are; each of the others has at most 1 row in ``most``.
+    """
+    same = F.col("x_source").eqNullSafe(F.col("r_source"))
+    if rates.count() <= most:
+        return rows.join(F.broadcast(rates), same)
+    large = F.broadcast(materialise(rates.orderBy(F.desc("r_share"), "r_source").limit(most), "large-sources"))
+    small = rates.join(large.select(F.col("r_source").alias("l_source")), F.col("r_source").eqNullSafe(F.col("l_source")), "left_anti")
+    return rows.join(large, same).union(rows.join(large, same, "left_anti").join(small, same))
+
+
+def poisson_mix(docs: DataFrame, weights: dict[str, float] | None = None, temperature: float = 0.5, total: float = 1.0, seed: str = "mix", broadcast_sources: int = BROADCAST_SOURCES) -> DataFrame:
     """Replicate every document by its Poisson count and shuffle globally.
 
-    Returns the columns of ``docs`` and ``mix_rate, mix_copies, mix_copy`` (from 1) and ``mix_key``; own columns of these names are replaced.
-    Equal doc_ids draw equal counts; a null doc_id counts as the empty string; empty tables give no rows. Texts are never looked at, so
-    their length does not matter. A source with a third of all rows is no hot key: rates are joined without moving documents, and the
-    final exchange is on the hashed key of the copy.
+    Returns the columns of ``docs`` and ``mix_rate, mix_copies, mix_copy`` (from 1) and ``mix_key``; own columns of these names are replaced,
+    columns of any other name pass through. Equal doc_ids draw equal counts, so repeated rows are repeated alike; a null doc_id counts as
+    the empty string; a null source is a source of its own; empty tables give no rows. Texts are never looked at, so null, empty and very
+    long ones do not matter. A source with a third of all rows is no hot key: its rate is sent to the documents, and the final exchange is
+    on the hashed key of the copy.
     """
     own = ["mix_rate", "mix_copies", "mix_copy", "mix_key"]
-    docs = docs.drop(*own)
-    rates = _with_cdf(source_rates(docs, weights, temperature, total)).select(F.col("source").alias("r_source"), F.col("rate").alias("mix_rate"), "streams", "cdf")
-    if rates.count() <= BROADCAST_SOURCES:
-        rates = F.broadcast(rates)
-    ident = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
-    drawn = lambda j: F.size(F.filter("cdf", lambda c: c <= _unit(F.lit(seed), ident, j.cast("string"))))
+    others = [c for c in docs.columns if c not in own]
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in others]).alias("row"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("ident"), F.col("source").alias("x_source"))
+    rates = _with_cdf(source_rates(docs, weights, temperature, total)).select(F.col("source").alias("r_source"), F.col("share").alias("r_share"), F.col("rate").alias("mix_rate"), "streams", "cdf")
+    drawn = lambda j: F.size(F.filter("cdf", lambda c: c <= _unit(F.lit(seed), F.col("ident"), j.cast("string"))))
     copies = F.aggregate(F.sequence(F.lit(1), F.col("streams")), F.lit(0), lambda n, j: n + drawn(j))
-    joined = docs.join(rates, docs["source"].eqNullSafe(F.col("r_source"))).withColumn("mix_copies", F.when(F.col("mix_rate") > 0, copies).otherwise(0))
-    joined = joined.drop("r_source", "streams", "cdf").where("mix_copies > 0")
+    joined = _with_rates(rows, rates, broadcast_sources).withColumn("mix_copies", F.when(F.col("mix_rate") > 0, copies).otherwise(0))
+    joined = joined.select("row", "ident", "mix_rate", "mix_copies").where("mix_copies > 0")
     spread = joined.select("*", F.explode(F.sequence(F.lit(1), F.col("mix_copies"))).alias("mix_copy"))
-    key = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed + "#"), ident, F.col("mix_copy").cast("string"))), 1, 15), 16, 10).cast("long")
-    return spread.withColumn("mix_key", key).repartition("mix_key").sortWithinPartitions("mix_key", "doc_id", "mix_copy")
+    key = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed + "#"), F.col("ident"), F.col("mix_copy").cast("string"))), 1, 15), 16, 10).cast("long")
+    dealt = spread.withColumn("mix_key", key).repartition("mix_key").sortWithinPartitions("mix_key", "ident", "mix_copy")
+    return dealt.select(*[F.col("row")[c].alias(c) for c in others], *own)
 
 
 def op6_poisson_mix(spark, sf_dir: str) -> DataFrame:
