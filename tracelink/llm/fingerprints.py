@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import shuffle_width, table
+from .common import shuffle_width, table, unused
 
 K, SHINGLE_WORDS = 128, 5
 _SPAN, _LOWEST = float(2**64), -float(2**63)
@@ -19,8 +19,8 @@ _SPAN, _LOWEST = float(2**64), -float(2**63)
 
 def with_shingle_hashes(df: DataFrame, text: str, out: str, words: int = SHINGLE_WORDS) -> DataFrame:
     """Add ``out``: hashes of the text's shingles, repeats included. Fewer words than a shingle: all of them as one; none or null: empty."""
-    parts, hashes = f"__{out}_w", f"__{out}_h"
-    df = df.withColumn(parts, F.filter(F.split(F.coalesce(F.col(text), F.lit("")), r"[\x20\x09-\x0D]+"), lambda w: w != ""))
+    parts, hashes = unused(df, f"{out}_words", f"{out}_hashes")
+    df = df.withColumn(parts, F.filter(F.split(F.coalesce(F.col(f"`{text}`"), F.lit("")), r"[\x20\x09-\x0D]+"), lambda w: w != ""))
     df = df.withColumn(hashes, F.transform(parts, lambda w: F.xxhash64(w))).drop(parts)
     h = F.col(hashes)
     starts = F.sequence(F.lit(1), F.size(h) - (words - 1))
@@ -61,9 +61,10 @@ def containment(a: Column, b: Column, k: int = K) -> Column:
 
 def merge_sketches(df: DataFrame, keys: list[str], column: str, k: int = K) -> DataFrame:
     """One sketch per key from the sketches of its parts; hot keys are cut to k rows in every task before the exchange."""
-    rows = df.select(*keys, F.explode(column).alias("__h")).distinct()
-    ranked = rows.withColumn("__r", F.row_number().over(Window.partitionBy(*keys).orderBy("__h"))).where(F.col("__r") <= k)
-    return ranked.groupBy(*keys).agg(F.sort_array(F.collect_list("__h")).alias(column))
+    h, r = unused(df, "h", "r")
+    rows = df.select(*keys, F.explode(column).alias(h)).distinct()
+    ranked = rows.withColumn(r, F.row_number().over(Window.partitionBy(*keys).orderBy(h))).where(F.col(r) <= k)
+    return ranked.groupBy(*keys).agg(F.sort_array(F.collect_list(h)).alias(column))
 
 
 def as_text(s: Column) -> Column:
@@ -92,23 +93,24 @@ def with_next(df: DataFrame, id_column: str, columns: list[str], prepare: Callab
     def bucket_of(k: Column) -> Column:
         return F.aggregate(steps, F.lit(0), lambda at, s: F.when(F.get(places, at + s - 1) <= k, at + s).otherwise(at))
 
-    held = df.withColumn("__k", key).withColumn("__b", bucket_of(F.col("__k")))
+    k, b, to, own, tie = unused(df, "k", "b", "to", "own_row", "tie")
+    held = df.withColumn(k, key).withColumn(b, bucket_of(F.col(k)))
     ends = {r["b"]: r["hi"] for r in ids.select("k", bucket_of(F.col("k")).alias("b")).groupBy("b").agg(F.max("k").alias("hi")).collect()}
     order = sorted(ends)
-    tops = [ends.get(b) for b in range(1 << depth)]
-    above = {b: order[(i + 1) % len(order)] for i, b in enumerate(order)}
+    tops = [ends.get(i) for i in range(1 << depth)]
+    above = {i: order[(n + 1) % len(order)] for n, i in enumerate(order)}
     top_of = F.array(*[F.lit(t).cast("long") for t in tops])
-    send_to = F.array(*[F.lit(above.get(b, -1)) for b in range(1 << depth)])
-    target = F.get(send_to, F.col("__b"))
-    is_top = F.col("__k") == F.get(top_of, F.col("__b"))
-    itself = F.struct(F.col("__b").alias("b"), F.lit(1).alias("own"))
+    send_to = F.array(*[F.lit(above.get(i, -1)) for i in range(1 << depth)])
+    target = F.get(send_to, F.col(b))
+    is_top = F.col(k) == F.get(top_of, F.col(b))
+    itself = F.struct(F.col(b).alias("b"), F.lit(1).alias("own"))
     guest = F.struct(target.alias("b"), F.lit(0).alias("own"))
-    dealt = held.withColumn("__to", F.explode(F.when(is_top, F.array(itself, guest)).otherwise(F.array(itself))))
-    dealt = dealt.withColumn("__own", F.col("__to.own")).withColumn("__b", F.col("__to.b")).drop("__to")
-    dealt = prepare(dealt.repartition(shuffle_width(spark), "__b")).withColumn("__tie", F.xxhash64(*columns))
-    w = Window.partitionBy("__b").orderBy("__own", "__k", "__tie")
-    kept = [c for c in dealt.columns if not c.startswith("__")]
-    return dealt.select("*", *[F.lag(c).over(w).alias(f"next_{c}") for c in columns]).where("__own = 1").select(*kept, *[f"next_{c}" for c in columns])
+    dealt = held.withColumn(to, F.explode(F.when(is_top, F.array(itself, guest)).otherwise(F.array(itself))))
+    dealt = dealt.withColumn(own, F.col(to)["own"]).withColumn(b, F.col(to)["b"]).drop(to)
+    dealt = prepare(dealt.repartition(shuffle_width(spark), b)).withColumn(tie, F.xxhash64(*columns))
+    w = Window.partitionBy(b).orderBy(own, k, tie)
+    kept = [F.col(f"`{c}`") for c in dealt.columns if c not in (k, b, own, tie)]
+    return dealt.select(*kept, F.col(own).alias(own), *[F.lag(c).over(w).alias(f"next_{c}") for c in columns]).where(F.col(own) == 1).drop(own)
 
 
 def op5_fingerprints(spark, sf_dir: str) -> DataFrame:
