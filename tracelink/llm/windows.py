@@ -3,12 +3,14 @@
 A window is a run of consecutive words. Consecutive windows that share a minimiser (the smallest hash of the short word runs inside) travel
 as one packed string to the bucket of that minimiser, where sorting finds equal windows and the smallest document that holds each. Before
 anything is sent, each task decides what it can alone: of a window that several of its documents hold, only the smallest document's copy
-travels, so a passage that a third of all documents share costs one packed string for each task.
+travels, so a passage that a third of all documents share costs one packed string for each chunk of text. A bucket is opened in blocks of
+bounded size; of an overfull one only the windows of the smallest documents so far are carried on, so no task holds a whole hot bucket.
 """
 
 from __future__ import annotations
 
 import hashlib
+import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,9 +24,13 @@ from .common import Words, in_chunks, mix64, run_hash, shuffle_width, table
 WINDOW, MINIMISER_WORDS = 13, 3
 #: Bytes of text a task looks at together, and of packed text aimed at for a bucket.
 CHUNK_BYTES, BUCKET_BYTES = 2 << 20, 4 << 20
+#: Compressed bytes of a bucket that are opened together, and windows of an overfull bucket that a task holds before it uses a file.
+BLOCK_BYTES, MOST_STANDING = 4 << 20, 2_000_000
 #: Packed text a byte of input, about: a super-k-mer repeats the twelve words it shares with the next one.
 PACKING = 3
 LAST = np.iinfo(np.int64).max
+#: Columns that the operator adds.
+OWN = ("n_words", "n_removed")
 
 
 def repeated(h: np.ndarray, at: np.ndarray, owner: np.ndarray, width: int) -> np.ndarray:
@@ -149,39 +155,122 @@ def _packer(buckets: int, width: int):
     return run
 
 
-def _unpacker(width: int):
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        ready, packed = group[group["body"].isna()], group[group["body"].notna()]
-        def entries(df: pd.DataFrame) -> list[np.ndarray]:
-            parts = [_unpack_meta(m, n) for m, n in zip(df["meta"], df["n"], strict=True)]
-            return [np.concatenate(x) for x in zip(*parts, strict=True)]
-
-        out = [tuple(entries(ready))] if len(ready) else []
-        if len(packed):
-            ids, keys, a, lengths = entries(packed)
-            loose = zstandard.ZstdDecompressor()
-            words = Words.of_joined(b" ".join(loose.decompress(x) for x in packed["body"]), lengths)
-            at, piece = _window_starts(words, width)
-            order = np.argsort(ids[piece], kind="stable")
-            flagged = np.zeros(len(at), dtype=bool)
-            flagged[order] = repeated(words.hash, at[order], ids[piece][order], width)
-            at, piece = at[flagged], piece[flagged]
-            if len(at):
-                first, last = _spans(at, np.diff(piece, prepend=piece[:1]) != 0, width)
-                p = piece[first]
-                base = a[p] - words.first[p]
-                out.append((ids[p], keys[p], (at[first] + base).astype(np.int32), (at[last] + width + base).astype(np.int32)))
-        ids, keys, a, b = (np.concatenate(x) for x in zip(*out, strict=True)) if out else ([], [], [], [])
-        return pd.DataFrame({"id": ids, "key": keys, "a": a, "b": b})
+Entries = tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]
+
+
+def _entries(df: pd.DataFrame) -> Entries:
+    """Ids, text keys, word places and last column of the entries of packed rows."""
+    parts = [_unpack_meta(m, n) for m, n in zip(df["meta"], df["n"], strict=True)]
+    ids, keys, a, b = (np.concatenate(x) for x in zip(*parts, strict=True))
+    return ids, keys, a, b
+
+
+def _shown(ids, keys, a, b) -> pd.DataFrame:
+    return pd.DataFrame({"id": ids, "key": keys, "a": np.asarray(a, dtype=np.int32), "b": np.asarray(b, dtype=np.int32)})
+
+
+def _opened(df: pd.DataFrame, width: int) -> tuple[Words, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Words of packed rows; id, key and place of each window, and where it starts among the words."""
+    ids, keys, a, lengths = _entries(df)
+    loose = zstandard.ZstdDecompressor()
+    words = Words.of_joined(b" ".join(loose.decompress(x) for x in df["body"]), lengths)
+    at, piece = _window_starts(words, width)
+    return words, ids[piece], keys[piece], a[piece] + at - words.first[piece], at, piece
+
+
+class _Standing:
+    """Windows of an overfull bucket that no smaller document had so far: their digest (128 bits), document and place.
+
+    Blocks come one after the other; of a window only the entries of its smallest document stay, so a passage that very many documents share
+    stays as one entry. Where over ``limit`` entries are left, all are dealt by digest to parts of a file, each of which is settled alone.
+    """
+
+    PARTS = 64
+
+    def __init__(self, width: int, limit: int):
+        self.width, self.limit, self.rows, self.files = width, limit, np.zeros((5, 0), dtype=np.int64), None
+
+    def _settled(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Entries of each digest's smallest document, and the others."""
+        rows = rows[:, np.lexsort((rows[2], rows[1], rows[0]))]
+        fresh = np.ones(rows.shape[1], dtype=bool)
+        fresh[1:] = (rows[0, 1:] != rows[0, :-1]) | (rows[1, 1:] != rows[1, :-1])
+        heads = np.flatnonzero(fresh)
+        least = np.repeat(rows[2, heads], np.diff(np.append(heads, rows.shape[1])))
+        return rows[:, rows[2] == least], rows[:, rows[2] != least]
+
+    def _spans(self, rows: np.ndarray) -> pd.DataFrame:
+        ids, keys, at = rows[2:, np.lexsort((rows[4], rows[3], rows[2]))]
+        breaks = (np.diff(ids, prepend=ids[:1]) != 0) | (np.diff(keys, prepend=keys[:1]) != 0)
+        first, last = _spans(at, breaks, self.width)
+        return _shown(ids[first], keys[first], at[first], at[last] + self.width)
+
+    def add(self, block: pd.DataFrame) -> Iterator[pd.DataFrame]:
+        words, ids, keys, places, at, _ = _opened(block, self.width)
+        sums = [run_hash(words.hash, self.width, seed)[at].view(np.int64) for seed in (11, 23)]
+        self.rows, gone = self._settled(np.concatenate([self.rows, np.stack([*sums, ids, keys, places])], axis=1))
+        if gone.shape[1]:
+            yield self._spans(gone)
+        if self.rows.shape[1] > self.limit:
+            self.files = self.files or [tempfile.TemporaryFile() for _ in range(self.PARTS)]
+            part = self.rows[0] & (self.PARTS - 1)
+            for i, file in enumerate(self.files):
+                file.write(np.ascontiguousarray(self.rows[:, part == i].T).tobytes())
+            self.rows = self.rows[:, :0]
+
+    def end(self) -> Iterator[pd.DataFrame]:
+        part = self.rows[0] & (self.PARTS - 1)
+        for i, file in enumerate(self.files or []):
+            file.seek(0)
+            kept = np.frombuffer(file.read(), dtype=np.int64).reshape(-1, 5).T
+            file.close()
+            _, gone = self._settled(np.concatenate([kept, self.rows[:, part == i]], axis=1))
+            if gone.shape[1]:
+                yield self._spans(gone)
+
+
+def _unpacker(width: int, block_bytes: int, most_standing: int):
+    def decided(block: pd.DataFrame) -> Iterator[pd.DataFrame]:
+        words, ids, keys, places, at, piece = _opened(block, width)
+        order = np.argsort(ids, kind="stable")
+        flagged = np.zeros(len(at), dtype=bool)
+        flagged[order] = repeated(words.hash, at[order], ids[order], width)
+        at, piece, ids, keys, places = at[flagged], piece[flagged], ids[flagged], keys[flagged], places[flagged]
+        if len(at):
+            first, last = _spans(at, np.diff(piece, prepend=piece[:1]) != 0, width)
+            yield _shown(ids[first], keys[first], places[first], places[last] + width)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        """A bucket in blocks of bounded size: one block is the rule; of an overfull bucket, what stands is carried from block to block."""
+        held, size, standing = [], 0, None
+        for group in batches:
+            ready, packed = group[group["body"].isna()], group[group["body"].notna()]
+            if len(ready):
+                yield _shown(*_entries(ready))
+            for part in in_chunks(packed, packed["body"].map(len).tolist(), block_bytes):
+                block = packed.iloc[part]
+                held.append(block)
+                size += int(block["body"].map(len).sum())
+                if size >= block_bytes:
+                    standing = standing or _Standing(width, most_standing)
+                    yield from standing.add(pd.concat(held))
+                    held, size = [], 0
+        if standing:
+            if held:
+                yield from standing.add(pd.concat(held))
+            yield from standing.end()
+        elif held:
+            yield from decided(pd.concat(held))
 
     return run
 
 
 def _keyed(docs: DataFrame, text: str, apart: bool) -> DataFrame:
-    """Add ``__text``, ``__id`` (null last) and ``__key``, which tells rows of equal id apart (0 where ids are unique)."""
+    """``text, id`` (null last), ``key``, which tells rows of equal id apart (0 where ids are unique), and ``row`` with the other columns."""
     body = F.coalesce(F.col(f"`{text}`").cast("string"), F.lit(""))
     key = F.xxhash64(body) if apart else F.lit(0).cast("long")
-    return docs.withColumn("__text", body).withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST)))).withColumn("__key", key)
+    others = [F.col(f"`{c}`") for c in docs.columns if c not in (text, *OWN)]
+    return docs.select(body.alias("text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST))).alias("id"), key.alias("key"), F.struct(*others).alias("row"))
 
 
 def _repeats_ids(docs: DataFrame) -> bool:
@@ -195,27 +284,27 @@ def repeated_spans(docs: DataFrame, text: str = "text", width: int = WINDOW, apa
     """
     spark = docs.sparkSession
     keyed = _keyed(docs, text, apart)
-    size = keyed.agg(F.sum(F.octet_length("__text"))).first()[0] or 0
+    size = keyed.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     buckets = int(min(1 << 30, max(4 * shuffle_width(spark), PACKING * size // BUCKET_BYTES)))
-    packed = keyed.select(F.col("__id").alias("id"), F.col("__key").alias("key"), F.col("__text").alias("text")).mapInPandas(_packer(buckets, width), PACKED)
-    return packed.groupBy("bucket").applyInPandas(_unpacker(width), "id long, key long, a int, b int")
+    packed = keyed.select("id", "key", "text").mapInPandas(_packer(buckets, width), PACKED)
+    return packed.groupBy("bucket").applyInPandas(_unpacker(width, BLOCK_BYTES, MOST_STANDING), "id long, key long, a int, b int")
 
 
 def drop_repeats(docs: DataFrame, text: str = "text", width: int = WINDOW) -> DataFrame:
     """Remove every word covered by a window of ``width`` words that also starts in a document with a smaller doc_id.
 
     Returns the columns of ``docs`` with ``text`` replaced by the kept words joined by one blank, and ``n_words``, ``n_removed`` (own
-    columns of these names are replaced). Windows are judged on the input. Null texts become empty; every row stays, repeated rows too;
-    rows of equal doc_id do not count as smaller than each other; an empty table gives no rows.
+    columns of these names are replaced, columns of any other name pass through). Windows are judged on the input. Null texts become empty;
+    every row stays, repeated rows too; rows of equal doc_id do not count as smaller than each other, null ids are larger than any other;
+    an empty table gives no rows.
     """
     apart = _repeats_ids(docs)
     spans = repeated_spans(docs, text, width, apart).groupBy(F.col("id").alias("s_id"), F.col("key").alias("s_key")).agg(F.collect_list(F.struct("a", "b")).alias("s_spans"))
-    keyed = _keyed(docs.drop("n_words", "n_removed"), text, apart)
-    joined = keyed.join(spans, (F.col("__id") == F.col("s_id")) & (F.col("__key") == F.col("s_key")), "left").drop("s_id", "s_key", "__id", "__key")
-    others = [c for c in docs.columns if c not in (text, "n_words", "n_removed")]
-    shaped = joined.select(F.col("__text").alias("text"), F.col("s_spans.a").alias("a"), F.col("s_spans.b").alias("b"), F.struct(*[F.col(f"`{c}`") for c in others]).alias("row"))
+    keyed = _keyed(docs, text, apart)
+    joined = keyed.join(spans, (F.col("id") == F.col("s_id")) & (F.col("key") == F.col("s_key")), "left")
+    shaped = joined.select("text", F.col("s_spans.a").alias("a"), F.col("s_spans.b").alias("b"), "row")
     kept = shaped.withColumn("k", F.pandas_udf(_kept, "text string, n_words long, n_removed long")("text", "a", "b")).select("row", "k")
-    return kept.select(*[F.col("k.text").alias(c) if c == text else F.col("row")[c].alias(c) for c in docs.columns if c not in ("n_words", "n_removed")], F.col("k.n_words").alias("n_words"), F.col("k.n_removed").alias("n_removed"))
+    return kept.select(*[F.col("k.text").alias(c) if c == text else F.col("row")[c].alias(c) for c in docs.columns if c not in OWN], *[F.col("k")[c].alias(c) for c in OWN])
 
 
 def _kept(texts: pd.Series, a: pd.Series, b: pd.Series) -> pd.DataFrame:
