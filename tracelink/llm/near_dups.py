@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, give_back, in_chunks, materialise, mix64, run_hash, table
+from .common import Words, give_back, in_chunks, materialise, mix64, run_hash, table, unused
 
 SHINGLE_WORDS, COORDINATES, MISS = 5, 32, 1e-6
 CHUNK_BYTES = 2 << 20
@@ -157,7 +157,8 @@ def _postings(classes: DataFrame, k: int, need: int) -> DataFrame:
     tokens = classes.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), F.posexplode("sig").alias("i", "v"))
     tokens = tokens.select("node", "n", F.xxhash64("i", "v").alias("token"))
     shared = tokens.groupBy(F.col("token").alias("t")).agg(F.count(F.lit(1)).alias("df")).where("df > 1")
-    held = tokens.join(shared, F.col("token") == F.col("t"))
+    # written, so that both sides of the join are exchanges of their own and Spark can split a popular token
+    held = tokens.join(materialise(shared, "shared"), F.col("token") == F.col("t"))
     # at most k rows a node: the whole list of a node is bounded
     lists = held.groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("df", "token"))).alias("ts"), F.sum("df").alias("weight"))
     # pairs that only this class has come first in the order and use up the prefix
@@ -266,13 +267,13 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
         return full.mapInPandas(_confirmer(size, percent), "a long, b long")
 
     pivots = posted.groupBy(F.col("token").alias("t")).agg(F.min("node").alias("least"), F.max(F.struct("weight", F.col("node"))).alias("top"))
-    star = posted.join(pivots, F.col("token") == F.col("t")).select("node", F.explode(F.array("least", "top.node")).alias("pivot")).where("node <> pivot")
+    star = posted.join(materialise(pivots, "pivots"), F.col("token") == F.col("t")).select("node", F.explode(F.array("least", "top.node")).alias("pivot")).where("node <> pivot")
     tried = materialise(star.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct(), "pairs")
     links = materialise(confirmed(tried), "links")
     labels = materialise(components(links), "components")
     placed = posted.join(labels.select(F.col("node").alias("l_node"), "component"), F.col("node") == F.col("l_node"), "left").select("token", "node", F.coalesce("component", "node").alias("c"))
     split = placed.groupBy("token").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("token")
-    unsettled = materialise(placed.join(split, "token", "left_semi").groupBy("node").agg(F.min("c").alias("c")), "open")
+    unsettled = materialise(placed.join(materialise(split, "split"), "token", "left_semi").groupBy("node").agg(F.min("c").alias("c")), "open")
     more = materialise(confirmed(_pairs_across(unsettled, texts, percent, size).join(tried, ["a", "b"], "left_anti")), "links")
     if not more.isEmpty():
         labels = materialise(components(links.union(more)), "components")
@@ -289,14 +290,16 @@ def deduplicated(docs: DataFrame, text: str = "text", percent: int = 80) -> Data
     """
     identified = docs.where("doc_id is not null")
     if identified.groupBy(F.col("doc_id").cast("long").alias("id")).count().where("count > 1").isEmpty():
-        kept = near_dups(identified, text, percent).where("kept").select(F.col("doc_id").alias("k_id"))
-        out = identified.join(materialise(kept, "kept"), F.col("doc_id").cast("long") == F.col("k_id"), "left_semi")
+        (k_id,) = unused(docs, "k_id")
+        kept = near_dups(identified, text, percent).where("kept").select(F.col("doc_id").alias(k_id))
+        out = identified.join(materialise(kept, "kept"), F.col("doc_id").cast("long") == F.col(k_id), "left_semi")
         return out.union(docs.where("doc_id is null"))
-    rows = materialise(identified.withColumn("__row", F.monotonically_increasing_id()), "rows")
-    found = near_dups(rows.select(F.col("__row").alias("doc_id"), text), text, percent).select(F.col("doc_id").alias("__row"), "component_id")
-    place = F.struct(F.col("doc_id").cast("long"), F.xxhash64(F.col(f"`{text}`")), "__row")
-    first = rows.select("__row", place.alias("place")).join(found, "__row").groupBy("component_id").agg(F.min("place").alias("least")).select(F.col("least.__row").alias("k_row"))
-    out = rows.join(materialise(first, "kept"), F.col("__row") == F.col("k_row"), "left_semi").drop("__row")
+    rows = identified.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.monotonically_increasing_id().alias("at"))
+    rows = materialise(rows, "rows")
+    found = near_dups(rows.select(F.col("at").alias("doc_id"), F.col("row")[text].alias("text")), "text", percent).select(F.col("doc_id").alias("f_at"), "component_id")
+    place = F.struct(F.col("row.doc_id").cast("long"), F.xxhash64(F.col("row")[text]), "at")
+    first = rows.select("at", place.alias("place")).join(found, F.col("at") == F.col("f_at")).groupBy("component_id").agg(F.min("place").alias("least")).select(F.col("least.at").alias("k_at"))
+    out = rows.join(materialise(first, "kept"), F.col("at") == F.col("k_at"), "left_semi").select("row.*")
     return out.union(docs.where("doc_id is null"))
 
 
