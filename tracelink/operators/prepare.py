@@ -38,11 +38,10 @@ def snap(points: DataFrame, anchors: DataFrame, radius: float) -> DataFrame:
     return placed.groupBy("oid", "t", "x", "y").agg(F.min_by("a_pid", F.struct("d2", "a_pid")).alias("pid"), F.min("d2").alias("d2"))
 
 
-def to_grid(trace: DataFrame, r: int, low: float = 0.0, high: float = 100.0) -> DataFrame:
-    """Replace the place by its cell in an r x r grid over [low, high); places on the far edge fall into the last cell."""
-    size = (high - low) / r
-    at = lambda c: F.greatest(F.lit(0), F.least(F.lit(r - 1), F.floor((F.col(c) - F.lit(low)) / F.lit(size)))).cast("long")
-    return trace.withColumn("pid", at("x") * r + at("y"))
+def to_grid(trace: DataFrame, r: int, box: tuple[float, float, float, float] = (0.0, 0.0, 100.0, 100.0)) -> DataFrame:
+    """Replace the place by its cell in an r x r grid over ``box`` (x1, y1, x2, y2); places beyond an edge fall into the nearest cell."""
+    at = lambda c, low, high: F.greatest(F.lit(0), F.least(F.lit(r - 1), F.floor((F.col(c) - F.lit(low)) / F.lit((high - low) / r)))).cast("long")
+    return trace.withColumn("pid", at("x", box[0], box[2]) * r + at("y", box[1], box[3]))
 
 
 def time_bin(t: Column, hours: int) -> Column:

@@ -69,23 +69,19 @@ def sized(m: int | None) -> str:
 
 # --- preparation -------------------------------------------------------------------------------------------------------------------
 
-add("p_assemble", lambda s, d: P.assemble(S.suppliers(S.read(s, d, "lineitem"), S.read(s, d, "part")).distinct(), TIES).groupBy("oid").agg(F.max("seq").alias("points"), F.min_by("pid", "seq").alias("first_pid"), F.max_by("pid", "seq").alias("last_pid")),
-    """WITH t AS (SELECT DISTINCT l_suppkey AS oid, l_shipdate AS t, l_partkey AS pid, p_size::DOUBLE AS x, p_retailprice AS y FROM lineitem JOIN part ON l_partkey = p_partkey),
+add("p_assemble", lambda s, d: P.assemble(S.suppliers(S.read(s, d, "lineitem"), S.read(s, d, "part")), TIES).groupBy("oid").agg(F.max("seq").alias("points"), F.min_by("pid", "seq").alias("first_pid"), F.max_by("pid", "seq").alias("last_pid")),
+    """WITH t AS (SELECT l_suppkey AS oid, l_shipdate AS t, l_partkey AS pid, p_size::DOUBLE AS x, p_retailprice AS y FROM lineitem JOIN part ON l_partkey = p_partkey),
     n AS (SELECT *, row_number() OVER (PARTITION BY oid ORDER BY t, pid, x, y) AS seq FROM t)
     SELECT oid, max(seq)::INT AS points, min_by(pid, seq) AS first_pid, max_by(pid, seq) AS last_pid FROM n GROUP BY oid""")
 add("p_min_points", lambda s, d: P.min_points(habit(s, d), 68).groupBy("oid").agg(F.count(F.lit(1)).alias("points")),
     f"WITH {Q.HABIT} SELECT oid, count(*) AS points FROM habit GROUP BY oid HAVING count(*) >= 68")
 
 
-def _snap(s: SparkSession, d: str, whole: bool = False) -> DataFrame:
-    anchors = S.locations(habit(s, d) if whole else habit(s, d).where(F.col("pid") % 7 == 0))
-    return P.snap(S.raw(S.read(s, d, "events")).select("oid", "t", "x", "y"), anchors, 4.0).select("oid", "t", "x", "y", "pid", F.round("d2", 6).alias("d2"))
+def _snap(s: SparkSession, d: str) -> DataFrame:
+    return P.snap(S.raw(S.read(s, d, "events")).select("oid", "t", "x", "y"), S.locations(habit(s, d)), 4.0).select("oid", "t", "x", "y", "pid", F.round("d2", 6).alias("d2"))
 
 
-add("p_snap", _snap, f"""WITH {Q.HABIT}, {Q.RAW}, a AS (SELECT pid, min(x) AS ax, min(y) AS ay FROM habit WHERE pid % 7 = 0 GROUP BY pid),
-    c AS (SELECT DISTINCT r.oid, r.t, r.x, r.y, a.pid, (x - ax) ** 2 + (y - ay) ** 2 AS d2 FROM raw r JOIN a ON abs(x - ax) <= 4 AND abs(y - ay) <= 4)
-    SELECT oid, t, x, y, pid, round(d2, 6) AS d2 FROM (SELECT *, row_number() OVER (PARTITION BY oid, t, x, y ORDER BY d2, pid) AS r FROM c WHERE d2 <= 16) WHERE r = 1""")
-add("p_snap_whole", lambda s, d: _snap(s, d, True), f"""WITH {Q.HABIT}, {Q.RAW}, a AS (SELECT pid, min(x) AS ax, min(y) AS ay FROM habit GROUP BY pid),
+add("p_snap", _snap, f"""WITH {Q.HABIT}, {Q.RAW}, a AS (SELECT pid, min(x) AS ax, min(y) AS ay FROM habit GROUP BY pid),
     c AS (SELECT DISTINCT r.oid, r.t, r.x, r.y, a.pid, (x - ax) ** 2 + (y - ay) ** 2 AS d2 FROM raw r JOIN a ON abs(x - ax) <= 4 AND abs(y - ay) <= 4)
     SELECT oid, t, x, y, pid, round(d2, 6) AS d2 FROM (SELECT *, row_number() OVER (PARTITION BY oid, t, x, y ORDER BY d2, pid) AS r FROM c WHERE d2 <= 16) WHERE r = 1""")
 GRID = "least({0} - 1, greatest(0, floor(x / (100.0 / {0}))::BIGINT)) * {0} + least({0} - 1, greatest(0, floor(y / (100.0 / {0}))::BIGINT))"
@@ -113,17 +109,36 @@ for name, (cutter, text) in SPLITS.items():
             f"WITH {Q.HABIT}, {text}, {Q.sig('split', 'sg', m)}, {Q.knn('sg', 5)} {Q.acc('knn')}")
 
 
-def limited(n: int, both: bool) -> str:
+def limited(n: int, both: bool, seed: int = 3, name: str = "split") -> str:
     keep = f"r <= {n}" + ("" if both else " OR side = 'D'")
     return f"""full_split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM habit), lim AS (SELECT side, dy FROM (SELECT side, dy,
-    row_number() OVER (PARTITION BY side ORDER BY {Q.int_hash('dy', 3)}, dy) AS r FROM (SELECT DISTINCT side, {Q.DAY} AS dy FROM full_split)) WHERE {keep}),
-    split AS (SELECT f.* FROM full_split f JOIN lim ON f.side = lim.side AND {Q.DAY} = dy)"""
+    row_number() OVER (PARTITION BY side ORDER BY {Q.int_hash('dy', seed)}, dy) AS r FROM (SELECT DISTINCT side, {Q.DAY} AS dy FROM full_split)) WHERE {keep}),
+    {name} AS (SELECT f.* FROM full_split f JOIN lim ON f.side = lim.side AND {Q.DAY} = dy)"""
+
+
+DRAWS = (3, 4, 5)
+
+
+def _mean_days(s: SparkSession, d: str, n: int, both: bool) -> DataFrame:
+    """Accuracy with n days, mean over several draws of the days; the draws are one plan."""
+    parts = [accuracy(t := split(s, d), link(P.limit_days(t, n, ["Q", "D"] if both else ["Q"], seed), 3)) for seed in DRAWS]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.union(p)
+    return out.groupBy("k").agg(F.count(F.lit(1)).alias("draws"), F.sum("hits").alias("hits"), F.round(F.sum("hits") / F.sum("queries"), 6).alias("acc"))
+
+
+def mean_days(n: int, both: bool) -> str:
+    parts = [f"{limited(n, both, seed, f'split{seed}').replace('full_split', f'full{seed}').replace('lim ', f'lim{seed} ').replace('lim.', f'lim{seed}.')}, {Q.sig(f'split{seed}', f'sg{seed}', 3)}, {Q.knn(f'sg{seed}', 5, f'knn{seed}')}, acc{seed} AS ({Q.acc(f'knn{seed}', f'full{seed}')})" for seed in DRAWS]
+    every = " UNION ALL ".join(f"SELECT * FROM acc{seed}" for seed in DRAWS)
+    return f"WITH {Q.HABIT}, {', '.join(parts)} SELECT k, count(*) AS draws, sum(hits)::BIGINT AS hits, round(sum(hits) / sum(queries), 6) AS acc FROM ({every}) GROUP BY k"
 
 
 for n in range(1, 16):
     for label, both in (("query", False), ("both", True)):
         add(f"w_days_{label}_{n}", lambda s, d, n=n, both=both: accuracy(split(s, d), link(P.limit_days(split(s, d), n, ["Q", "D"] if both else ["Q"]), 3)),
             f"WITH {Q.HABIT}, {limited(n, both)}, {Q.sig('split', 'sg', 3)}, {Q.knn('sg', 5)} {Q.acc('knn', 'full_split')}")
+        add(f"w_days_mean_{label}_{n}", lambda s, d, n=n, both=both: _mean_days(s, d, n, both), mean_days(n, both))
 add("p_two_sources", lambda s, d: P.two_sources(habit(s, d), S.raw(S.read(s, d, "events"))).groupBy("side").agg(F.count(F.lit(1)).alias("points"), F.sum("pid").alias("pids")),
     f"WITH {Q.HABIT}, {Q.RAW} SELECT 'Q' AS side, count(*) AS points, sum(pid)::BIGINT AS pids FROM habit UNION ALL SELECT 'D', count(*), sum(pid)::BIGINT FROM raw")
 
@@ -287,6 +302,33 @@ def _local(s: SparkSession, d: str) -> DataFrame:
 
 
 add("w_link_tree_local", _local, KNN3 + SHOWN + "knn")
+
+
+def _auto(s: SparkSession, d: str) -> DataFrame:
+    _, q, c, place = sig_of(s, d)
+    return shown(sigtree.knn(q, sigtree.build(c, place), 5, place))
+
+
+add("w_link_tree_auto", _auto, KNN3 + SHOWN + "knn")
+
+
+def _customer_signatures(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Customers that visit parts, m = 10: signature relation, queries, candidates, places."""
+    t = S.customers(S.read(s, d, "orders"), S.read(s, d, "lineitem"), "l_partkey")
+    sig = W.spatial(t, 10)
+    return sig, *L.sides(sig), S.locations(t)
+
+
+CUSTOMER_KNN = f"WITH {Q.customers('l_partkey')}, {Q.sig('split', 'sg', 10)}, {Q.knn('sg', 1)} {SHOWN} knn"
+CUSTOMER_SEARCHES: dict[str, Callable] = {
+    "inverted": lambda sig, q, c, p: L.inverted(q, c, 1),
+    "linear": lambda sig, q, c, p: L.linear(q, c, 1),
+    "l2ap": lambda sig, q, c, p: L.threshold_knn(q, c, 1, 0.3),
+    "mbr": lambda sig, q, c, p: L.mbr_range(q, c, L.boxes(sig, p), 1),
+    "tree": lambda sig, q, c, p: sigtree.knn_join(q, sigtree.build(c, p, 16), 1, p),
+}
+for label, search in CUSTOMER_SEARCHES.items():
+    add(f"w_link_customers_{label}_k1", lambda s, d, f=search: shown(f(*_customer_signatures(s, d))), CUSTOMER_KNN)
 for place, label in (("l_suppkey", "suppliers"), ("l_partkey", "parts")):
     add(f"w_link_customers_{label}", lambda s, d, p=place: accuracy(t := S.customers(S.read(s, d, "orders"), S.read(s, d, "lineitem"), p), link(t, 10)),
         f"WITH {Q.customers(place)}, {Q.sig('split', 'sg', 10)}, {Q.knn('sg', 5)} {Q.acc('knn')}")
@@ -303,6 +345,47 @@ PAGE = """parts AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1
 add("w_repr_second_hosts", lambda s, d: accuracy(t := S.pages(S.read(s, d, "pages")), link(t, 10)), f"WITH {PAGE}, {Q.sig('split', 'sg', 10)}, {Q.knn('sg', 5)} {Q.acc('knn')}")
 
 
+SUPPLIERS = f"""supp AS (SELECT l_suppkey AS oid, l_shipdate AS t, l_partkey AS pid, p_size::DOUBLE AS x, p_retailprice AS y FROM lineitem JOIN part ON l_partkey = p_partkey)"""
+SUPP_SPLIT = f"split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM supp)"
+
+
+def supplier_trace(s: SparkSession, d: str) -> DataFrame:
+    return S.suppliers(S.read(s, d, "lineitem"), S.read(s, d, "part"))
+
+
+#: Times are midnights there, so a time bin tells nothing; the extent of places is fixed (sizes 1 to 50, prices 900 to 2100).
+SUPP_GRID = "least({0} - 1, greatest(0, floor((x - 1.0) / (49.0 / {0}))::BIGINT)) * {0} + least({0} - 1, greatest(0, floor((y - 900.0) / (1200.0 / {0}))::BIGINT))"
+SUPP_BOX = (1.0, 900.0, 50.0, 2100.0)
+for m in (10, None):
+    add(f"w_repr_suppliers_spatial_{sized(m)}", lambda s, d, m=m: accuracy(t := P.interleaved(supplier_trace(s, d)), link(t, m)),
+        f"WITH {SUPPLIERS}, {SUPP_SPLIT}, {Q.sig('split', 'sg', m)}, {Q.knn('sg', 5)} {Q.acc('knn')}")
+for q in range(1, 6):
+    add(f"w_repr_suppliers_seq_q{q}", lambda s, d, q=q: accuracy(t := P.interleaved(supplier_trace(s, d)), L.inverted(*L.sides(W.sequential(t, q, ["t", *TIES])), 5)),
+        f"WITH {SUPPLIERS}, {SUPP_SPLIT}, {grams(q)}, {Q.sig(f'grams_{q}', 'sg', feature='fid')}, {Q.knn('sg', 5)} {Q.acc('knn')}")
+for r in (100, 200, 300):
+    cells = f"cells AS (SELECT side, oid, {SUPP_GRID.format(r)} AS pid FROM split)"
+    add(f"w_repr_suppliers_grid_{r}", lambda s, d, r=r: accuracy(t := P.interleaved(supplier_trace(s, d)), link(P.to_grid(t, r, SUPP_BOX), None)),
+        f"WITH {SUPPLIERS}, {SUPP_SPLIT}, {cells}, {Q.sig('cells', 'sg')}, {Q.knn('sg', 5)} {Q.acc('knn')}")
+DOC_GRAMS = """grams_{0} AS (SELECT side, oid, {1} AS fid FROM (SELECT CASE WHEN i % 2 = 1 THEN 'Q' ELSE 'D' END AS side, doc_id AS oid, i, w[i] AS pid FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM words)) WINDOW v AS (PARTITION BY side, oid ORDER BY i))"""
+for q in range(2, 6):
+    parts = " || '_' || ".join(["pid", *[f"lead(pid, {i}) OVER v" for i in range(1, q)]])
+    add(f"w_repr_second_documents_q{q}", lambda s, d, q=q: accuracy(t := S.documents(S.read(s, d, "documents")), L.inverted(*L.sides(W.sequential(t, q, ["seq"])), 5)),
+        f"WITH {DOC}, {DOC_GRAMS.format(q, parts)}, {Q.sig(f'grams_{q}', 'sg', feature='fid')}, {Q.knn('sg', 5)} {Q.acc('knn')}")
+for n in (3000, 6000, 9000, 12000):
+    for place, label in (("l_suppkey", "suppliers"), ("l_partkey", "parts")):
+        add(f"w_size_customers_{label}_{n}", lambda s, d, n=n, p=place: accuracy(t := S.customers(S.read(s, d, "orders"), S.read(s, d, "lineitem"), p, n), link(t, 10)),
+            f"WITH {Q.customers(place)[:-1]} AND o_custkey < {n}), {Q.sig('split', 'sg', 10)}, {Q.knn('sg', 5)} {Q.acc('knn')}")
+CURVE = "ps AS (SELECT side, oid, p.r AS r, sum(CASE WHEN pl.r <= p.r THEN w * w ELSE 0 END) / sum(w * w) AS s FROM pl, (VALUES (1), (3), (5), (10), (20)) p(r) GROUP BY ALL) SELECT r, round(avg(s), 6) AS share FROM ps GROUP BY r"
+RANKED = "pl AS (SELECT *, row_number() OVER (PARTITION BY side, oid ORDER BY round(w, 12) DESC, fid) AS r FROM sg)"
+for label, run, text in (
+    ("suppliers", lambda s, d: P.interleaved(supplier_trace(s, d)), f"{SUPPLIERS}, {SUPP_SPLIT}"),
+    ("customers", lambda s, d: S.customers(S.read(s, d, "orders"), S.read(s, d, "lineitem"), "l_partkey"), Q.customers("l_partkey")),
+    ("documents", lambda s, d: S.documents(S.read(s, d, "documents")), DOC),
+    ("raw", lambda s, d: P.interleaved(S.raw(S.read(s, d, "events"))), f"{Q.RAW}, {Q.INTERLEAVED.replace('FROM habit', 'FROM raw')}"),
+):
+    add(f"w_powerlaw_{label}", lambda s, d, run=run: W.weight_curve(W.spatial(run(s, d)), [1, 3, 5, 10, 20]), f"WITH {text}, {Q.sig('split', 'sg')}, {RANKED}, {CURVE}")
+
+
 def _accounts(s: SparkSession, d: str) -> DataFrame:
     """Two ids of one person: benchmark items against documents by word 5-grams."""
     words = lambda c: F.filter(F.split(F.coalesce(c, F.lit("")), r"[\x20\x09-\x0D]+"), lambda w: w != "")
@@ -339,25 +422,26 @@ for m in (3, 5, 10, None):
 
 
 def _disjoint(s: SparkSession, d: str) -> DataFrame:
-    """Pairs of positive similarity whose boxes do not meet: there must be none."""
+    """Pairs of positive similarity, and those of them whose boxes do not meet (there must be none)."""
     t, q, c, place = sig_of(s, d, 5)
-    return L.dot_pairs(q, c).join(L.overlapping(L.boxes(W.spatial(t, 5), place)), ["qid", "oid"], "left_anti").agg(F.count(F.lit(1)).alias("violations"))
+    pairs = L.dot_pairs(q, c)
+    met = L.overlapping(L.boxes(W.spatial(t, 5), place)).withColumn("met", F.lit(1))
+    return pairs.join(met, ["qid", "oid"], "left").agg(F.count(F.lit(1)).alias("pairs"), F.count(F.when(F.col("met").isNull(), 1)).alias("violations"))
 
 
-add("x_prune_mbr", _disjoint, "SELECT 0::BIGINT AS violations")
+add("x_prune_mbr", _disjoint, f"""WITH {Q.BASE}, {Q.sig('split', 'sg', 5)}, {Q.boxes('sg', 'split')}, {Q.pairs('sg')}
+    SELECT count(*) AS pairs, count(*) FILTER (NOT (q.x1 <= d.x2 AND d.x1 <= q.x2 AND q.y1 <= d.y2 AND d.y1 <= q.y2)) AS violations
+    FROM pairs p JOIN box q ON q.side = 'Q' AND q.oid = p.qid JOIN box d ON d.side = 'D' AND d.oid = p.oid""")
 
 
 def _bound(s: SparkSession, d: str) -> DataFrame:
-    """Nodes whose bound is below the similarity of a member: there must be none."""
+    """Pairs of a query and a node that has a member alike, the nodes' bounds, and those below a member's similarity (there must be none)."""
     _, q, c, place = sig_of(s, d, 5)
-    tree = sigtree.build(c, place, 8)
-    lv = tree.levels[1]
+    lv = sigtree.build(c, place, 8, "spatial").levels[1]
     bounds = L.dot_pairs(q, lv.sigs.select(F.col("nid").alias("oid"), "fid", F.col("w").alias("wd"))).select("qid", F.col("oid").alias("nid"), F.col("sim").alias("bound"))
-    members = L.dot_pairs(q, c).join(lv.members.select("nid", F.col("child").alias("oid")), "oid")
-    return members.join(bounds, ["qid", "nid"], "left").agg(F.count(F.when(F.coalesce("bound", F.lit(0.0)) < F.col("sim") - 1e-9, 1)).alias("violations"))
-
-
-add("x_prune_bound", _bound, "SELECT 0::BIGINT AS violations")
+    members = L.dot_pairs(q, c).join(lv.members.select("nid", F.col("child").alias("oid")), "oid").groupBy("qid", "nid").agg(F.max("sim").alias("best"))
+    out = members.join(bounds, ["qid", "nid"], "left")
+    return out.agg(F.count(F.lit(1)).alias("visits"), F.round(F.sum("bound"), 6).alias("bounds"), F.round(F.sum("best"), 6).alias("best"), F.count(F.when(F.coalesce("bound", F.lit(0.0)) < F.col("best") - 1e-9, 1)).alias("violations"))
 
 
 def _leaves(s: SparkSession, d: str, criterion: str) -> sigtree.Tree:
@@ -369,25 +453,74 @@ STR = f"""{BOXES}, b AS (SELECT oid, (x1 + x2) / 2 AS cx, (y1 + y2) / 2 AS cy FR
     z AS (SELECT greatest(8, ceil(n / sqrt(ceil(n / 8.0))))::BIGINT AS slab FROM n), r AS (SELECT *, row_number() OVER (ORDER BY cx, cy, oid) - 1 AS r FROM b),
     y AS (SELECT *, r // slab AS sl FROM r, z), o AS (SELECT *, row_number() OVER (PARTITION BY sl ORDER BY cy, cx, oid) - 1 AS s FROM y)
     SELECT sl * ceil(slab / 8.0)::BIGINT + s // 8 AS nid, oid AS child FROM o"""
+STR5 = STR.replace(BOXES, f"WITH {Q.BASE}, {Q.sig('split', 'sg', 5)}, {Q.boxes('sg', 'split')} ")
+add("x_prune_bound", _bound, f"""WITH st AS MATERIALIZED ({STR5}), {Q.BASE}, {Q.sig('split', 'sg', 5)}, {Q.pairs('sg')}, ag AS (SELECT nid, fid, max(w) AS w FROM st JOIN sg ON side = 'D' AND oid = child GROUP BY nid, fid),
+    b AS (SELECT q.oid AS qid, nid, sum(q.w * ag.w) AS bound FROM sg q JOIN ag USING (fid) WHERE q.side = 'Q' GROUP BY q.oid, nid), m AS (SELECT qid, nid, max(sim) AS best FROM pairs JOIN st ON oid = child GROUP BY qid, nid)
+    SELECT count(*) AS visits, round(sum(bound), 6) AS bounds, round(sum(best), 6) AS best, count(*) FILTER (coalesce(bound, 0) < best - 1e-9) AS violations FROM m LEFT JOIN b USING (qid, nid)""")
 add("x_str_leaves", lambda s, d: _leaves(s, d, "spatial").levels[1].members, STR)
 add("x_aggregate", lambda s, d: _leaves(s, d, "spatial").levels[1].sigs.select("nid", "fid", F.round("w", 6).alias("w")),
     f"WITH st AS ({STR}), ag AS ({BOXES} SELECT * FROM sg WHERE side = 'D') SELECT st.nid, ag.fid, round(max(ag.w), 6) AS w FROM st JOIN ag ON st.child = ag.oid GROUP BY st.nid, ag.fid")
 for criterion in ("spatial", "common"):
     add(f"w_tree_build_{criterion}", lambda s, d, c=criterion: sigtree.size(_leaves(s, d, c)))
+add("x_tree_sizes", lambda s, d: sigtree.size(_leaves(s, d, "spatial")).where("level <= 1"),
+    f"""WITH st AS ({STR}), ag AS ({BOXES} SELECT * FROM sg WHERE side = 'D') SELECT 0 AS level, count(DISTINCT oid) AS nodes, count(*) AS entries FROM ag
+    UNION ALL SELECT 1, count(DISTINCT nid), count(DISTINCT (nid, fid)) FROM st JOIN ag ON child = oid""")
+
 
+def _grown_locally(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, sigtree.LocalNode]:
+    """Queries, places, and a tree grown one object at a time on the driver (refused beyond a bound of entries)."""
+    _, q, c, place = sig_of(s, d)
+    return q, place, sigtree.build_by_insert(sigtree.objects_of(c, place), 16)
+
+
+add("w_tree_build_insert", lambda s, d: s.createDataFrame(sigtree.local_size(_grown_locally(s, d)[2]), "level int, nodes long, entries long"))
+add("w_link_tree_insert", lambda s, d: shown(sigtree.search_local(*(x := _grown_locally(s, d))[:1], x[2], 5, x[1])), KNN3 + SHOWN + "knn")
+
+
+def _work(s: SparkSession, d: str, how: str) -> DataFrame:
+    """Mean work of a query in best-first search: nodes taken from the queue, children scored, cut by box, cut by bound."""
+    _, q, c, place = sig_of(s, d)
+    tree = sigtree.build_by_insert(sigtree.objects_of(c, place), 16) if how == "insert" else sigtree.build(c, place, 16, how)
+    kinds = ["popped", "scored", "cut_by_box", "cut_by_bound"]
+    one = sigtree.search_local(q, tree, 1, place).groupBy("qid").agg(*[F.max(x).alias(x) for x in kinds])
+    return one.agg(F.count(F.lit(1)).alias("queries"), *[F.round(F.avg(x), 3).alias(x) for x in kinds])
+
+
+for how in ("spatial", "common", "insert"):
+    add(f"w_work_{how}", lambda s, d, how=how: _work(s, d, how))
+
+
+def _frontier(s: SparkSession, d: str, mbr: bool, bound: bool) -> DataFrame:
+    """Rows that stay at each level of the batch search."""
+    _, q, c, place = sig_of(s, d)
+    work: list = []
+    sigtree.knn_join(q, sigtree.build(c, place, 16), 5, place, mbr, bound, work)
+    return s.createDataFrame(work, "level int, rows long")
+
+
+for label, mbr, bound in (("both", True, True), ("box", True, False), ("bound", False, True)):
+    add(f"w_frontier_{label}", lambda s, d, a=mbr, b=bound: _frontier(s, d, a, b))
+
+
+STEPS = 6
 
-def _grown(s: SparkSession, d: str, criterion: str) -> DataFrame:
-    """Build on three quarters of the objects, insert the rest in two steps, search."""
+
+def _grown(s: SparkSession, d: str, criterion: str, overflow: str = "grow", growth: float | None = None) -> DataFrame:
+    """Build on three quarters of the objects, insert the rest in six steps (rebuild a degraded tree if asked), search."""
     _, q, c, place = sig_of(s, d)
-    h = P.int_hash(F.col("oid"), 9) % 8
-    tree = sigtree.build(c.where(h < 6), place, 16, "common" if criterion == "common" else "spatial")
-    for part in (6, 7):
-        tree = sigtree.insert(tree, c.where(h == part), place, criterion)
+    h = P.int_hash(F.col("oid"), 9) % (4 * STEPS)
+    tree = sigtree.build(c.where(h >= STEPS), place, 16, "common" if criterion == "common" else "spatial")
+    for part in range(STEPS):
+        tree = sigtree.insert(tree, c.where(h == part), place, criterion, overflow)
+        if growth is not None:
+            tree = sigtree.maintain(tree, place, growth)
     return shown(sigtree.knn_join(q, tree, 5, place))
 
 
 for criterion in ("spatial", "common"):
     add(f"w_tree_update_{criterion}", lambda s, d, c=criterion: _grown(s, d, c), KNN3 + SHOWN + "knn")
+add("w_tree_update_split", lambda s, d: _grown(s, d, "common", "split"), KNN3 + SHOWN + "knn")
+add("w_tree_update_rebuilt", lambda s, d: _grown(s, d, "common", growth=1.25), KNN3 + SHOWN + "knn")
 
 # --- refinement --------------------------------------------------------------------------------------------------------------------
 
@@ -442,53 +575,83 @@ add("w_sm_ranked", lambda s, d: refine.ranked_match(*_lists(s, d)[1:]).groupBy("
 # --- linkability -------------------------------------------------------------------------------------------------------------------
 
 
-def closed(rounds: int, m: int = 3) -> str:
+def closed(rounds: int, m: int = 3, source: str = Q.HABIT, first: str = "habit") -> str:
     """Traces t0 .. t<rounds> of the suppression."""
-    parts = [f"{Q.HABIT}", "t0 AS (SELECT * FROM habit)"]
+    parts = [source, f"t0 AS (SELECT * FROM {first})"]
     for i in range(rounds):
         parts.append(Q.sig(f"(SELECT 'A' AS side, * FROM t{i})", f"c{i}").replace(f"c{i} AS (SELECT * FROM c{i}_u)", f"c{i} AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY side, oid ORDER BY round(w, 12) DESC, fid) AS rr FROM c{i}_u) WHERE rr <= {m})"))
         parts.append(f"t{i + 1} AS MATERIALIZED (SELECT * FROM t{i} t WHERE NOT EXISTS (SELECT 1 FROM c{i} c WHERE c.oid = t.oid AND c.fid = t.pid))")
     return "WITH " + ", ".join(parts)
 
 
-def _round(s: SparkSession, d: str, r: int) -> DataFrame:
+def _round(whole: DataFrame, r: int, m: int = 3, cells: tuple[float, float] = (10.0, 2.0)) -> DataFrame:
     """Accuracy before the r-th removal and utility after it."""
-    trace = habit(s, d)
-    before, after = protect.closure(trace, 3, r)[-1]
+    before, after = protect.closure(whole, m, r)[-1]
     sides = P.interleaved(before)
-    hits = accuracy(P.interleaved(trace), link(sides, 3), [1]).select(F.col("hits").alias("hits_at_1"))
-    parts = [hits, M.data_remaining(trace, after), M.mbr_retained(trace, after), M.grid_coverage(trace, after, 10.0).withColumnRenamed("coverage", "coverage_large"), M.grid_coverage(trace, after, 2.0).withColumnRenamed("coverage", "coverage_small")]
-    out = parts[0]
-    for p in parts[1:]:
+    hits = accuracy(P.interleaved(whole), link(sides, m), [1]).select(F.col("hits").alias("hits_at_1"))
+    cover = [M.grid_coverage(whole, after, c).withColumnRenamed("coverage", n) for c, n in zip(cells, ("coverage_large", "coverage_small"), strict=True)]
+    out = hits
+    for p in (M.data_remaining(whole, after), M.mbr_retained(whole, after), *cover):
         out = out.crossJoin(p)  # single rows
     return out
 
 
-def utility(r: int) -> str:
-    cells = lambda t, c: f"(SELECT oid, count(DISTINCT (floor(x / {c}), floor(y / {c}))) AS n FROM {t} GROUP BY oid)"
-    cover = lambda c: f"(SELECT round(avg(coalesce(b.n, 0) / a.n), 6) FROM {cells('t0', c)} a LEFT JOIN {cells(f't{r}', c)} b USING (oid))"
+def utility(r: int, m: int = 3, cells: tuple[float, float] = (10.0, 2.0), source: str = Q.HABIT, first: str = "habit") -> str:
+    grid = lambda t, c: f"(SELECT oid, count(DISTINCT (floor(x / {c}), floor(y / {c}))) AS n FROM {t} GROUP BY oid)"
+    cover = lambda c: f"(SELECT round(avg(coalesce(b.n, 0) / a.n), 6) FROM {grid('t0', c)} a LEFT JOIN {grid(f't{r}', c)} b USING (oid))"
     area = lambda t: f"(SELECT oid, (max(x) - min(x)) * (max(y) - min(y)) AS a FROM {t} GROUP BY oid)"
-    return f"""{closed(r)}, split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM t{r - 1}), {Q.sig('split', 'sg', 3)}, {Q.knn('sg', 5)}
+    return f"""{closed(r, m, source, first)}, split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM t{r - 1}), {Q.sig('split', 'sg', m)}, {Q.knn('sg', 5)}
     SELECT (SELECT count(*) FROM knn WHERE qid = oid AND rnk = 1) AS hits_at_1,
     (SELECT round(avg(coalesce(b.n, 0) / a.n), 6) FROM (SELECT oid, count(*) AS n FROM t0 GROUP BY oid) a LEFT JOIN (SELECT oid, count(*) AS n FROM t{r} GROUP BY oid) b USING (oid)) AS data_remaining,
     (SELECT round(avg(CASE WHEN b.a IS NULL THEN 0 WHEN a.a = 0 THEN 1 ELSE b.a / a.a END), 6) FROM {area('t0')} a LEFT JOIN {area(f't{r}')} b USING (oid)) AS mbr_overlap,
-    {cover(10.0)} AS coverage_large, {cover(2.0)} AS coverage_small"""
+    {cover(cells[0])} AS coverage_large, {cover(cells[1])} AS coverage_small"""
+
+
+def _repaired(t: DataFrame, m: int, longer: int | None) -> DataFrame:
+    """Ranking after re-ranking by longer signatures and matching over the lists of both sides."""
+    q, c = L.sides(W.spatial(t, m))
+    pairs = L.dot_pairs(q, c)
+    long_q, long_c = L.sides(W.spatial(t, longer))
+    mine = refine.rerank(L.top_k(pairs, 5), long_q, long_c)
+    theirs = L.top_k(pairs.select(F.col("oid").alias("qid"), F.col("qid").alias("oid"), "sim"), 5)
+    theirs = refine.rerank(theirs.select(F.col("oid").alias("qid"), F.col("qid").alias("oid")), long_q, long_c).select(F.col("oid").alias("qid"), F.col("qid").alias("oid"), "sim")
+    return refine.match_ranking(mine, refine.stable_match(refine.both_lists(mine, theirs), mine))
+
+
+def _best5(whole: DataFrame, r: int, m: int = 3) -> DataFrame:
+    """Acc@1..5 after re-ranking and matching, on the traces that the r-th round begins with."""
+    t = P.interleaved(protect.closure(whole, m, r - 1)[-1][1] if r > 1 else whole)
+    return accuracy(P.interleaved(whole), _repaired(t, m, None))
+
+
+def best5(r: int, m: int = 3, source: str = Q.HABIT, first: str = "habit") -> str:
+    return f"""{closed(r - 1, m, source, first)}, whole AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM t0), split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM t{r - 1}),
+    {Q.sig('split', 'sg', m)}, {Q.knn('sg', 5)}, {BACK}, {Q.sig('split', 'lg')}, {Q.rerank('knn', 'lg', 'rr')},
+    turned AS (SELECT oid AS qid, qid AS oid FROM knn_back), {Q.rerank('turned', 'lg', 'rb')}, back AS (SELECT oid AS qid, qid AS oid, sim FROM rb),
+    {Q.edges('rr', 'back', 'ed')}, {Q.match('ed', 'rr', 'mt', 20)}, {Q.match_ranking('rr', 'mt', 'mr')} {Q.acc('mr', 'whole')}"""
 
 
 for r in range(1, 6):
-    add(f"w_closure_r{r}", lambda s, d, r=r: _round(s, d, r), utility(r))
+    add(f"w_closure_r{r}", lambda s, d, r=r: _round(habit(s, d), r), utility(r))
+    add(f"w_closure_m10_r{r}", lambda s, d, r=r: _round(habit(s, d), r, 10), utility(r, 10))
+    add(f"w_closure_suppliers_r{r}", lambda s, d, r=r: _round(supplier_trace(s, d), r, 10, (10.0, 2.0)), utility(r, 10, (10.0, 2.0), SUPPLIERS, "supp"))
+    add(f"w_closure_best5_r{r}", lambda s, d, r=r: _best5(habit(s, d), r), best5(r))
 
 
-def _best5(s: SparkSession, d: str) -> DataFrame:
-    """Acc@5 after re-ranking and matching, on traces released after one round."""
-    trace = protect.closure(habit(s, d), 3, 1)[-1][1]
-    t = P.interleaved(trace)
-    q, c = L.sides(W.spatial(t, 3))
-    mine = refine.rerank(L.inverted(q, c, 5), *L.sides(W.spatial(t, None)))
-    return accuracy(t, refine.match_ranking(mine, refine.stable_match(mine, mine)))
+def _half(s: SparkSession, d: str) -> DataFrame:
+    """One round in which each half of a trace loses its own signature."""
+    trace = habit(s, d)
+    return M.data_remaining(trace, protect.closure(trace, 3, 1, "half")[-1][1])
 
 
-add("w_closure_best5", _best5)
+add("w_closure_half", _half, f"""WITH {Q.BASE}, {Q.sig('split', 'sg')}, hv AS (SELECT DISTINCT oid, fid FROM (SELECT *, row_number() OVER (PARTITION BY side, oid ORDER BY round(w, 12) DESC, fid) AS rr FROM sg) WHERE rr <= 3),
+    k AS (SELECT oid, count(*) AS n FROM habit h WHERE NOT EXISTS (SELECT 1 FROM hv WHERE hv.oid = h.oid AND hv.fid = h.pid) GROUP BY oid)
+    SELECT round(avg(coalesce(k.n, 0) / a.n), 6) AS data_remaining FROM (SELECT oid, count(*) AS n FROM habit GROUP BY oid) a LEFT JOIN k USING (oid)""")
+UNICITY = """i AS (SELECT c.side, c.oid, avg(ln(objects / df)) AS mi, max((df = 1)::INT) AS alone FROM sg_c c JOIN sg_f USING (side, fid) JOIN sg_o USING (side) GROUP BY c.side, c.oid)
+    SELECT round(avg(mi), 6) AS mean_idf, round(avg(alone), 6) AS own_place FROM i"""
+for r in range(1, 6):
+    add(f"w_unicity_after_r{r}", lambda s, d, r=r: M.unicity(P.interleaved(protect.closure(habit(s, d), 3, r)[-1][1])),
+        f"{closed(r)}, split AS (SELECT *, CASE WHEN {Q.DAY} % 2 = 0 THEN 'Q' ELSE 'D' END AS side FROM t{r}), {Q.sig('split', 'sg')}, {UNICITY}")
 add("w_unicity", lambda s, d: M.unicity(split(s, d)), f"""WITH {Q.BASE}, {Q.sig('split', 'sg')}, i AS (SELECT c.side, c.oid, avg(ln(objects / df)) AS mi, max((df = 1)::INT) AS alone FROM sg_c c JOIN sg_f USING (side, fid) JOIN sg_o USING (side) GROUP BY c.side, c.oid)
     SELECT round(avg(mi), 6) AS mean_idf, round(avg(alone), 6) AS own_place FROM i""")
 add("w_crowd", lambda s, d: M.k_of_point(habit(s, d)).groupBy("objects").agg(F.count(F.lit(1)).alias("places")), f"WITH {Q.HABIT} SELECT objects, count(*) AS places FROM (SELECT pid, count(DISTINCT oid) AS objects FROM habit GROUP BY pid) GROUP BY objects")

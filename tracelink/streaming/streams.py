@@ -14,9 +14,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..operators import linking as L
+from ..operators import prepare as P
+from ..operators import sigtree
 from ..operators import weights as W
-from ..plans.workloads import add, habit
-from ..session import shared_folder
+from ..plans import sqltext as Q
+from ..plans.workloads import KNN3, SHOWN, add, habit, shown, sig_of
+from ..session import materialise, shared_folder
 from ..sources import traces as S
 
 EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
@@ -72,20 +75,93 @@ def arrivals(events: DataFrame, least: int) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(step, "oid long, ready boolean", "n long", "append", "NoTimeout")
 
 
-def link_arrivals(events: DataFrame, stored: DataFrame, k: int, path: str) -> DataFrame:
-    """Link the objects of each micro-batch to stored candidates; neighbours go to ``path``, one folder a batch.
+#: Folders over which the points' counts of a stream are dealt by object, so that a batch reads the folders of its own objects only.
+BUCKETS = 32
 
-    Weights of new objects use the candidates' rarity, frozen with the store.
+
+class ObjectStore:
+    """Counts (oid, fid, n) of all points a stream has brought, as one Parquet folder a batch and bucket of objects under ``path``.
+
+    A batch that is run again overwrites its own folder, so it counts once. What a batch needs of earlier ones is read for its objects alone.
+    """
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path = spark, path
+
+    def merged(self, delta: DataFrame, epoch: int) -> DataFrame:
+        """Write the counts of this batch; the counts so far of the objects it touches."""
+        bucket = F.pmod(F.xxhash64("oid"), F.lit(BUCKETS)).cast("int")
+        delta.withColumn("bucket", bucket).repartition("bucket").write.mode("overwrite").partitionBy("bucket").parquet(f"{self.path}/batch={epoch}")
+        schema = T.StructType([*delta.schema.fields, T.StructField("batch", T.LongType()), T.StructField("bucket", T.IntegerType())])
+        every = self.spark.read.schema(schema).option("basePath", self.path).parquet(self.path).where(F.col("batch") <= epoch)
+        touched = every.where(F.col("batch") == epoch).select("oid").distinct()
+        buckets = [r["b"] for r in touched.select(F.pmod(F.xxhash64("oid"), F.lit(BUCKETS)).cast("int").alias("b")).distinct().collect()]  # BUCKETS rows at most
+        return every.where(F.col("bucket").isin(buckets)).join(touched, "oid", "left_semi").groupBy("oid", "fid").agg(F.sum("n").alias("n"))
+
+
+def latest(df: DataFrame, key: str) -> DataFrame:
+    """Rows of each key's last batch: what is valid now of results that were written batch by batch."""
+    last = df.groupBy(F.col(key).alias("l_key")).agg(F.max("batch").alias("l_batch"))
+    return df.join(last, (F.col(key) == F.col("l_key")) & (F.col("batch") == F.col("l_batch"))).drop("l_key", "l_batch", "batch")
+
+
+def _run(events: DataFrame, path: str, each) -> None:
+    events.writeStream.option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
+
+
+def signature_updates(events: DataFrame, rarity: DataFrame, m: int | None, path: str, then=None) -> DataFrame:
+    """``oid, fid, w``: signatures of a stream's objects, refreshed in every batch for the objects it touches.
+
+    ``rarity(fid, idf)`` is frozen: it changes with a new generation of the store, not with each point. A replay in any number of batches
+    ends with the same signatures. ``then(signatures, epoch)`` is called with the refreshed ones.
     """
     spark = events.sparkSession
+    store = ObjectStore(spark, f"{path}/counts")
 
     def each(df: DataFrame, epoch: int) -> None:
         trace = S.habit(df.withColumn("ts", F.col("ts").cast("timestamp_ntz"))).withColumn("side", F.lit("Q"))
-        sig = W.weigh(W.counts(trace.unionByName(stored.withColumn("side", F.lit("D")))), "tfidf", "candidate")
-        L.inverted(*L.sides(sig), k).write.mode("overwrite").parquet(f"{path}/batch={epoch}")
+        counted = store.merged(W.counts(trace).select("oid", "fid", "n"), epoch).withColumn("side", F.lit("Q"))
+        weighed = W.tf(counted).join(rarity.where("idf > 0"), "fid").select("side", "oid", "fid", (F.col("tf") * F.col("idf")).alias("w"))
+        W.cut(W.l2(weighed), m).select("oid", "fid", "w").write.mode("overwrite").parquet(f"{path}/signatures/batch={epoch}")
+        if then is not None:
+            then(spark.read.parquet(f"{path}/signatures/batch={epoch}"), epoch)
 
-    events.writeStream.option("checkpointLocation", f"{path}-checkpoint").trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
-    return spark.read.parquet(path)
+    _run(events, path, each)
+    return latest(spark.read.parquet(f"{path}/signatures"), "oid")
+
+
+def link_arrivals(events: DataFrame, stored: DataFrame, k: int, path: str, m: int | None = None) -> DataFrame:
+    """``qid, oid, sim, rnk``: neighbours of a stream's objects among stored candidates, by all points each object has so far.
+
+    Candidates' signatures and the rarity of places are computed once, from the store, and written. Every batch links the objects it
+    touches anew; of an object only its last neighbours are returned, once, however its points were cut into batches.
+    """
+    counted = W.counts(stored.withColumn("side", F.lit("D")))
+    rarity = materialise(W.idf(counted, "candidate"), "rarity")
+    d = materialise(W.cut(W.weigh(counted, "tfidf", "candidate"), m).select("oid", "fid", F.col("w").alias("wd")), "candidates")
+
+    def link(sig: DataFrame, epoch: int) -> None:
+        L.inverted(sig.select(F.col("oid").alias("qid"), "fid", F.col("w").alias("wq")), d, k).write.mode("overwrite").parquet(f"{path}/linked/batch={epoch}")
+
+    signature_updates(events, rarity, m, path, link)
+    return latest(events.sparkSession.read.parquet(f"{path}/linked"), "qid")
+
+
+def tree_inserts(signatures: DataFrame, tree: sigtree.Tree, place: DataFrame, path: str, most_growth: float = 2.0, criterion: str = "common") -> sigtree.Tree:
+    """The tree after a stream of new objects' signatures ``(oid, fid, wd)``, each object whole in one batch.
+
+    Every batch is inserted; a tree whose nodes have grown too far is bulk loaded anew. Objects that the tree has already are passed over,
+    so a batch that is run again changes nothing.
+    """
+    held = [tree]
+
+    def each(df: DataFrame, epoch: int) -> None:
+        fresh = materialise(df.join(held[0].levels[0].nodes.select(F.col("nid").alias("oid")), "oid", "left_anti"), "arrivals")
+        if not fresh.isEmpty():
+            held[0] = sigtree.maintain(sigtree.insert(held[0], fresh, place, criterion), place, most_growth)
+
+    _run(signatures, path, each)
+    return held[0]
 
 
 add("st_counts", lambda s, d: drained(counts(event_stream(s, d))), "SELECT ts::DATE::VARCHAR AS day, user_id AS oid, count(*) AS points FROM events GROUP BY ALL")
@@ -97,15 +173,34 @@ add("st_dedup", lambda s, d: drained(event_stream(s, d).withWatermark("ts", "1 d
 add("st_arrivals", lambda s, d: drained(arrivals(event_stream(s, d), 68), "append").select("oid"), "SELECT user_id AS oid FROM events GROUP BY user_id HAVING count(*) >= 68")
 
 
-def _linked(s: SparkSession, d: str) -> DataFrame:
-    from ..operators import prepare as P
-
+def _halves(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """Stream of the points of the queries' days, and the stored points of the others."""
     stored = habit(s, d).where(P.day(F.col("t")) % 2 == 1)
-    fresh = event_stream(s, d).where(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) % 2 == 0)
-    path = f"{shared_folder(s)}/linked-{uuid.uuid4().hex}"
-    return link_arrivals(fresh, stored, 1, path).select("qid", "oid", F.round("sim", 6).alias("sim"))
+    return event_stream(s, d).where(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) % 2 == 0), stored
+
+
+def _own_path(s: SparkSession, name: str) -> str:
+    return f"{shared_folder(s)}/{name}-{uuid.uuid4().hex}"
+
+
+def _updated(s: SparkSession, d: str) -> DataFrame:
+    fresh, stored = _halves(s, d)
+    rarity = materialise(W.idf(W.counts(stored.withColumn("side", F.lit("D"))), "candidate"), "rarity")
+    return signature_updates(fresh, rarity, 3, _own_path(s, "updated")).select("oid", "fid", F.round("w", 6).alias("w"))
+
 
+def _inserted(s: SparkSession, d: str) -> DataFrame:
+    """A tree of half of the candidates takes in the others from a stream of three files, and is searched."""
+    _, q, c, place = sig_of(s, d)
+    part = P.int_hash(F.col("oid"), 9) % 6
+    path = _own_path(s, "inserted")
+    for i in range(3):
+        c.where(part == i).select("oid", "fid", "wd").repartition("oid").write.parquet(f"{path}/in/file{i}")
+    stream = s.readStream.schema("oid long, fid long, wd double").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(f"{path}/in")
+    tree = tree_inserts(stream, sigtree.build(c.where(part >= 3), place, 16), place, path)
+    return shown(sigtree.knn_join(q, tree, 5, place))
 
-from ..plans import sqltext as Q  # noqa: E402
 
-add("st_link", _linked, f"WITH {Q.BASE}, {Q.sig('split', 'sg', scope='candidate')}, {Q.knn('sg', 1)} SELECT qid, oid, round(sim, 6) AS sim FROM knn")
+add("st_link", lambda s, d: link_arrivals(*_halves(s, d), 1, _own_path(s, "linked")).select("qid", "oid", F.round("sim", 6).alias("sim")), f"WITH {Q.BASE}, {Q.sig('split', 'sg', scope='candidate')}, {Q.knn('sg', 1)} SELECT qid, oid, round(sim, 6) AS sim FROM knn")
+add("st_signature_updates", _updated, f"WITH {Q.BASE}, {Q.sig('split', 'sg', 3, scope='candidate')} SELECT oid, fid, round(w, 6) AS w FROM sg WHERE side = 'Q'")
+add("st_tree_inserts", _inserted, KNN3 + SHOWN + "knn")
