@@ -6,10 +6,13 @@ then by oid.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import boxes_overlap, dense_dot, emd_circular, histogram_distance, sparse_dot
+from ..session import materialise
 from .prepare import time_bin
 from .weights import OBJECT, pack
 
@@ -144,7 +147,10 @@ def temporal(trace: DataFrame, hours: int) -> DataFrame:
 
 
 def histogram_knn(hist: DataFrame, hours: int, k: int, how: str = "emd") -> DataFrame:
-    """Neighbours by histogram similarity. Every pair is compared: histograms carry no feature to join on, so queries meet all candidates."""
+    """Neighbours by histogram similarity. Every pair is compared: histograms carry no feature to join on, so queries meet all candidates.
+
+    The yardstick of the other measures; for the transport cost, a metric, ``histogram_index`` compares far fewer pairs.
+    """
     q = hist.where("side = 'Q'").select(F.col("oid").alias("qid"), F.col("h").alias("a"))
     d = hist.where("side = 'D'").select("oid", F.col("h").alias("b"))
     a, b = F.col("a"), F.col("b")
@@ -158,6 +164,84 @@ def histogram_knn(hist: DataFrame, hours: int, k: int, how: str = "emd") -> Data
     return top_k(q.crossJoin(d).select("qid", "oid", sim.alias("sim")), k)
 
 
+#: Histograms aimed at for a cell of the index, and histograms sampled for its planes.
+HIST_CELL, HIST_SAMPLE = 64, 20_000
+
+
+def _transport(a: np.ndarray, b: np.ndarray, hours: int) -> np.ndarray:
+    """Circular transport cost of each histogram of ``a`` to each of ``b``: (len(a), len(b))."""
+    run = np.cumsum(a, axis=1)[:, None, :] - np.cumsum(b, axis=1)[None, :, :]
+    run = np.sort(run, axis=2)
+    bins = run.shape[2]
+    middle = (run[:, :, (bins - 1) // 2] + run[:, :, bins // 2]) / 2
+    return np.abs(run - middle[:, :, None]).sum(axis=2) * (hours / 12.0)
+
+
+def histogram_index(hist: DataFrame, hours: int, k: int) -> DataFrame:
+    """Exact neighbours under the circular transport cost, with pivots.
+
+    A histogram is placed by its cost to each histogram of a single bin (and the even one). By the triangle inequality two histograms are
+    at least as far apart as any of these costs differ, so k-d cells over the places bound the cost: a query searches the nearest cell
+    first, and then only the cells within the cost of its k-th neighbour there. Candidates of a cell meet its queries in blocks.
+    """
+    from .spaces import KdTree
+
+    bins = 24 // hours
+    pivots = np.concatenate([np.eye(bins), np.full((1, bins), 1 / bins)])
+    place = F.pandas_udf(lambda h: pd.Series(list(_transport(np.stack(h.to_numpy()), pivots, hours)) if len(h) else [], dtype=object), "array<double>")
+    held = materialise(hist.select("side", "oid", "h", place("h").alias("v")), "histograms")
+    spark = hist.sparkSession
+    d = held.where("side = 'D'")
+    n = d.count()
+    sample = d.orderBy(F.xxhash64("oid"), "oid").limit(HIST_SAMPLE).select("v").toPandas()
+    if not n:
+        return held.where("false").select(F.col("oid").alias("qid"), "oid", F.lit(0.0).alias("sim"), F.lit(0).alias("rnk"))
+    cut = KdTree(np.stack(sample["v"].to_numpy()), int(min(len(sample), max(1, -(-n // HIST_CELL)))))
+    plan = spark.sparkContext.broadcast(cut)  # no more cells than sampled histograms
+    cell = F.pandas_udf(lambda v: pd.Series(plan.value.assign(np.stack(v.to_numpy())) if len(v) else [], dtype="int64"), "long")
+    stored = materialise(d.select("oid", "h", "v", cell("v").alias("cell")), "histogram-cells")
+    size = bins + 1
+    ends = stored.groupBy("cell").agg(*[f(F.get("v", F.lit(j))).alias(f"{a}{j}") for j in range(size) for a, f in (("l", F.min), ("h", F.max))]).toPandas()
+    names, low, high = ends["cell"].to_numpy(), ends[[f"l{j}" for j in range(size)]].to_numpy(), ends[[f"h{j}" for j in range(size)]].to_numpy()
+    box = spark.sparkContext.broadcast((names, low, high))  # one row a cell
+
+    def gaps(x: np.ndarray) -> np.ndarray:
+        _, low, high = box.value
+        return np.maximum(np.maximum(low - x, x - high), 0).max(axis=1)
+
+    nearest = F.pandas_udf(lambda v: pd.Series([int(box.value[0][np.argmin(gaps(x))]) for x in v], dtype="int64"), "long")
+    q = held.where("side = 'Q'").select(F.col("oid").alias("qid"), "h", "v").withColumn("cell", nearest("v"))
+
+    def search(queries: pd.DataFrame, cands: pd.DataFrame) -> pd.DataFrame:
+        if not len(queries) or not len(cands):
+            return pd.DataFrame({"qid": [], "oid": [], "sim": []})
+        ids, there = cands["oid"].to_numpy(), np.stack(cands["h"].to_numpy())
+        out = []
+        for i in range(0, len(queries), 256):
+            part = queries.iloc[i : i + 256]
+            x, oid, sim = np.stack(part["h"].to_numpy()), np.zeros((len(part), 0), dtype=np.int64), np.zeros((len(part), 0))
+            for j in range(0, len(there), 256):
+                s = 1 - _transport(x, there[j : j + 256], hours)
+                oid, sim = np.concatenate([oid, np.broadcast_to(ids[j : j + 256], s.shape)], axis=1), np.concatenate([sim, s], axis=1)
+                order = np.lexsort((oid, -np.round(sim, 9)), axis=1)[:, :k]
+                oid, sim = np.take_along_axis(oid, order, axis=1), np.take_along_axis(sim, order, axis=1)
+            out.append(pd.DataFrame({"qid": np.repeat(part["qid"].to_numpy(), oid.shape[1]), "oid": oid.ravel(), "sim": sim.ravel()}))
+        return pd.concat(out)
+
+    cands = stored.select("cell", "oid", "h").groupBy("cell")
+    pairs = "qid long, oid long, sim double"
+    home = q.groupBy("cell").cogroup(cands).applyInPandas(lambda a, b: search(a, b), pairs)
+    reach = top_k(home, k).where(F.col("rnk") == k).select("qid", (1 - F.col("sim") + 2e-9).alias("reach"))
+
+    def others(v: pd.Series, cell: pd.Series, reach: pd.Series) -> pd.Series:
+        names = box.value[0]
+        return pd.Series([names[(gaps(x) <= r) & (names != c)].tolist() for x, c, r in zip(v, cell, reach.fillna(9.0), strict=True)], dtype=object)
+
+    visits = q.join(reach, "qid", "left").withColumn("to", F.explode(F.pandas_udf(others, "array<long>")("v", "cell", "reach")))
+    away = visits.select("qid", "h", F.col("to").alias("cell")).groupBy("cell").cogroup(cands).applyInPandas(lambda a, b: search(a, b), pairs)
+    return top_k(home.union(away), k)
+
+
 def dense_knn(vectors: DataFrame, k: int, id_column: str = "vec_id", column: str = "embedding") -> DataFrame:
     """Exact cosine neighbours of dense vectors (each against all others): the yardstick for the spatial indices."""
     unit = unit_vectors(vectors, id_column, column)
@@ -232,3 +316,28 @@ def lsh(q: DataFrame, d: DataFrame, bits: DataFrame, bands: int, m: int, k: int)
     left = posted.where("side = 'Q'").select("band", "key", F.col("oid").alias("qid"))
     right = posted.where("side = 'D'").select("band", "key", "oid")
     return top_k(verify(left.join(right, ["band", "key"]).select("qid", "oid").distinct(), q, d), k)
+
+
+#: Queries on which hashing is tuned, and band widths that are tried, from the most selective on.
+TUNING_QUERIES, WIDTHS = 400, (16, 12, 8, 6, 4, 3, 2)
+
+
+def lsh_tune(q: DataFrame, d: DataFrame, sig: DataFrame, target: float, k: int = 1, m: int = 96, family: str = "sign") -> tuple[int, float]:
+    """Bands of m bits (and the recall reached) with the widest bands that find ``target`` of the exact first k neighbours.
+
+    Recall is measured on a bounded number of queries drawn by hash against all candidates. If even the narrowest bands miss the target
+    they are returned with their recall.
+    """
+    from .metrics import recall_at
+
+    drawn = q.select("qid").distinct().orderBy(F.xxhash64("qid"), "qid").limit(TUNING_QUERIES)
+    few = q.join(F.broadcast(drawn), "qid", "left_semi")
+    bits = materialise(lsh_bits(sig, m, family), "bits")
+    exact = materialise(inverted(few, d, k).select("qid", "oid", "rnk"), "exact")
+    own = bits.where("side = 'D'").union(bits.where("side = 'Q'").join(F.broadcast(drawn.select(F.col("qid").alias("oid"))), "oid", "left_semi").select(*bits.columns))
+    recall = 0.0
+    for width in WIDTHS:
+        recall = recall_at(lsh(few, d, own, m // width, m, k), exact, k).first()["recall"] or 0.0
+        if recall >= target:
+            break
+    return m // width, float(recall)

@@ -16,7 +16,7 @@ def _projected(spark, ids: list[tuple[str, int]], points: np.ndarray) -> DataFra
     return spark.createDataFrame([(s, int(o), [float(x) for x in row]) for (s, o), row in zip(ids, points, strict=True)], "side string, oid long, v array<double>")
 
 
-def pca(sig: DataFrame, m: int, method: str = "gram", iters: int = 3) -> DataFrame:
+def pca(sig: DataFrame, m: int, method: str = "gram", iters: int = 8) -> DataFrame:
     """``side, oid, v``: coordinates on the m leading components of the centred signatures of both sides.
 
     'gram' is exact: products of objects by a join on the feature, eigenvectors of the n x n matrix on the driver (n at most GRAM_OBJECTS).
@@ -89,6 +89,22 @@ def pca(sig: DataFrame, m: int, method: str = "gram", iters: int = 3) -> DataFra
     return turned(basis, ["side", "oid"], vector[:, keep] * np.sqrt(np.maximum(value[keep], 0)))
 
 
+def pca_dense(vectors: DataFrame, m: int, id_column: str = "vec_id", column: str = "embedding") -> DataFrame:
+    """``id, v``: dense vectors of unit length on their m leading components, by the library's exact method (width squared numbers on the driver)."""
+    from pyspark.ml.feature import PCA
+    from pyspark.ml.functions import array_to_vector, vector_to_array
+
+    from .linking import unit_vectors
+
+    unit = unit_vectors(vectors, id_column, column)
+    size = F.size("v")
+    means = unit.select(F.posexplode("v").alias("i", "x")).groupBy("i").agg(F.avg("x").alias("mu")).orderBy("i").toPandas()["mu"].tolist()  # one number a dimension
+    centred = unit.select("id", F.zip_with("v", F.array(*[F.lit(float(x)) for x in means]), lambda a, b: a - b).alias("v")).where(size > 0)
+    held = materialise(centred, "centred").select("id", array_to_vector("v").alias("x"))
+    model = PCA(k=m, inputCol="x", outputCol="p").fit(held)
+    return model.transform(held).select("id", vector_to_array("p").alias("v"))
+
+
 def projected_knn(points: DataFrame, k: int) -> DataFrame:
     """Cosine neighbours of projected signatures (every query against every candidate)."""
     from ..functions.columns import dense_dot

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import columns as C
+from ..functions import tables
 from ..sources import traces as S
 from .workloads import QUERIES, add, habit, sig_of
 from . import sqltext as Q
@@ -139,3 +140,44 @@ def _sparse_sql(s: SparkSession, d: str) -> DataFrame:
 
 add("f_sql_sparse_dot", _sparse_sql, f"WITH {Q.BASE}, {Q.sig('split', 'sg', 3)}, {Q.pairs('sg')} SELECT o.oid AS qid, o.oid, round(coalesce(p.sim, 0.0), 6) AS sim FROM (SELECT DISTINCT oid FROM sg WHERE side = 'Q' INTERSECT SELECT DISTINCT oid FROM sg WHERE side = 'D') o LEFT JOIN pairs p ON p.qid = o.oid AND p.oid = o.oid")
 assert QUERIES
+
+
+def _grams_by_udtf(s: SparkSession, d: str) -> DataFrame:
+    """Pairs of consecutive words of the benchmark by the registered table function."""
+    tables.register(s)
+    S.read(s, d, "benchmark").select("item_id", F.split("text", " ").alias("w")).createOrReplaceTempView("benchmark_words")
+    return s.sql("SELECT item_id, g.at, g.gram FROM benchmark_words, LATERAL grams(w, 2) g")
+
+
+GRAM_SQL = "SELECT item_id, i::INT AS at, w[i + 1] || '_' || w[i + 2] AS gram FROM (SELECT item_id, w, unnest(range(0, len(w) - 1)) AS i FROM (SELECT item_id, string_split(text, ' ') AS w FROM benchmark))"
+add("f_udtf_grams", _grams_by_udtf, GRAM_SQL)
+add("f_grams", lambda s, d: tables.grams(S.read(s, d, "benchmark").select("item_id", F.split("text", " ").alias("w")), "w", 2).select("item_id", "at", "gram"), GRAM_SQL)
+
+
+def _cells(s: SparkSession, d: str, native: bool) -> DataFrame:
+    box = habit(s, d).groupBy("oid").agg(*[f(c).alias(n) for c, f, n in (("x", F.min, "x1"), ("y", F.min, "y1"), ("x", F.max, "x2"), ("y", F.max, "y2"))])
+    if native:
+        return tables.box_cells(box, 25.0).select("oid", "cx", "cy")
+    tables.register(s)
+    box.createOrReplaceTempView("trace_boxes")
+    return s.sql("SELECT oid, c.cx, c.cy FROM trace_boxes, LATERAL box_cells(x1, y1, x2, y2, 25.0D) c")
+
+
+CELL_SQL = f"WITH {Q.HABIT}, b AS (SELECT oid, min(x) AS x1, min(y) AS y1, max(x) AS x2, max(y) AS y2 FROM habit GROUP BY oid), c AS (SELECT *, unnest(range(floor(x1 / 25)::BIGINT, floor(x2 / 25)::BIGINT + 1)) AS cx FROM b) SELECT oid, cx, unnest(range(floor(y1 / 25)::BIGINT, floor(y2 / 25)::BIGINT + 1)) AS cy FROM c"
+add("f_udtf_box_cells", lambda s, d: _cells(s, d, False), CELL_SQL)
+add("f_box_cells", lambda s, d: _cells(s, d, True), CELL_SQL)
+add("f_mbr_of", lambda s, d: habit(s, d).groupBy("oid").agg(tables.mbr_of().alias("b")).select("oid", *[F.get("b", F.lit(i)).alias(n) for i, n in enumerate(("x1", "y1", "x2", "y2"))]),
+    f"WITH {Q.HABIT} SELECT oid, min(x) AS x1, min(y) AS y1, max(x) AS x2, max(y) AS y2 FROM habit GROUP BY oid")
+
+
+def _generated(s: SparkSession, d: str) -> DataFrame:
+    """Generated events through the data source: points, objects and places of 500 objects."""
+    from ..sources import generated
+
+    generated.register(s)
+    events = s.read.format("tracegen").option("objects", 500).option("points", 66).load()
+    return S.habit(events).agg(F.count(F.lit(1)).alias("points"), F.count_distinct("oid").alias("objects"), F.sum("pid").alias("pids"))
+
+
+add("src_generated", _generated, f"""WITH events AS (SELECT i AS event_id, to_timestamp(1704067200 + i * 7907 % 2592000) AS ts, i % 500 AS user_id, 'view' AS event_type, (i * 37 % 1000) / 10.0 AS value, '{{"k": ' || (i * 31 % 100) || '}}' AS props FROM range(0, 33000) t(i)),
+    {Q.HABIT} SELECT count(*) AS points, count(DISTINCT oid) AS objects, sum(pid)::BIGINT AS pids FROM habit""")

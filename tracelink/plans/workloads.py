@@ -187,6 +187,8 @@ def emd(hours: int) -> str:
 for hours in (1, 2, 3, 4, 6, 8, 12):
     add(f"w_repr_temp_{hours}h", lambda s, d, h=hours: accuracy(t := split(s, d), L.histogram_knn(L.temporal(t, h), h, 5)),
         f"WITH {Q.BASE}, {hist(hours)}, {emd(hours)}, {Q.ranked('hs', 'knn', 5)} {Q.acc('knn')}")
+    add(f"w_repr_temp_index_{hours}h", lambda s, d, h=hours: accuracy(t := split(s, d), L.histogram_index(L.temporal(t, h), h, 5)),
+        f"WITH {Q.BASE}, {hist(hours)}, {emd(hours)}, {Q.ranked('hs', 'knn', 5)} {Q.acc('knn')}")
 add("s_histogram", lambda s, d: L.temporal(split(s, d), 4).select("side", "oid", *[F.round(F.get("h", F.lit(i)), 6).alias(f"h{i}") for i in range(6)]),
     f"WITH {Q.BASE}, {hist(4)} SELECT side, oid, {', '.join(f'round(h[{i + 1}], 6) AS h{i}' for i in range(6))} FROM hist")
 MEAN = "(list_sum({0}) / len({0}))"
@@ -411,6 +413,33 @@ add("b_dense_linear", lambda s, d: dense_shown(L.dense_knn(S.read(s, d, "embeddi
 for kind in ("kdtree", "rtree", "hbtree"):
     add(f"b_{kind}", lambda s, d, kind=kind: dense_shown(spaces.knn(S.read(s, d, "embeddings"), 3, kind)), DENSE_SQL)
 
+
+
+def _labels(knn: DataFrame, vectors: DataFrame) -> DataFrame:
+    """Vectors whose nearest neighbour has their label."""
+    label = vectors.select(F.col("vec_id").alias("v_id"), "label")
+    one = knn.where("rnk = 1").join(label, F.col("qid") == F.col("v_id")).select("oid", F.col("label").alias("own"))
+    one = one.join(label, F.col("oid") == F.col("v_id"))
+    return one.agg(F.count(F.lit(1)).alias("vectors"), F.count(F.when(F.col("own") == F.col("label"), 1)).alias("same_label"))
+
+
+add("w_reduce_embeddings_full", lambda s, d: _labels(spaces.knn(v := S.read(s, d, "embeddings"), 1), v), f"""WITH {DENSE}, {Q.ranked('dp', 'knn', 1)}
+    SELECT count(*) AS vectors, count(*) FILTER (a.label = b.label) AS same_label FROM knn JOIN embeddings a ON a.vec_id = qid JOIN embeddings b ON b.vec_id = oid""")
+for m in (5, 10, 50):
+    add(f"w_reduce_embeddings_pca_m{m}", lambda s, d, m=m: _labels(spaces.knn(R.pca_dense(v := S.read(s, d, "embeddings"), m), 1, id_column="id", column="v"), v))
+
+
+def _dense_bits(s: SparkSession, d: str, m: int) -> DataFrame:
+    """Nearest neighbours of embeddings by the Hamming distance of m hashed signs, over all vectors."""
+    vectors = S.read(s, d, "embeddings")
+    rows = L.unit_vectors(vectors).select(F.explode(F.array(F.lit("Q"), F.lit("D"))).alias("side"), F.col("id").alias("oid"), F.posexplode("v").alias("fid", "w"))
+    pairs = L.lsh_scan(L.lsh_bits(rows, m), m, 2)
+    return _labels(L.top_k(pairs.where("qid <> oid"), 1), vectors)
+
+
+for m in (16, 64):
+    add(f"w_reduce_embeddings_lsh_m{m}", lambda s, d, m=m: _dense_bits(s, d, m))
+
 # --- tree parts --------------------------------------------------------------------------------------------------------------------
 
 BOXES = f"WITH {Q.BASE}, {Q.sig('split', 'sg', 3)}, {Q.boxes('sg', 'split')} "
@@ -671,9 +700,43 @@ for p in (1, 2, 3, 4):
         dr AS (SELECT oid AS qid, v FROM (SELECT *, row_number() OVER (PARTITION BY oid ORDER BY {Q.int_hash('(v + oid)', 5)}, v) AS r FROM v) WHERE r <= {p}),
         h AS (SELECT qid, oid, count(*) AS n FROM dr JOIN v USING (v) GROUP BY qid, oid), f AS (SELECT qid, count(*) AS drawn FROM dr GROUP BY qid),
         c AS (SELECT qid, count(*) AS crowd FROM h JOIN f USING (qid) WHERE n = drawn GROUP BY qid) SELECT count(*) AS objects, count(*) FILTER (crowd = 1) AS "unique" FROM c""")
+
+
+def _tuned(s: SparkSession, d: str) -> DataFrame:
+    """Recall over all queries of hashing whose bands were tuned to find nine of ten first neighbours."""
+    g = W.spatial(split(s, d), 3)
+    q, c = L.sides(g)
+    bands, _ = L.lsh_tune(q, c, g, 0.95)
+    return M.recall_at(L.lsh(q, c, L.lsh_bits(g, 96), bands, 96, 1), L.inverted(q, c, 1), 1).withColumn("bands", F.lit(bands))
+
+
+add("w_link_lsh_tuned", _tuned)
 add("m_recall_lsh", lambda s, d: M.recall_at(L.lsh(*L.sides(g := W.spatial(split(s, d), 3)), L.lsh_bits(g, 64), 16, 64, 5), L.inverted(*L.sides(g), 5), 1))
 
 
+def _api(s: SparkSession, d: str) -> DataFrame:
+    """The whole way through the pipeline object: search on the tree, re-ranking by whole signatures, matching."""
+    from ..pipeline import LinkPipeline
+
+    return LinkPipeline(m=3, search="tree", rerank=None, match=True).run(habit(s, d)).metrics
+
+
+add("api_pipeline", _api, f"""WITH {Q.BASE}, {Q.sig('split', 'sg', 3)}, {Q.knn('sg', 5)}, {Q.sig('split', 'lg')}, {Q.rerank('knn', 'lg', 'rr')},
+    ed AS (SELECT qid, oid, sim FROM rr), {Q.match('ed', 'rr', 'mt', 20)}, {Q.match_ranking('rr', 'mt', 'mr')} {Q.acc('mr')}""")
+
+
+def _estimated(s: SparkSession, d: str) -> DataFrame:
+    """Signatures of the queries by the rarity that an estimator learned from the candidates."""
+    from ..pipeline import SignatureEstimator
+
+    trace = split(s, d)
+    model = SignatureEstimator(3).fit(trace.where("side = 'D'").drop("side"))
+    return model.transform(trace.where("side = 'Q'")).select("oid", "fid", F.round("w", 6).alias("w"))
+
+
+add("api_estimator", _estimated, f"WITH {Q.BASE}, {Q.sig('split', 'sg', 3, scope='candidate')} SELECT oid, fid, round(w, 6) AS w FROM sg WHERE side = 'Q'")
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Acc@1..5 of spatial signatures cut to three places, searched on the tree."""
     t, q, c, place = sig_of(spark, d)
