@@ -8,7 +8,6 @@ the largest mean over its words. Forward-backward runs over many texts at once,
 from __future__ import annotations
 
 import re
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -24,7 +23,8 @@ from .common import drawn, give_back, held_out, in_chunks, table
 #: Bound of the training sample: documents drawn by hash, whole texts, dealt to the languages in turn.
 SAMPLE_DOCS = 600
 #: Hashed feature columns, lexicon words kept for a language, passes over the sample, learning rate, weight decay.
-COLUMNS, LEXICON, PASSES, RATE, DECAY = 1 << 15, 4000, 5, 0.1, 1e-4
+COLUMN_BITS, LEXICON, PASSES, RATE, DECAY = 15, 4000, 5, 0.1, 1e-4
+COLUMNS = 1 << COLUMN_BITS
 #: Texts of about this many bytes go through forward-backward together; word scores held by a worker; words scored at once.
 GROUP_BYTES, CACHE_WORDS, WORDS_AT_ONCE = 1 << 20, 100_000, 8192
 #: Code-switched texts made for training, as a share of the sample, and words of each of their parts at most.
@@ -41,11 +41,40 @@ def words_of(text: str | None) -> list[str]:
     return _WORD.findall((text or "").lower())
 
 
-def _grams(word: str) -> list[str]:
-    """Beginnings (^), endings ($) and inner n-grams."""
-    n = len(word)
-    affixes = [x for i in range(1, min(n, 4) + 1) for x in ("^" + word[:i], word[-i:] + "$")]
-    return affixes + [word[i : i + 2] for i in range(n - 1)] + [word[i : i + 3] for i in range(n - 2)]
+#: Lengths of the inner n-grams and of the longest affix; odd multipliers that spread the characters of a gram over the hashed columns.
+INNER, LONGEST_AFFIX = (2, 3), 4
+_SPREAD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93], dtype=np.uint64)
+
+
+def grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Beginnings, endings and inner n-grams of several words at once: the word each is of, and its hashed column.
+
+    A gram's column follows from its characters and its kind (inner, beginning or ending, and length) alone.
+    """
+    lengths = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
+    codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).astype(np.uint64)
+    ends = np.cumsum(lengths)
+    starts = ends - lengths
+    word = np.repeat(np.arange(len(words)), lengths)
+    owners, columns = [], []
+
+    def add(at: np.ndarray, owner: np.ndarray, n: int, kind: int) -> None:
+        h = np.full(len(at), kind * 0x27D4EB2F165667C5 & (1 << 64) - 1, dtype=np.uint64)
+        for i in range(n):
+            h = (h ^ codes[at + i]) * _SPREAD[i]
+            h ^= h >> np.uint64(29)
+        owners.append(owner)
+        columns.append((h * _SPREAD[0] >> np.uint64(64 - COLUMN_BITS)).astype(np.int64))
+
+    left = ends[word] - np.arange(len(codes))
+    for n in INNER:
+        at = np.flatnonzero(left >= n)
+        add(at, word[at], n, n)
+    for n in range(1, LONGEST_AFFIX + 1):
+        held = np.flatnonzero(lengths >= n)
+        add(starts[held], held, n, 16 + n)
+        add(ends[held] - n, held, n, 32 + n)
+    return np.concatenate(owners), np.concatenate(columns)
 
 
 @dataclass
@@ -56,25 +85,21 @@ class LanguageModel:
     start: np.ndarray
     lexicon: dict[str, int]
     _cache: dict[str, int] = field(default_factory=dict)
-    _column: dict[str, int] = field(default_factory=dict)
     _rows: np.ndarray | None = None
 
     def columns(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Hashed feature columns of several words end to end, and where each word's begin (every word has some)."""
-        column, flat, heads = self._column, [], []
-        for w in words:
-            heads.append(len(flat))
-            for g in _grams(w):
-                c = column.get(g)
-                if c is None:
-                    if len(column) > CACHE_WORDS:
-                        column.clear()
-                    c = column[g] = zlib.crc32(g.encode()) % COLUMNS
-                flat.append(c)
-            known = self.lexicon.get(w)
-            if known is not None:
-                flat.append(COLUMNS + known)
-        return np.array(flat, dtype=np.int64), np.array(heads, dtype=np.int64)
+        """Feature columns of several words, and the word each is of: hashed grams, and the language of a word in the lexicon."""
+        owner, column = grams(words)
+        known = [(i, COLUMNS + y) for i, y in enumerate(map(self.lexicon.get, words)) if y is not None]
+        if known:
+            more = np.array(known, dtype=np.int64)
+            owner, column = np.concatenate([owner, more[:, 0]]), np.concatenate([column, more[:, 1]])
+        return owner, column
+
+    def scores(self, owner: np.ndarray, column: np.ndarray, n: int) -> np.ndarray:
+        """Scores (n words, languages) of words given by their columns."""
+        picked = self.weights[column]
+        return np.stack([np.bincount(owner, weights=picked[:, y], minlength=n) for y in range(len(self.languages))], axis=1)
 
     def emissions(self, words: list[str]) -> np.ndarray:
         """Scores (words, languages); each distinct word is scored once."""
@@ -84,14 +109,13 @@ class LanguageModel:
         fresh = list(set(words).difference(cache))
         for i in range(0, len(fresh), WORDS_AT_ONCE):
             part = fresh[i : i + WORDS_AT_ONCE]
-            flat, heads = self.columns(part)
             need = len(cache) + len(part)
             if self._rows is None or need > len(self._rows):
                 rows = np.zeros((need + need // 2, len(self.languages)), dtype=np.float32)
                 if self._rows is not None:
                     rows[: len(cache)] = self._rows[: len(cache)]
                 self._rows = rows
-            self._rows[len(cache) : need] = np.add.reduceat(self.weights[flat], heads)
+            self._rows[len(cache) : need] = self.scores(*self.columns(part), len(part))
             cache.update(zip(part, range(len(cache), need), strict=True))
         return self._rows[np.fromiter(map(cache.__getitem__, words), dtype=np.int64, count=len(words))]
 
@@ -178,8 +202,7 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
     for y in range(k):
         ranked = sorted((i for i in np.flatnonzero((share[:, y] > 0.9) & (seen[:, y] >= 3)).tolist()), key=lambda i: (-seen[i, y], names[i]))
         model.lexicon |= {names[i]: y for i in ranked[:LEXICON]}
-    flat, heads = model.columns(names)
-    owner = np.repeat(np.arange(len(names)), np.diff(np.append(heads, len(flat))))
+    owner, flat = model.columns(names)
     squares = {"w": np.full((COLUMNS + k, k), 1e-8), "s": np.full((k, k), 1e-8), "b": np.full(k, 1e-8)}
     deal = np.random.default_rng(5).permutation(len(coded))
     for _ in range(passes):
@@ -187,7 +210,7 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
             lengths = np.array([len(coded[i]) for i in part])
             ids = np.concatenate([coded[i] for i in part])
             used, back = np.unique(ids, return_inverse=True)
-            word_scores = np.add.reduceat(model.weights[flat], heads)[used]
+            word_scores = model.scores(owner, flat, len(names))[used]
             gamma, pairs = forward_backward(word_scores[back], lengths, model.step, model.start)
             truth = np.concatenate([truths[i] for i in part])
             wrong = -gamma
@@ -207,7 +230,6 @@ def fit(texts: list[str | None], labels: list[str], passes: int = PASSES) -> Lan
                 grad = grad / lengths.sum() - DECAY * target
                 squares[key] += grad**2
                 target += (RATE * grad / np.sqrt(squares[key])).astype(np.float32)
-    model._column = {}
     return model
 
 
