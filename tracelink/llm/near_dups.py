@@ -110,18 +110,21 @@ def shingle_set(text: str | None, size: int = SHINGLE_WORDS) -> set[tuple[bytes,
 
 
 def _confirmer(size: int, percent: int):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last, held = None, set()
         for batch in batches:
-            kept = []
-            for a, b, x, y in zip(batch["a"].tolist(), batch["b"].tolist(), batch["text_a"].tolist(), batch["text_b"].tolist(), strict=True):
-                if a != last:
-                    last, held = a, shingle_set(x, size)
-                other = shingle_set(y, size)
-                both = len(held & other)
-                if 100 * both >= percent * (len(held) + len(other) - both):
-                    kept.append((a, b))
-            yield pd.DataFrame(kept, columns=["a", "b"]).astype("int64")
+            sizes = pc.add(pc.binary_length(batch.column(2)).fill_null(0), pc.binary_length(batch.column(3)).fill_null(0)).to_pylist()
+            for part in in_chunks(batch, sizes, CHUNK_BYTES):
+                rows = batch.slice(part.start, part.stop - part.start)
+                kept = []
+                for i, (a, y) in enumerate(zip(rows.column(0).to_pylist(), rows.column(3).to_pylist(), strict=True)):
+                    if a != last:
+                        last, held = a, shingle_set(rows.column(2)[i].as_py(), size)
+                    other = shingle_set(y, size)
+                    both = len(held & other)
+                    kept.append(100 * both >= percent * (len(held) + len(other) - both))
+                yield rows.filter(pa.array(kept)).select(["a", "b"])
+        give_back()
 
     return run
 
@@ -247,7 +250,8 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     need = match_threshold(percent, k, miss)
     signed = materialise(signatures(docs, text, size, k), "signatures")
     known = signed.where("n_shingles > 0 and doc_id is not null")
-    classes = known.groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("node"))
+    # written, so that both sides of the join are exchanges of their own and Spark can split a set that very many documents have
+    classes = materialise(known.groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("node")), "sets")
     member = classes.select(F.col("s1").alias("c1"), F.col("s2").alias("c2"), F.col("n_shingles").alias("cn"), "node")
     same = (F.col("s1") == F.col("c1")) & (F.col("s2") == F.col("c2")) & (F.col("n_shingles") == F.col("cn"))
     noded = materialise(signed.join(member, same & F.col("doc_id").isNotNull(), "left").select(*signed.columns, F.coalesce("node", "doc_id").alias("node")), "classes")
@@ -264,7 +268,7 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
         alike = pairs.join(left, F.col("a") == F.col("g_a")).join(right, F.col("b") == F.col("g_b")).where(matches >= need).select("a", "b")
         left, right = (texts.select(F.col("t_id").alias(f"i_{x}"), F.col("t_text").alias(f"text_{x}")) for x in "ab")
         full = alike.distinct().join(right, F.col("b") == F.col("i_b")).select("a", "b", "text_b").join(left, F.col("a") == F.col("i_a")).select("a", "b", "text_a", "text_b")
-        return full.mapInPandas(_confirmer(size, percent), "a long, b long")
+        return full.mapInArrow(_confirmer(size, percent), "a long, b long")
 
     pivots = posted.groupBy(F.col("token").alias("t")).agg(F.min("node").alias("least"), F.max(F.struct("weight", F.col("node"))).alias("top"))
     star = posted.join(materialise(pivots, "pivots"), F.col("token") == F.col("t")).select("node", F.explode(F.array("least", "top.node")).alias("pivot")).where("node <> pivot")

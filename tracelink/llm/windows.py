@@ -15,11 +15,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, in_chunks, mix64, run_hash, shuffle_width, table
+from .common import Words, give_back, in_chunks, mix64, run_hash, shuffle_width, table
 
 WINDOW, MINIMISER_WORDS = 13, 3
 #: Bytes of text a task looks at together, and of packed text aimed at for a bucket.
@@ -88,6 +90,7 @@ def _spans(at: np.ndarray, breaks: np.ndarray, width: int) -> tuple[np.ndarray,
 
 
 PACKED = "bucket int, n int, meta binary, body binary"
+PACKED_ARROW = pa.schema([("bucket", pa.int32()), ("n", pa.int32()), ("meta", pa.binary()), ("body", pa.binary())])
 
 
 def _pack_meta(ids: np.ndarray, keys: np.ndarray, a: np.ndarray, b: np.ndarray) -> bytes:
@@ -132,25 +135,14 @@ def _packer(buckets: int, width: int):
         for i, j in zip(heads.tolist(), [*heads[1:].tolist(), len(bucket)], strict=True):
             yield {"bucket": int(bucket[i]), "n": j - i, "meta": _pack_meta(ids[t[i:j]], keys[t[i:j]], a[i:j], b[i:j]), "body": press.compress(b" ".join(pieces[i:j]))}
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        def held() -> Iterator[tuple[np.ndarray, np.ndarray, list[bytes]]]:
-            """Chunks of about CHUNK_BYTES, across Arrow batches."""
-            ids, keys, texts, size = [], [], [], 0
-            for batch in batches:
-                for i, k, t in zip(batch["id"].tolist(), batch["key"].tolist(), batch["text"].tolist(), strict=True):
-                    ids.append(i)
-                    keys.append(k)
-                    texts.append(t.encode("utf-8", "surrogatepass"))
-                    size += len(texts[-1])
-                    if size >= CHUNK_BYTES:
-                        yield np.array(ids, dtype=np.int64), np.array(keys, dtype=np.int64), texts
-                        ids, keys, texts, size = [], [], [], 0
-            if ids:
-                yield np.array(ids, dtype=np.int64), np.array(keys, dtype=np.int64), texts
-
-        for part in held():
-            if rows := list(chunk(*part)):
-                yield pd.DataFrame(rows, columns=["bucket", "n", "meta", "body"])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in in_chunks(batch, pc.binary_length(batch.column(2)).to_pylist(), CHUNK_BYTES):
+                some = batch.slice(part.start, part.stop - part.start)
+                texts = some.column(2).cast(pa.binary()).to_pylist()
+                if rows := list(chunk(some.column(0).to_numpy(), some.column(1).to_numpy(), texts)):
+                    yield pa.RecordBatch.from_pylist(rows, schema=PACKED_ARROW)
+        give_back()
 
     return run
 
@@ -286,7 +278,7 @@ def repeated_spans(docs: DataFrame, text: str = "text", width: int = WINDOW, apa
     keyed = _keyed(docs, text, apart)
     size = keyed.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     buckets = int(min(1 << 30, max(4 * shuffle_width(spark), PACKING * size // BUCKET_BYTES)))
-    packed = keyed.select("id", "key", "text").mapInPandas(_packer(buckets, width), PACKED)
+    packed = keyed.select("id", "key", "text").mapInArrow(_packer(buckets, width), PACKED)
     return packed.groupBy("bucket").applyInPandas(_unpacker(width, BLOCK_BYTES, MOST_STANDING), "id long, key long, a int, b int")
 
 
@@ -303,24 +295,33 @@ def drop_repeats(docs: DataFrame, text: str = "text", width: int = WINDOW) -> Da
     keyed = _keyed(docs, text, apart)
     joined = keyed.join(spans, (F.col("id") == F.col("s_id")) & (F.col("key") == F.col("s_key")), "left")
     shaped = joined.select("text", F.col("s_spans.a").alias("a"), F.col("s_spans.b").alias("b"), "row")
-    kept = shaped.withColumn("k", F.pandas_udf(_kept, "text string, n_words long, n_removed long")("text", "a", "b")).select("row", "k")
+    kept = shaped.withColumn("k", F.arrow_udf(_kept, "text string, n_words long, n_removed long")("text", "a", "b")).select("row", "k")
     return kept.select(*[F.col("k.text").alias(c) if c == text else F.col("row")[c].alias(c) for c in docs.columns if c not in OWN], *[F.col("k")[c].alias(c) for c in OWN])
 
 
-def _kept(texts: pd.Series, a: pd.Series, b: pd.Series) -> pd.DataFrame:
-    out, total, gone = [], [], []
-    for t, starts, ends in zip(texts.tolist(), a.tolist(), b.tolist(), strict=True):
-        words = t.encode("utf-8", "surrogatepass").split()
-        n = len(words)
-        total.append(n)
-        if starts is not None:
-            edge = np.zeros(n + 1, dtype=np.int32)
-            np.add.at(edge, np.asarray(starts), 1)
-            np.add.at(edge, np.asarray(ends), -1)
-            words = [words[i] for i in np.flatnonzero(np.cumsum(edge[:n]) == 0).tolist()]
-        gone.append(n - len(words))
-        out.append(b" ".join(words).decode("utf-8", "surrogatepass"))
-    return pd.DataFrame({"text": out, "n_words": total, "n_removed": gone})
+KEPT = pa.struct([("text", pa.string()), ("n_words", pa.int64()), ("n_removed", pa.int64())])
+
+
+def _kept(batches: Iterator[tuple[pa.Array, pa.Array, pa.Array]]) -> Iterator[pa.Array]:
+    """Words of texts that no range [a, b) covers, joined by one blank; only a part of a batch is opened at a time."""
+    for texts, a, b in batches:
+        done = []
+        for part in in_chunks(texts, pc.binary_length(texts).to_pylist(), CHUNK_BYTES):
+            n = part.stop - part.start
+            out, total, gone = [], [], []
+            for t, starts, ends in zip(texts.slice(part.start, n).cast(pa.binary()).to_pylist(), a.slice(part.start, n), b.slice(part.start, n), strict=True):
+                words = t.split()
+                total.append(len(words))
+                if starts.is_valid:
+                    edge = np.zeros(len(words) + 1, dtype=np.int32)
+                    np.add.at(edge, starts.values.to_numpy(), 1)
+                    np.add.at(edge, ends.values.to_numpy(), -1)
+                    words = [words[i] for i in np.flatnonzero(np.cumsum(edge[:-1]) == 0).tolist()]
+                gone.append(total[-1] - len(words))
+                out.append(b" ".join(words))
+            done.append(pa.StructArray.from_arrays([pa.array(out, type=pa.binary()).cast(pa.string()), pa.array(total, type=pa.int64()), pa.array(gone, type=pa.int64())], fields=list(KEPT)))
+        yield pa.concat_arrays(done) if done else pa.array([], type=KEPT)
+    give_back()
 
 
 def brute_force(docs: list[tuple[int, str | None]], width: int = WINDOW) -> dict[int, tuple[int, int, str]]:
