@@ -138,7 +138,8 @@ for n in range(1, 16):
     for label, both in (("query", False), ("both", True)):
         add(f"w_days_{label}_{n}", lambda s, d, n=n, both=both: accuracy(split(s, d), link(P.limit_days(split(s, d), n, ["Q", "D"] if both else ["Q"]), 3)),
             f"WITH {Q.HABIT}, {limited(n, both)}, {Q.sig('split', 'sg', 3)}, {Q.knn('sg', 5)} {Q.acc('knn', 'full_split')}")
-        add(f"w_days_mean_{label}_{n}", lambda s, d, n=n, both=both: _mean_days(s, d, n, both), mean_days(n, both))
+        if n % 2:
+            add(f"w_days_mean_{label}_{n}", lambda s, d, n=n, both=both: _mean_days(s, d, n, both), mean_days(n, both))
 add("p_two_sources", lambda s, d: P.two_sources(habit(s, d), S.raw(S.read(s, d, "events"))).groupBy("side").agg(F.count(F.lit(1)).alias("points"), F.sum("pid").alias("pids")),
     f"WITH {Q.HABIT}, {Q.RAW} SELECT 'Q' AS side, count(*) AS points, sum(pid)::BIGINT AS pids FROM habit UNION ALL SELECT 'D', count(*), sum(pid)::BIGINT FROM raw")
 
