@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import columns as C
 from ..functions import tables
+from ..operators.prepare import int_hash
 from ..sources import traces as S
 from .workloads import QUERIES, add, habit, sig_of
 from . import sqltext as Q
@@ -181,3 +182,44 @@ def _generated(s: SparkSession, d: str) -> DataFrame:
 
 add("src_generated", _generated, f"""WITH events AS (SELECT i AS event_id, to_timestamp(1704067200 + i * 7907 % 2592000) AS ts, i % 500 AS user_id, 'view' AS event_type, (i * 37 % 1000) / 10.0 AS value, '{{"k": ' || (i * 31 % 100) || '}}' AS props FROM range(0, 33000) t(i)),
     {Q.HABIT} SELECT count(*) AS points, count(DISTINCT oid) AS objects, sum(pid)::BIGINT AS pids FROM habit""")
+
+# --- sampling, sketches with their error, salting ------------------------------------------------------------------------------------
+
+SHARES = {"view": 100, "click": 300, "purchase": 1000}
+
+
+def _stratified(s: SparkSession, d: str) -> DataFrame:
+    """A sample by integer hash with a share (in thousandths) for each kind of event: the same rows in every run and engine."""
+    share = F.create_map(*[F.lit(x) for kv in SHARES.items() for x in kv])[F.col("event_type")]
+    return events(s, d).where(int_hash(F.col("event_id"), 7) % 1000 < F.coalesce(share, F.lit(0))).select("event_id", "event_type")
+
+
+CASES = " ".join(f"WHEN '{k}' THEN {v}" for k, v in SHARES.items())
+add("rel_sample_by", _stratified, f"SELECT event_id, event_type FROM events WHERE {Q.int_hash('event_id', 7)} % 1000 < CASE event_type {CASES} ELSE 0 END")
+add("rel_quantiles", lambda s, d: S.read(s, d, "lineitem").agg(*[F.round(F.percentile("l_extendedprice", p / 4), 4).alias(f"q{p}") for p in (1, 2, 3)]),
+    "SELECT " + ", ".join(f"round(quantile_cont(l_extendedprice, {p / 4}), 4) AS q{p}" for p in (1, 2, 3)) + " FROM lineitem")
+
+
+def _sketch_error(s: SparkSession, d: str) -> DataFrame:
+    """Distinct parts by merged sketches of every supplier's lines: the exact number, and whether estimates are within five percent."""
+    lines = S.read(s, d, "lineitem")
+    per = lines.groupBy("l_suppkey").agg(F.hll_sketch_agg("l_partkey", F.lit(12)).alias("h"))
+    near = lambda c: F.abs(F.col(c) / F.col("parts") - 1) < 0.05
+    merged = per.agg(F.hll_sketch_estimate(F.hll_union_agg("h")).alias("by_parts"))
+    whole = lines.agg(F.count_distinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.01).alias("hll"))
+    return whole.crossJoin(merged).select("parts", near("hll").alias("whole_near"), near("by_parts").alias("merged_near"))  # single rows
+
+
+add("rel_sketch_error", _sketch_error, "SELECT count(DISTINCT l_partkey) AS parts, true AS whole_near, true AS merged_near FROM lineitem")
+SALTS = 16
+
+
+def _salted(s: SparkSession, d: str) -> DataFrame:
+    """A join and a sum on a key of few values, dealt to SALTS parts of each: the large side by a hash of its rows, the small one to every part."""
+    orders = S.read(s, d, "orders").withColumn("salt", F.pmod(F.xxhash64("o_orderkey"), F.lit(SALTS)).cast("int"))
+    kinds = S.read(s, d, "orders").select("o_orderstatus").distinct().withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    parts = orders.join(kinds, ["o_orderstatus", "salt"]).groupBy("o_orderstatus", "salt").agg(F.count(F.lit(1)).alias("n"), F.sum("o_totalprice").alias("price"))
+    return parts.groupBy("o_orderstatus").agg(F.sum("n").alias("orders"), F.round(F.sum("price"), 2).alias("price"))
+
+
+add("rel_salted", _salted, "SELECT o_orderstatus, count(*)::BIGINT AS orders, round(sum(o_totalprice), 2) AS price FROM orders GROUP BY o_orderstatus")
