@@ -237,9 +237,10 @@ def greedy(edges):
     return out
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_stable_matching(spark, seed):
-    random.seed(seed)
+@pytest.mark.parametrize("small", [0, refine.SMALL])
+def test_stable_matching(spark, monkeypatch, small):
+    monkeypatch.setattr(refine, "SMALL", small)
+    random.seed(1)
     edges = [(q, o, random.choice([0.1, 0.2, 0.3, 0.4, 0.5])) for q in range(25) for o in random.sample(range(18), 4)]
     df = spark.createDataFrame(edges, "qid long, oid long, sim double")
     got = refine.stable_match(df)
@@ -251,6 +252,7 @@ def test_stable_matching(spark, seed):
 
 def test_stable_matching_of_ties_takes_few_rounds(spark, monkeypatch):
     written = []
+    monkeypatch.setattr(refine, "SMALL", 0)
     monkeypatch.setattr(refine, "materialise", lambda df, name, f=refine.materialise: written.append(name) or f(df, name))
     block = [(q, o, 0.5) for q in range(30) for o in range(100, 125)]
     open_block = [(q, o, 0.5) for q in range(40, 44) for o in range(140, 144)] + [(50, 140, 0.9), (51, 141, 0.5), (51, 160, 0.7), (52, 160, 0.8)]
@@ -260,7 +262,9 @@ def test_stable_matching_of_ties_takes_few_rounds(spark, monkeypatch):
     assert len(written) < 20
 
 
-def test_stable_matching_of_a_long_chain_is_whole(spark):
+def test_stable_matching_of_a_long_chain_is_whole(spark, monkeypatch):
+    monkeypatch.setattr(refine, "SMALL", 0)
+    monkeypatch.setattr(refine, "SOON", 3)
     edges = [(i // 2, (i + 1) // 2, 1 - i * 1e-5) for i in range(2100)]
     got = refine.stable_match(spark.createDataFrame(edges, "qid long, oid long, sim double"), leftover="none")
     assert set(rows(got, "qid", "oid")) == greedy(edges)

@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 from ..session import materialise
 from .linking import top_k, verify
 
-#: Rounds of a stable matching before a rest of few edges is matched in one task, and that many edges.
-SOON, FEW = 16, 2_000_000
+#: Rounds of a stable matching before a rest of few edges is matched in one task, and that many edges; edges that go to one task at once.
+SOON, FEW, SMALL = 16, 2_000_000, 200_000
 
 
 def rerank(knn: DataFrame, q_long: DataFrame, d_long: DataFrame) -> DataFrame:
@@ -67,13 +67,14 @@ def stable_match(edges: DataFrame, knn: DataFrame | None = None, leftover: str =
 
     Both sides rank by the same similarity, so edges that are best for both ends are in the one stable matching; taking them, removing
     their ends and going on until no edge is left gives all of it. Blocks of ties go at once. A falling chain gives one pair a round, so
-    after ``SOON`` rounds a rest of ``FEW`` edges at most is matched in one task; a larger rest takes more rounds, however many. Queries
+    after ``SOON`` rounds a rest of ``FEW`` edges at most is matched in one task; a larger rest takes more rounds, however many. A rest of
+    ``SMALL`` edges is matched in one task in any round, which gives the same pairs sooner than another round. Queries
     without partner get their first neighbour of ``knn`` (stage 'leftover') unless ``leftover`` is 'none'.
     """
     rest = materialise(edges.select("qid", "oid", "sim"), "edges")
     taken, rounds = None, 0
     while not rest.isEmpty():
-        last = rounds >= SOON and rest.count() <= FEW
+        last = rest.count() <= (FEW if rounds >= SOON else SMALL)
         if last:
             now = rest.withColumn("s", F.round("sim", 9)).groupBy(F.lit(1).alias("one")).applyInPandas(_in_order, rest.schema)
         else:
