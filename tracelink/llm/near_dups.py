@@ -257,6 +257,8 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     noded = materialise(signed.join(member, same & F.col("doc_id").isNotNull(), "left").select(*signed.columns, F.coalesce("node", "doc_id").alias("node")), "classes")
     leaders = noded.where("doc_id = node and n_shingles > 0").dropDuplicates(["doc_id", "s1", "s2"])
     posted = materialise(_postings(leaders, k, need), "postings")
+    if posted.isEmpty():  # nobody shares a coordinate with anybody
+        return noded.select("doc_id", "n_shingles", F.col("node").alias("component_id"), F.coalesce(F.col("doc_id") == F.col("node"), F.lit(True)).alias("kept"))
     in_reach = posted.select(F.col("node").alias("p_node")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("t_id"), F.col(f"`{text}`").cast("string").alias("t_text"))
     texts = materialise(_sieved(texts, in_reach).join(in_reach, F.col("t_id") == F.col("p_node"), "left_semi").distinct(), "texts")
@@ -266,8 +268,10 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
         left, right = (sigs.select(F.col("g_id").alias(f"g_{x}"), F.col("sig").alias(f"sig_{x}")) for x in "ab")
         matches = F.size(F.filter(F.zip_with("sig_a", "sig_b", lambda x, y: x == y), lambda m: m))
         alike = pairs.join(left, F.col("a") == F.col("g_a")).join(right, F.col("b") == F.col("g_b")).where(matches >= need).select("a", "b")
+        # written, so that pairs of a popular pivot can be split in the joins with texts
+        alike = materialise(alike.distinct(), "alike")
         left, right = (texts.select(F.col("t_id").alias(f"i_{x}"), F.col("t_text").alias(f"text_{x}")) for x in "ab")
-        full = alike.distinct().join(right, F.col("b") == F.col("i_b")).select("a", "b", "text_b").join(left, F.col("a") == F.col("i_a")).select("a", "b", "text_a", "text_b")
+        full = alike.join(right, F.col("b") == F.col("i_b")).select("a", "b", "text_b").join(left, F.col("a") == F.col("i_a")).select("a", "b", "text_a", "text_b")
         return full.mapInArrow(_confirmer(size, percent), "a long, b long")
 
     pivots = posted.groupBy(F.col("token").alias("t")).agg(F.min("node").alias("least"), F.max(F.struct("weight", F.col("node"))).alias("top"))
@@ -278,9 +282,10 @@ def near_dups(docs: DataFrame, text: str = "text", percent: int = 80, size: int
     placed = posted.join(labels.select(F.col("node").alias("l_node"), "component"), F.col("node") == F.col("l_node"), "left").select("token", "node", F.coalesce("component", "node").alias("c"))
     split = placed.groupBy("token").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("token")
     unsettled = materialise(placed.join(materialise(split, "split"), "token", "left_semi").groupBy("node").agg(F.min("c").alias("c")), "open")
-    more = materialise(confirmed(_pairs_across(unsettled, texts, percent, size).join(tried, ["a", "b"], "left_anti")), "links")
-    if not more.isEmpty():
-        labels = materialise(components(links.union(more)), "components")
+    if not unsettled.isEmpty():
+        more = materialise(confirmed(_pairs_across(unsettled, texts, percent, size).join(tried, ["a", "b"], "left_anti")), "links")
+        if not more.isEmpty():
+            labels = materialise(components(links.union(more)), "components")
     final = labels.select(F.col("node").alias("l_node"), F.col("component").alias("l_component"))
     out = noded.join(final, F.col("node") == F.col("l_node"), "left").withColumn("component_id", F.coalesce("l_component", "node"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
