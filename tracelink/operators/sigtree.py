@@ -389,7 +389,7 @@ def search_local(q: DataFrame, tree: Tree | LocalNode, k: int, place: DataFrame,
         for batch in batches:
             rows = []
             for r in batch.itertuples(index=False):
-                near, work = best_first(held.value, dict(zip(r.fids, r.ws, strict=True)), (r.x1, r.y1, r.x2, r.y2), k, use_mbr, use_bound)
+                near, work = best_first(held.value, dict(zip(r.fids.tolist(), r.ws.tolist(), strict=True)), (r.x1, r.y1, r.x2, r.y2), k, use_mbr, use_bound)
                 rows += [(r.qid, o, s, i + 1, work["popped"], work["scored"], work["cut_by_box"], work["cut_by_bound"]) for i, (s, o) in enumerate(near)]
             yield pd.DataFrame(rows, columns=["qid", "oid", "sim", "rnk", "popped", "scored", "cut_by_box", "cut_by_bound"])
 
