@@ -52,7 +52,7 @@ def main(sizes: list[int]) -> None:
         return out
 
     # compile and start workers outside the figures
-    sizes = [200, *sizes]
+    sizes = [int(os.environ.get("EXPERIMENT_WARM", "200")), *sizes]
     for n in sizes:
         trace = materialise(P.interleaved(S.habit_of_size(spark, n, POINTS)), "trace")
         whole = materialise(W.spatial(trace), "whole")
