@@ -100,4 +100,4 @@ def main(sizes: list[int]) -> None:
 
 
 if __name__ == "__main__":
-    main([int(x) for x in sys.argv[1:]] or [1500, 3000, 6000, 12000])
+    main([int(x) for x in sys.argv[1:]] or [1501, 3001, 6001, 12001])
