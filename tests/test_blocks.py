@@ -47,3 +47,20 @@ def test_dense_linear_in_blocks(spark, monkeypatch):
     got = L.dense_knn(df, 3)
     assert in_blocks(got)
     assert rows(got, "qid", "oid", "rnk") == first(unit @ unit.T, 3, own=False)
+
+
+@pytest.mark.parametrize("how", ["chi2"])
+def test_histograms_in_blocks(spark, how, monkeypatch):
+    h = np.random.default_rng(3).integers(0, 4, size=(60, 6)).astype(float)
+    h[:, 2] += 1
+    h[20:40] = h[20]
+    h /= h.sum(axis=1)[:, None]
+    h[50] = 1 / 6  # no spread
+    df = spark.createDataFrame([(s, i, [float(x) for x in r]) for s in "QD" for i, r in enumerate(h)], "side string, oid long, h array<double>")
+    q, d = df.where("side = 'Q'").select(F.col("oid").alias("qid"), F.col("h").alias("a")), df.where("side = 'D'").select("oid", F.col("h").alias("b"))
+    sim = C.histogram_distance(F.col("a"), F.col("b"), how)
+    want = rows(L.top_k(q.crossJoin(d).select("qid", "oid", (sim if how in ("correlation", "intersection") else -sim).alias("sim")), 2).withColumn("s", F.round("sim", 6)), "qid", "rnk", "s")
+    monkeypatch.setattr(blocks, "ROWS", 16)
+    got = L.histogram_knn(df, 4, 2, how)
+    assert in_blocks(got)
+    assert rows(got.withColumn("s", F.round("sim", 6)), "qid", "rnk", "s") == want
