@@ -49,7 +49,7 @@ def test_dense_linear_in_blocks(spark, monkeypatch):
     assert rows(got, "qid", "oid", "rnk") == first(unit @ unit.T, 3, own=False)
 
 
-@pytest.mark.parametrize("how", ["chi2", "correlation", "bhattacharyya", "intersection"])
+@pytest.mark.parametrize("how", ["chi2", "correlation", "bhattacharyya", "intersection", "lp"])
 def test_histograms_in_blocks(spark, how, monkeypatch):
     h = np.random.default_rng(3).integers(0, 4, size=(60, 6)).astype(float)
     h[:, 2] += 1
