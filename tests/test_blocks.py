@@ -64,3 +64,15 @@ def test_histograms_in_blocks(spark, how, monkeypatch):
     got = L.histogram_knn(df, 4, 2, how)
     assert in_blocks(got)
     assert rows(got.withColumn("s", F.round("sim", 6)), "qid", "rnk", "s") == want
+
+
+def test_signs_in_blocks(spark, monkeypatch):
+    m, bits = 16, np.random.default_rng(5).integers(0, 2, size=(50, 16))
+    bits[10:30] = bits[10]
+    df = spark.createDataFrame([(s, i, [int(x) for x in r]) for s in "QD" for i, r in enumerate(bits)], "side string, oid long, bits array<int>")
+    apart = (bits[:, None, :] != bits[None, :, :]).sum(axis=2)
+    monkeypatch.setattr(blocks, "ROWS", 8)
+    got = L.lsh_scan(df, m, 2)
+    assert in_blocks(got)
+    assert rows(got, "qid", "oid", "rnk") == first(np.cos(np.pi * apart / m), 2)
+    assert len(rows(L.lsh_scan(df, m, 1 << 20), "qid", "oid")) == 2500
