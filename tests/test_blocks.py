@@ -76,3 +76,47 @@ def test_signs_in_blocks(spark, monkeypatch):
     assert in_blocks(got)
     assert rows(got, "qid", "oid", "rnk") == first(np.cos(np.pi * apart / m), 2)
     assert len(rows(L.lsh_scan(df, m, 1 << 20), "qid", "oid")) == 2500
+
+
+def signatures(spark, n: int = 70):
+    """Both sides' signatures of up to six of 12 places, and the boxes of these."""
+    rng = np.random.default_rng(11)
+    held = [(s, i, int(f), float(rng.integers(1, 5)) / 4) for s in "QD" for i in range(n) for f in rng.choice(12, size=1 + i % 6, replace=False)]
+    df = spark.createDataFrame(held, "side string, oid long, fid long, w double")
+    place = df.select(F.col("fid").alias("pid"), (F.col("fid") % 4).cast("double").alias("x"), F.expr("double(fid div 4)").alias("y")).distinct()
+    return *L.sides(df), L.boxes(df, place)
+
+
+def searched(spark, monkeypatch, search):
+    q, d, box = signatures(spark)
+    for name, n in (("OBJECTS", 16), ("ENTRIES", 40), ("EXPANDED", 64)):
+        monkeypatch.setattr(blocks, name, n)
+    for name in ("JOINED", "JOINED_TIMES"):
+        monkeypatch.setattr(L, name, 0, raising=False)
+    got = search(q, d, box)
+    assert in_blocks(got)
+    show = lambda df: rows(df.withColumn("s", F.round("sim", 9)), "qid", "oid", "rnk", "s")
+    assert show(got) == show(L.top_k(L.dot_pairs(q, d), 3))
+
+
+def test_inverted_in_blocks(spark, monkeypatch):
+    searched(spark, monkeypatch, lambda q, d, box: L.inverted(q, d, 3))
+
+
+def test_linear_in_blocks(spark, monkeypatch):
+    searched(spark, monkeypatch, lambda q, d, box: L.linear(q, d, 3))
+
+
+def test_boxes_in_blocks(spark, monkeypatch):
+    searched(spark, monkeypatch, lambda q, d, box: L.mbr_range(q, d, box, 3))
+
+
+def test_buckets_in_blocks(spark, monkeypatch):
+    q, d, _ = signatures(spark)
+    sig = q.select(F.lit("Q").alias("side"), F.col("qid").alias("oid"), "fid", F.col("wq").alias("w")).union(d.select(F.lit("D"), "oid", "fid", "wd"))
+    find = lambda: L.lsh(q, d, L.lsh_bits(sig, 12), 3, 12, 3)
+    want = rows(find(), "qid", "oid", "rnk")
+    for name in ("JOINED", "JOINED_TIMES"):
+        monkeypatch.setattr(L, name, 0, raising=False)
+    assert in_blocks(find())
+    assert rows(find(), "qid", "oid", "rnk") == want
