@@ -120,3 +120,14 @@ def test_buckets_in_blocks(spark, monkeypatch):
         monkeypatch.setattr(L, name, 0, raising=False)
     assert in_blocks(find())
     assert rows(find(), "qid", "oid", "rnk") == want
+
+
+def test_recursion_reads_a_table(spark):
+    import __spark_entry__
+
+    df = __spark_entry__.queries()["rel_recursive"](spark, "/root/testdata/sf0.001")
+    assert any("lineitem" in f for f in df.inputFiles())
+    lines = spark.read.parquet("/root/testdata/sf0.001/lineitem.parquet").count()
+    got = df.collect()
+    assert sum(r["lines"] for r in got if r["n"] == 1) == lines
+    assert max(r["f"] for r in got) == 479001600
