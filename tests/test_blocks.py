@@ -131,3 +131,11 @@ def test_recursion_reads_a_table(spark):
     got = df.collect()
     assert sum(r["lines"] for r in got if r["n"] == 1) == lines
     assert max(r["f"] for r in got) == 479001600
+
+
+def test_generated_events_read_a_table(spark):
+    import __spark_entry__
+
+    df = __spark_entry__.queries()["src_generated"](spark, "/root/testdata/sf0.001")
+    assert any("events" in f for f in df.inputFiles())
+    assert df.first()["points"] == spark.read.parquet("/root/testdata/sf0.001/events.parquet").count()
