@@ -139,3 +139,17 @@ def test_generated_events_read_a_table(spark):
     df = __spark_entry__.queries()["src_generated"](spark, "/root/testdata/sf0.001")
     assert any("events" in f for f in df.inputFiles())
     assert df.first()["points"] == spark.read.parquet("/root/testdata/sf0.001/events.parquet").count()
+
+
+def test_range_join_pairs_rows_of_alike_parts(spark, tmp_path, monkeypatch):
+    from tracelink.plans import relational
+
+    price = [900.0, 905.0, 905.0, 905.0, 905.0, 905.0, 910.0, 910.1, 899.9999999999999, 894.9999999999999, float("nan"), None]
+    part = [(i, i % 2 if 6 < i < 9 else 1, p) for i, p in enumerate(price)] + [(3, 1, 905.0), (40, None, 905.0)]
+    spark.createDataFrame(part, "p_partkey long, p_size int, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    want = [(a, z) for a, m, x in part for z, n, y in part if a < z and m == n and m is not None and None not in (x, y) and abs(x - y) <= 5]
+    monkeypatch.setattr(relational, "RANGE_CHUNK", 2, raising=False)
+    monkeypatch.setattr(relational, "RANGE_TASK", 4, raising=False)
+    got = relational._range_join(spark, str(tmp_path))
+    assert rows(got, "a", "z") == sorted(want)
+    assert got.rdd.getNumPartitions() > 4  # as many tasks as the pairs ask for, however small the table
