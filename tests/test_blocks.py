@@ -153,3 +153,24 @@ def test_range_join_pairs_rows_of_alike_parts(spark, tmp_path, monkeypatch):
     got = relational._range_join(spark, str(tmp_path))
     assert rows(got, "a", "z") == sorted(want)
     assert got.rdd.getNumPartitions() > 4  # as many tasks as the pairs ask for, however small the table
+
+
+#: Queries that search by postings.
+POSTED = [
+    "st_link",
+]
+
+
+@pytest.mark.parametrize("name", POSTED)
+def test_queries_by_postings_meet_in_blocks(spark, name, monkeypatch):
+    import __spark_entry__
+
+    def find() -> list[tuple]:
+        df = __spark_entry__.queries()[name](spark, "/root/testdata/sf0.001")
+        return rows(df, *df.columns)
+
+    want, met, multiply = find(), [], blocks.multiply
+    for limit in ("JOINED", "JOINED_TIMES"):
+        monkeypatch.setattr(L, limit, 0, raising=False)
+    monkeypatch.setattr(blocks, "multiply", lambda *a: met.append(1) or multiply(*a))
+    assert find() == want and met
