@@ -177,3 +177,21 @@ def test_queries_by_postings_meet_in_blocks(spark, name, monkeypatch):
         monkeypatch.setattr(L, limit, 0, raising=False)
     monkeypatch.setattr(blocks, "multiply", lambda *a: met.append(1) or multiply(*a))
     assert find() == want and met
+
+
+def test_tree_matches_children_by_feature(spark, monkeypatch):
+    from tracelink.operators import sigtree
+
+    q, d, _ = signatures(spark)
+    place = q.select(F.col("fid").alias("pid")).union(d.select("fid")).distinct().select("pid", (F.col("pid") % 4).cast("double").alias("x"), F.expr("double(pid div 4)").alias("y"))
+    tree = sigtree.build(d, place, 4)
+    show = lambda df: rows(df.withColumn("s", F.round("sim", 9)), "qid", "oid", "rnk", "s")
+    want = show(L.top_k(L.dot_pairs(q, d), 3))
+    for joined in (1 << 40, 0):  # by node and feature, by the postings of whole levels
+        counted = []
+        monkeypatch.setattr(sigtree, "JOINED", joined, raising=False)
+        monkeypatch.setattr(sigtree, "shared", lambda *a: counted.append(1) or 0, raising=False)
+        for mbr, bound in ((True, True), (False, True), (True, False)):
+            got = sigtree.knn_join(q, tree, 3, place, mbr, bound)
+            assert show(got) == want
+        assert bool(counted) == (not joined)
