@@ -157,6 +157,7 @@ def test_range_join_pairs_rows_of_alike_parts(spark, tmp_path, monkeypatch):
 
 #: Queries that search by postings.
 POSTED = [
+    "w_ablate_tfidf_full",
     "w_ablate_idf_full",
     "w_reduce_cut_m50",
     "w_link_raw",
