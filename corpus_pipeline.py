@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tracelink.llm import language_crf, near_dups, pieces, poisson_mix, windows
-from tracelink.llm.common import materialise, table
+from tracelink.llm.common import bounded_batches, materialise, table
 
 #: A document is rejected only without letters, or if no language has at least this mean marginal.
 LEAST_LANGUAGE_SCORE = 0.3
@@ -19,6 +19,7 @@ PERCENT_ALIKE = 80
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents without letters or of no clear language; a null language is filled with the predicted one."""
+    bounded_batches(spark)
     found = language_crf.identified(docs, language_crf.train(docs))
     clear = found.where((F.col("lang_pred") != language_crf.UNKNOWN) & (F.col("lang_score") >= LEAST_LANGUAGE_SCORE))
     return clear.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*docs.columns)
@@ -26,11 +27,13 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def near_dup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep one document of each group of near duplicates."""
+    bounded_batches(spark)
     return near_dups.deduplicated(docs, percent=PERCENT_ALIKE).select(*docs.columns)
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Remove words of passages that a document with a smaller id has too; every document stays, ``n_chars`` follows."""
+    bounded_batches(spark)
     return windows.drop_repeats(docs).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 
@@ -41,6 +44,7 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def piece_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Encode texts; adds ``pieces`` and ``n_pieces``."""
+    bounded_batches(spark)
     return pieces.encoded(docs, pieces.PieceModel.load(pieces.DEFAULT_MODEL))
 
 

@@ -63,6 +63,21 @@ def give_back() -> None:
         pass
 
 
+#: Bytes of rows that go to a Python worker at once.
+BATCH_BYTES = 4 << 20
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """From now on the session's Arrow batches hold about BATCH_BYTES (one row at least), not 10,000 rows however long.
+
+    Buffers of many MB are allocated beside the executor's heap, and what they leave there is not given back to the system.
+    """
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    held = int(spark._jsparkSession.sessionState().conf().arrowMaxBytesPerBatch())
+    if not 0 < held <= BATCH_BYTES:
+        spark.conf.set(name, BATCH_BYTES)
+
+
 def unused(df: DataFrame, *names: str) -> tuple[str, ...]:
     """Helper column names that no column of ``df`` has: underscores are added until they differ."""
     taken, out = {c.lower() for c in df.columns}, []
