@@ -197,3 +197,15 @@ def test_tree_matches_children_by_feature(spark, monkeypatch):
             got = sigtree.knn_join(q, tree, 3, place, mbr, bound)
             assert show(got) == want
         assert bool(counted) == (not joined)
+
+
+@pytest.mark.parametrize(("label", "place"), [("suppliers", "l_suppkey"), ("parts", "l_partkey")])
+def test_visits_are_joined_once(spark, label, place):
+    import __spark_entry__
+    from tracelink.plans import workloads as K
+
+    d = "/root/testdata/sf0.001"
+    got = __spark_entry__.queries()[f"w_link_customers_{label}"](spark, d)
+    assert not any("lineitem" in f for f in got.inputFiles())
+    t = K.S.customers(K.S.read(spark, d, "orders"), K.S.read(spark, d, "lineitem"), place)
+    assert rows(got, *got.columns) == rows(K.accuracy(t, K.link(t, 10)), *got.columns)
