@@ -50,6 +50,23 @@ def test_stream_in_any_cut_equals_the_batch(spark, tmp_path, cuts):
     assert spark.read.parquet(str(tmp_path / "out/linked")).select("batch").distinct().count() == cuts
 
 
+def test_batches_of_a_linked_stream_leave_only_their_results(spark, tmp_path, monkeypatch):
+    """However many batches, candidates are prepared once and what a batch writes on its way is gone."""
+    from tracelink import session
+
+    kept = tmp_path / "kept"
+    monkeypatch.setattr(session, "shared_folder", lambda spark: str(kept))
+    for limit in ("JOINED", "JOINED_TIMES"):
+        monkeypatch.setattr(L, limit, 0)
+    events = S.read(spark, SF, "events")
+    for i in range(3):
+        events.where(F.col("event_id") % 3 == i).coalesce(1).write.parquet(str(tmp_path / f"in/events_{i}.parquet"))
+    stored = P.interleaved(S.habit(events)).where("side = 'D'").drop("side")
+    streams.link_arrivals(streams.event_stream(spark, str(tmp_path / "in")), stored, 2, str(tmp_path / "out"))
+    assert sorted(p.name.split("-")[0] for p in kept.iterdir()) == ["blocks", "candidates", "dealt", "rarity"]
+    assert sorted(p.name for p in (tmp_path / "out").iterdir()) == ["checkpoint", "counts", "linked"]
+
+
 def test_a_batch_run_again_counts_once(spark, tmp_path):
     store = streams.ObjectStore(spark, str(tmp_path / "store"))
     delta = spark.createDataFrame([(1, 7, 2), (2, 8, 1)], "oid long, fid long, n long")

@@ -13,13 +13,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..operators import blocks
 from ..operators import linking as L
 from ..operators import prepare as P
 from ..operators import sigtree
 from ..operators import weights as W
 from ..plans import sqltext as Q
 from ..plans.workloads import KNN3, SHOWN, add, habit, shown, sig_of
-from ..session import materialise, shared_folder
+from ..session import materialise, passing, shared_folder
 from ..sources import traces as S
 
 EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
@@ -109,41 +110,46 @@ def _run(events: DataFrame, path: str, each) -> None:
     events.writeStream.option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
 
 
-def signature_updates(events: DataFrame, rarity: DataFrame, m: int | None, path: str, then=None) -> DataFrame:
-    """``oid, fid, w``: signatures of a stream's objects, refreshed in every batch for the objects it touches.
-
-    ``rarity(fid, idf)`` is frozen: it changes with a new generation of the store, not with each point. A replay in any number of batches
-    ends with the same signatures. ``then(signatures, epoch)`` is called with the refreshed ones.
-    """
-    spark = events.sparkSession
-    store = ObjectStore(spark, f"{path}/counts")
+def _signed(events: DataFrame, rarity: DataFrame, m: int | None, path: str, then) -> None:
+    """Every batch: ``then(signatures, epoch)`` gets ``oid, fid, w`` of the objects it touches, by all points each has so far."""
+    store = ObjectStore(events.sparkSession, f"{path}/counts")
 
     def each(df: DataFrame, epoch: int) -> None:
         trace = S.habit(df.withColumn("ts", F.col("ts").cast("timestamp_ntz"))).withColumn("side", F.lit("Q"))
         counted = store.merged(W.counts(trace).select("oid", "fid", "n"), epoch).withColumn("side", F.lit("Q"))
         weighed = W.tf(counted).join(rarity.where("idf > 0"), "fid").select("side", "oid", "fid", (F.col("tf") * F.col("idf")).alias("w"))
-        W.cut(W.l2(weighed), m).select("oid", "fid", "w").write.mode("overwrite").parquet(f"{path}/signatures/batch={epoch}")
-        if then is not None:
-            then(spark.read.parquet(f"{path}/signatures/batch={epoch}"), epoch)
+        then(W.cut(W.l2(weighed), m).select("oid", "fid", "w"), epoch)
 
     _run(events, path, each)
-    return latest(spark.read.parquet(f"{path}/signatures"), "oid")
+
+
+def signature_updates(events: DataFrame, rarity: DataFrame, m: int | None, path: str) -> DataFrame:
+    """``oid, fid, w``: signatures of a stream's objects, refreshed in every batch for the objects it touches.
+
+    ``rarity(fid, idf)`` is frozen: it changes with a new generation of the store, not with each point. A replay in any number of batches
+    ends with the same signatures.
+    """
+    _signed(events, rarity, m, path, lambda sig, epoch: sig.write.mode("overwrite").parquet(f"{path}/signatures/batch={epoch}"))
+    return latest(events.sparkSession.read.parquet(f"{path}/signatures"), "oid")
 
 
 def link_arrivals(events: DataFrame, stored: DataFrame, k: int, path: str, m: int | None = None) -> DataFrame:
     """``qid, oid, sim, rnk``: neighbours of a stream's objects among stored candidates, by all points each object has so far.
 
-    Candidates' signatures and the rarity of places are computed once, from the store, and written. Every batch links the objects it
-    touches anew; of an object only its last neighbours are returned, once, however its points were cut into batches.
+    Candidates' signatures (also in blocks) and the rarity of places are computed once, from the store, and written. Every batch links the
+    objects it touches anew; of an object only its last neighbours are returned, once, however its points were cut into batches. What a
+    batch writes on its way to its neighbours goes when it ends, so the disk does not grow with the number of batches but by these.
     """
     counted = W.counts(stored.withColumn("side", F.lit("D")))
     rarity = materialise(W.idf(counted, "candidate"), "rarity")
     d = materialise(W.cut(W.weigh(counted, "tfidf", "candidate"), m).select("oid", "fid", F.col("w").alias("wd")), "candidates")
+    made = blocks.ready(d)
 
     def link(sig: DataFrame, epoch: int) -> None:
-        L.inverted(sig.select(F.col("oid").alias("qid"), "fid", F.col("w").alias("wq")), d, k).write.mode("overwrite").parquet(f"{path}/linked/batch={epoch}")
+        with passing(events.sparkSession):
+            L.inverted(sig.select(F.col("oid").alias("qid"), "fid", F.col("w").alias("wq")), d, k, made).write.mode("overwrite").parquet(f"{path}/linked/batch={epoch}")
 
-    signature_updates(events, rarity, m, path, link)
+    _signed(events, rarity, m, path, link)
     return latest(events.sparkSession.read.parquet(f"{path}/linked"), "qid")
 
 
