@@ -107,6 +107,21 @@ def test_linear_in_blocks(spark, monkeypatch):
     searched(spark, monkeypatch, lambda q, d, box: L.linear(q, d, 3))
 
 
+@pytest.mark.parametrize("pairs", [0, 1 << 40])
+def test_products_leave_out_what_is_under_the_floor(pairs, monkeypatch):
+    """Whether sums are held for all pairs or sorted by pair."""
+    monkeypatch.setattr(blocks, "SPARSE_PAIRS", pairs, raising=False)
+    rng = np.random.default_rng(2)
+    held = [rng.random((20, 9)) * (rng.random((20, 9)) < 0.4) for _ in "qd"]
+    q, d = ({"ids": np.arange(20), "row": np.nonzero(x)[0], "fid": np.nonzero(x)[1], "w": x[x > 0]} for x in held)
+    want = held[0] @ held[1].T
+    for floor in (np.zeros(20), np.linspace(0.0, 1.0, 20)):
+        row, column, total = blocks.products(q, d, floor)
+        there = want >= np.maximum(floor, np.finfo(float).tiny)[:, None]
+        assert sorted(zip(row, column, strict=True)) == list(zip(*np.nonzero(there), strict=True))
+        assert np.allclose(total, want[row, column])
+
+
 def test_boxes_in_blocks(spark, monkeypatch):
     searched(spark, monkeypatch, lambda q, d, box: L.mbr_range(q, d, box, 3))
 
